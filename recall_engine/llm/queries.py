@@ -6,13 +6,22 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, mixing
+from . import exact_dedup, host_rules, mixing, quadratic
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quadratic.scored(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
+
+
+def op2_host_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    judged = host_rules.judged(_table(spark, sf_dir, "documents"))
+    return judged.select("doc_id", *host_rules.COUNTS, "base_failed", "kept", "rule_failed", "host_rate")
+
+
 def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mixed(_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -22,7 +31,7 @@ def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op3_mixing": op3_mixing, "op9_exact_dedup": op9_exact_dedup}
+    return {f.__name__: f for f in (op1_quality_classifier, op2_host_rules, op3_mixing, op9_exact_dedup)}
 
 
 _WORD = r"[^\x20\x09-\x0D]+"
