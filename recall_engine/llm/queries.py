@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import encoding, exact_dedup, host_rules, mixing, packing, quadratic, token_files, warc
+from . import encoding, exact_dedup, host_rules, mixing, packing, page_text, quadratic, token_files, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -26,6 +26,10 @@ def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mixed(_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op4_page_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return page_text.extracted(_table(spark, sf_dir, "pages"))
+
+
 def op5_token_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.round_trip(_table(spark, sf_dir, "documents"), encoding.default_tokenizer("byte_bpe_50k.json"), end_id=2)
 
@@ -43,7 +47,7 @@ def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_classifier, op2_host_rules, op3_mixing, op5_token_planes, op7_packing, op8_warc, op9_exact_dedup)}
+    return {f.__name__: f for f in (op1_quality_classifier, op2_host_rules, op3_mixing, op4_page_text, op5_token_planes, op7_packing, op8_warc, op9_exact_dedup)}
 
 
 _WORD = r"[^\x20\x09-\x0D]+"
