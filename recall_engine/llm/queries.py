@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import encoding, exact_dedup, host_rules, mixing, packing, page_text, quadratic, token_files, warc
+from . import encoding, exact_dedup, host_rules, mixing, packing, page_text, parity_join, quadratic, token_files, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -34,6 +34,10 @@ def op5_token_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.round_trip(_table(spark, sf_dir, "documents"), encoding.default_tokenizer("byte_bpe_50k.json"), end_id=2)
 
 
+def op6_parity_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return parity_join.grouped(_table(spark, sf_dir, "documents"))
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.packed(_table(spark, sf_dir, "documents"), encoding.default_tokenizer("word_bpe_49k.json"), end_id=0, capacity=2048)
 
@@ -47,7 +51,7 @@ def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_classifier, op2_host_rules, op3_mixing, op4_page_text, op5_token_planes, op7_packing, op8_warc, op9_exact_dedup)}
+    return {f.__name__: f for f in (op1_quality_classifier, op2_host_rules, op3_mixing, op4_page_text, op5_token_planes, op6_parity_join, op7_packing, op8_warc, op9_exact_dedup)}
 
 
 _WORD = r"[^\x20\x09-\x0D]+"
