@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import encoding, exact_dedup, host_rules, mixing, packing, page_text, parity_join, quadratic, token_files, warc
+from . import encoding, exact_dedup, host_rules, mixing, packing, page_text, parity_join, private_spans, quadratic, token_files, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -50,8 +50,12 @@ def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.deduplicated(_table(spark, sf_dir, "documents"))
 
 
+def op10_private_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return private_spans.digest(private_spans.found(_table(spark, sf_dir, "documents")))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_classifier, op2_host_rules, op3_mixing, op4_page_text, op5_token_planes, op6_parity_join, op7_packing, op8_warc, op9_exact_dedup)}
+    return {f.__name__: f for f in (op1_quality_classifier, op2_host_rules, op3_mixing, op4_page_text, op5_token_planes, op6_parity_join, op7_packing, op8_warc, op9_exact_dedup, op10_private_spans)}
 
 
 _WORD = r"[^\x20\x09-\x0D]+"
