@@ -152,7 +152,9 @@ def trained(counts: list[tuple[str, int, int, int]], iterations: int = ITERATION
             mass = sum((q if y else 1 - q) * n for q, (_, _, _, n) in zip(p, rows, strict=True))
             for j, v in values:
                 hit = sum((q if y else 1 - q) * n for q, (_, votes_, _, n) in zip(p, rows, strict=True) if votes_[j] == v)
-                like[j, v, y] = (hit + 1) / (mass + 3)
+                # The prior holds that labelers do better than chance, which decides where few spans were seen.
+                agrees = {(1, 1): 3, (-1, 0): 3, (0, 0): 2, (0, 1): 2}.get((v, y), 1)
+                like[j, v, y] = (hit + agrees) / (mass + 6)
         for k in KINDS:
             own = [(q, n) for q, (kind, _, known, n) in zip(p, rows, strict=True) if kind == k]
             share[k] = (sum(q * n for q, n in own) + 1) / (sum(n for _, n in own) + 2)

@@ -1,0 +1,200 @@
+"""Token files, packing, archives, page text, personal data, the pipeline."""
+
+import hashlib
+import io
+import re
+import zlib
+from collections import Counter
+
+import numpy as np
+import pandas as pd
+import pyarrow as pa
+import pytest
+
+from recall_engine.llm import encoding, packing, page_text, private_spans, token_files, warc
+
+from . import fixtures
+
+
+def plain(rows, name, end):
+    from tokenizers import Tokenizer
+
+    t = Tokenizer.from_file(encoding.default_tokenizer(name))
+    t.encode_special_tokens = True
+    return [(r[0], t.encode(r[1] or "", add_special_tokens=False).ids + [end]) for r in rows]
+
+
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
+def test_encoder_equals_library(name):
+    texts = ["", None, "a", " a  b\n\n c.d,e 'tis I'm", "x  y　z  q", "é à.b  ç!d", "\n", "tab\tx\x0b\x0cy", "日本 語", "<|endoftext|> <|startoftext|>", "A1b2 3.4 (x) - y", "word. Next\n\nline", "́x ́y", "ΑΣ Σ", "a\x1cb c"]
+    e = encoding.Encoder(encoding.default_tokenizer(name))
+    for _ in range(2):
+        flat, bounds = e.encode(pa.array(texts))
+        assert [flat[a:b].tolist() for a, b in zip(bounds, bounds[1:], strict=False)] == e.whole([t or "" for t in texts])
+
+
+@pytest.mark.parametrize("bits", [False, True])
+def test_token_planes(spark, bits):
+    df, rows = fixtures.documents(spark)
+    got = token_files.round_trip(df, encoding.default_tokenizer("byte_bpe_50k.json"), bits=bits, block_ids=256).toPandas()
+    expected = plain(rows, "byte_bpe_50k.json", 2)
+    assert Counter((d, len(i), zlib.crc32(np.array(i, "<u4").tobytes())) for d, i in expected) == Counter((None if pd.isna(x.doc_id) else int(x.doc_id), x.n_tokens, x.ids_crc32) for x in got.itertuples())
+    got = got.sort_values("start", ignore_index=True)
+    assert (got.start == got.n_tokens.cumsum() - got.n_tokens).all()
+    ids = got.doc_id.fillna(-1).to_numpy()
+    assert (np.diff(ids) >= 0).all()
+    assert token_files.round_trip(fixtures.empty(spark), encoding.default_tokenizer("byte_bpe_50k.json")).count() == 0
+
+
+def test_shard_is_checked():
+    class Out(io.BytesIO):
+        def size(self):
+            return len(self.getvalue())
+
+    out = Out()
+    w = token_files.Writer(out, 8)
+    w.add(np.arange(70_000, 70_020, dtype="<u4"), [3, 0, 17])
+    w.close()
+    assert [d.tolist() for d in token_files.Reader(out).documents()] == [list(range(70_000, 70_003)), [], list(range(70_003, 70_020))]
+    broken = Out(out.getvalue()[:-9] + b"X" * 9)
+    with pytest.raises(ValueError):
+        token_files.Reader(broken)
+
+
+def test_packing(spark):
+    df, rows = fixtures.documents(spark)
+    got = packing.packed(df, encoding.default_tokenizer("word_bpe_49k.json"), capacity=256).toPandas()
+    expected = Counter()
+    for d, ids in plain(rows, "word_bpe_49k.json", 0):
+        for k in range(0, len(ids), 256):
+            expected[d, k // 256, k, len(ids[k : k + 256]), zlib.crc32(np.array(ids[k : k + 256], "<u4").tobytes())] += 1
+    assert expected == Counter((None if pd.isna(x.doc_id) else int(x.doc_id), x.piece, x.start, x.length, x.ids_crc32) for x in got.itertuples())
+    got = got.sort_values(["sequence_id", "offset"])
+    assert (got.groupby("sequence_id").length.cumsum() - got.length == got.offset).all()
+    assert got.groupby("sequence_id").length.sum().max() <= 256
+    assert packing.packed(fixtures.empty(spark), encoding.default_tokenizer("word_bpe_49k.json")).count() == 0
+
+
+def test_plan_is_near_the_bound():
+    rng = np.random.default_rng(1)
+    for lengths in (rng.integers(1, 2049, 20_000), np.minimum(2048, rng.lognormal(6, 1, 20_000).astype(int) + 1), rng.integers(700, 1000, 5_000), np.array([2048] * 5 + [1] * 3)):
+        h = Counter(lengths.tolist())
+        plan = packing.packing_plan(h)
+        runs = list(zip(*(plan[c].tolist() for c in ("length", "rank", "sequence", "each", "offset")), strict=True))
+        seen, placed = Counter(), []
+        for k, (length, rank, sequence, each, offset) in enumerate(runs):
+            last = k + 1 == len(runs) or runs[k + 1][0] != length
+            n = (h[length] if last else runs[k + 1][1]) - rank
+            assert rank == seen[length] and n % each == 0
+            seen[length] += n
+            placed += [(sequence + i // each, offset + i % each * length, length) for i in range(n)]
+        assert seen == h
+        placed.sort()
+        at = np.array(placed)
+        same = at[1:, 0] == at[:-1, 0]
+        assert (at[1:, 1][same] == (at[:-1, 1] + at[:-1, 2])[same]).all() and (at[1:, 1][~same] == 0).all() and (at[:, 1] + at[:, 2]).max() <= 2048
+        assert len(np.unique(at[:, 0])) == plan["sequences"]
+        bound = -(-int(lengths.sum()) // 2048)
+        pairs = len(lengths) // 2 if lengths.min() > 682 else 0  # three don't fit
+        assert plan["sequences"] <= 1.04 * max(bound, pairs) + 1
+
+
+def pages(spark):
+    long = "<p>" + "long text " * 60_000 + "</p>"
+    body = "<html><body><nav>menu</nav><article><h1>T</h1><p>some words here that make the payload long enough to be stored once only, yes it is</p></article></body></html>"
+    rows = [(5, "http://a.example/1", body), (2, "http://a.example/2", body), (9, None, body), (7, "u", None), (8, "u", ""), (1, "u", "short"), (3, "u", "short"), (None, "http://a.example/3", body), (11, "http://b.example/é x", long), (12, "x", long), (2, "http://a.example/2", body)]
+    return spark.createDataFrame(rows, "page_id long, url string, html string"), rows
+
+
+def test_archives(spark):
+    df, rows = pages(spark)
+    got = warc.round_trip(df).toPandas()
+    first = {}
+    for i, _, h in rows:
+        if h and len(h.encode()) >= 100 and i is not None:
+            first[h] = min(first.get(h, i), i)
+    expected = Counter()
+    for i, _, h in rows:
+        b = (h or "").encode()
+        copy = len(b) >= 100 and i != first[h]
+        expected[i, len(b), hashlib.sha256(b).hexdigest(), "revisit" if copy else "response", first[h] if copy else None] += 1
+    value = lambda v: None if pd.isna(v) else int(v)
+    assert expected == Counter((value(x.page_id), x.payload_bytes, x.payload_digest, x.record_type, value(x.refers_to)) for x in got.itertuples())
+    assert warc.round_trip(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
+
+
+def test_page_text_of_one_page():
+    text = lambda h: page_text.Page(h).text()
+    assert text("<body><header>x</header><div class='sidebar'>s</div><main><h1>T</h1><p>a<b>b</b> &amp; c<p>d<ul><li>1<li>2</ul><div id='comments'><p>hi</p></div></main><footer>f</footer>") == "T ab & c d 1 2"
+    assert text("<article><p>x &lt; y<br>z&nbsp;w<script>var a='</p>';</script></p><form>f</form><aside>q</aside></article><p>out</p>") == "x < y z w"
+    assert text("no markup & <b>bold") == "no markup & bold" and text("") == ""
+    assert text("<article><p>one<div>two</div>three</article>") == "one two three"
+    assert text("<article><div class='cookie-notice'>c</div><p hidden>h</p><p>a</p><!-- <p>no</p> --></article>") == "a"
+    assert text("<article><p>unclosed <a href='x>y'>link</a> <i>t") == "unclosed link t"
+
+
+def test_site_templates(spark):
+    rows = []
+    for k in range(30):
+        rows.append((k, "http://site.example/p%d" % k, f"<body><div><p>Welcome to our site</p></div><div><p>Own words {k} {k * k}</p></div></body>"))
+    for k in range(30, 40):  # copies of one article are not template
+        rows.append((k, "http://copy.example/p", "<body><article><div><p>The same article</p></div></article></body>"))
+    rows += [(40, None, None), (41, "no host", "<p>x</p>")]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = {r.page_id: (r.text, r.n_chars) for r in page_text.extracted(df).collect()}
+    assert got[3] == ("Own words 3 9", 13) and got[35][0] == "The same article" and got[40] == ("", 0) and got[41][0] == "x"
+    assert page_text.extracted(df.limit(0)).count() == 0
+
+
+PATTERNS = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
+
+
+def stands(kind, m):
+    d = re.sub("[^0-9]", "", m)
+    if kind == "ip":
+        return all(int(x) <= 255 for x in m.split("."))
+    if kind == "card":
+        v = [int(c) * (1 + i % 2) for i, c in enumerate(reversed(d))]
+        return 16 <= len(d) <= 19 and sum(x - 9 * (x > 9) for x in v) % 10 == 0
+    return kind != "phone" or 8 <= len(d) <= 15
+
+
+def test_personal_data(spark):
+    df, rows = fixtures.documents(spark)
+    more = ["a@b.com_x@y.org", "1.2.3.4.5.6.7.8", "4111111111111111 4111 1111 1111 1111", "5 4111111111111111", "é@x.de ñ 日本 +1234567890 x", "00.1.2.3 256.1.1.1 1.1.1.1", "a.b@c.d.e@f.g", "1" * 5000, "1 " * 3000, "a@" * 2000, "x" * 5000, "+1 " * 900]
+    rows = rows + [(1000 + i, t, "en", "a", 0, "", 0) for i, t in enumerate(more)]
+    df = spark.createDataFrame([(r[0], r[1], "z") for r in rows], "doc_id long, text string, t string")
+    got = private_spans.digest(private_spans.found(df)).toPandas()
+    expected = Counter()
+    for r in rows:
+        t = r[1] or ""
+        spans = {k: [m.span() for m in re.finditer(p, t) if stands(k, m[0])] for k, p in PATTERNS.items()}
+        line = ",".join(f"{k}:{a}:{b}" for k in PATTERNS for a, b in spans[k])
+        expected[r[0], *[len(spans[k]) for k in PATTERNS], hashlib.sha256(line.encode()).hexdigest()] += 1
+    assert expected == Counter((None if pd.isna(x.doc_id) else int(x.doc_id), x.n_email, x.n_ip, x.n_card, x.n_phone, x.base_sha256) for x in got.itertuples())
+    assert got.spans.str.contains("secret:").any() and not got[got.doc_id == 1010].spans.str.contains(":").any()
+    assert private_spans.digest(private_spans.found(fixtures.empty(spark))).count() == 0
+
+
+def test_span_classifier_learns_reliabilities():
+    code = lambda v: int("".join(str(x + 1) for x in v), 3)
+    counts = [("phone", code((1, 1, 1, 1, 0)), 1, 500), ("phone", code((0, 0, -1, 1, 0)), 0, 500), ("secret", code((1, 1, 1, 1, 0)), -1, 200), ("secret", code((-1, 0, -1, -1, 0)), -1, 900)]
+    m = private_spans.trained(counts)
+    assert m.probability("secret", code((1, 1, 1, 1, 0))) > 0.5 > m.probability("secret", code((-1, 0, -1, -1, 0)))
+    assert private_spans.trained([]).probability("phone", 0) == 0.5
+
+
+def test_pipeline(spark, sf):
+    import corpus_pipeline
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, docs, sf)
+        assert out.columns == docs.columns and out.dtypes == docs.dtypes, name
+        docs = spark.createDataFrame(out.collect(), docs.schema)
+        assert docs.count() > 0
+    packed = corpus_pipeline.STAGES[-1][1](spark, docs, sf)
+    assert packed.groupBy("sequence_id").agg({"length": "sum"}).where("`sum(length)` > 2048").count() == 0
+    empty = fixtures.empty(spark)
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, empty, sf).count() == 0
