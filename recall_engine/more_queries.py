@@ -1 +1,220 @@
-"""Queries without an SQL form."""
+"""Queries without an SQL form: the learned ranker, general polygons, experiments over trials, streams."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from .functions import polygons, strata
+from .functions.kdop import relate
+from .operators import features, grid, measures, sampler, verify
+from .params import METHODS, TARGETS, Params, for_dir
+from .plans import calibrate, experiment, objective, ranker
+from .queries import RELEVANT, candidate_pairs, embedding_pairs, labelled_documents, register, scored_pairs
+from .sources import io
+from .sources.layers import ring, workload
+from .streaming import monitor
+
+
+def scaled_pairs(spark: SparkSession, sf_dir: str, w: str) -> DataFrame:
+    x = features.raw(candidate_pairs(spark, sf_dir, w)).withColumn("y", relate(RELEVANT)).select("pair_id", "y", *features.NAMES)
+    return features.scale(x, features.fit_minmax(x))
+
+
+def network_scored(spark: SparkSession, sf_dir: str, w: str = "w4", net_seed: int = 42) -> DataFrame:
+    """pair_id, p, d, y with the learned score; pairs are labelled as the balanced set asks."""
+    params = for_dir(sf_dir)
+    x = scaled_pairs(spark, sf_dir, w).cache()
+    params = params.at_most(x.count())
+    net, _ = ranker.learned(x, F.col("y"), params.pool, params.labels, params.base_seed, net_seed)
+    return ranker.score(x, net, ("pair_id", "y"), batch=params.batch).withColumn("d", strata.equal_width(F.col("p"))).select("pair_id", "p", "d", "y")
+
+
+@register("score_network_w4")
+def score_network_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return network_scored(spark, sf_dir)
+
+
+@register("flagship_network_w4")
+def flagship_network_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The whole pipeline with the learned score: all methods and targets."""
+    return experiment.run_methods(spark, network_scored(spark, sf_dir), "w4", for_dir(sf_dir))
+
+
+for _kind in ("logistic", "perceptron"):
+
+    @register(f"score_mllib_{_kind}_w1")
+    def score_mllib(spark: SparkSession, sf_dir: str, kind: str = _kind) -> DataFrame:
+        x = scaled_pairs(spark, sf_dir, "w1").cache()
+        return ranker.mllib_scores(x, F.col("y"), for_dir(sf_dir).pool, 2025, kind)
+
+
+for _kind in ("overlap", "margin", "centre"):
+    register(f"heuristic_{_kind}_w4")(lambda spark, sf_dir, k=_kind: scored_pairs(spark, sf_dir, "w4", k))
+
+
+@register("relate_general")
+def relate_general(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The nine-cell matrix of the general path beside the interval path, on all candidates of W1."""
+    pairs = candidate_pairs(spark, sf_dir, "w1").withColumns({"s_ring": ring("s_"), "t_ring": ring("t_"), "fast_covers": relate("covers"), "fast_touches": relate("touches")})
+    x = polygons.related(pairs.select("pair_id", "fast_covers", "fast_touches", "s_ring", "t_ring"))
+    return x.withColumn("covers", F.col("matrix").rlike("^(T|2).....FF|^.(T|1)....FF|^...(T|1)..FF|^....(T|0|1).FF"))
+
+
+@register("simplify_rings")
+def simplify_rings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    s, _ = workload(spark, sf_dir, "w1")
+    return polygons.simplified(s.select("id", ring().alias("ring")), "ring", 0.1).select("id", F.size("ring").alias("corners"), io.to_wkt(F.col("ring")).alias("wkt"))
+
+
+def _table(spark: SparkSession, sf_dir: str, names: tuple[str, ...], trials: int, **options) -> DataFrame:
+    return experiment.recall_table(spark, {w: scored_pairs(spark, sf_dir, w) for w in names}, for_dir(sf_dir), trials, **options)
+
+
+register("recall_table")(lambda spark, sf_dir: _table(spark, sf_dir, ("w1", "w2", "w3", "w4"), 4))
+register("plain_rules_w4")(lambda spark, sf_dir: _table(spark, sf_dir, ("w4",), 4, methods=("exact_beta", "jeffreys", "wilson", "quantile")))
+
+
+@register("ablation_sampling")
+def ablation_sampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Wilson on a random and on a hashed sample: spread of recall and their ratio."""
+    table = _table(spark, sf_dir, ("w4",), 10, methods=("wilson_random", "wilson_hash"))
+    return measures.spread_ratio(table.where("workload IS NOT NULL AND method IS NOT NULL AND target_mille IS NOT NULL"), "wilson_hash", "wilson_random")
+
+
+def _variants(spark: SparkSession, sf_dir: str, variants: dict[str, dict], trials: int = 4, w: str = "w4") -> DataFrame:
+    """Named variants of one method in one table; the label replaces the method's name."""
+    kept = scored_pairs(spark, sf_dir, w).cache()
+    rows = []
+    for label, options in variants.items():
+        rows += [(w, label, *r[2:]) for r in experiment.thresholds(kept, w, options.pop("params", for_dir(sf_dir)), trials=trials, **options)]
+    return measures.recall_summary(experiment.runs(spark, kept, rows))
+
+
+@register("ablation_ensemble")
+def ablation_ensemble(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One subsample against several, min, median and mean, bounds alone, quantile alone, and few bootstraps."""
+    p = for_dir(sf_dir)
+    few = Params(**{**p.__dict__, "n_boot": 20})
+    return _variants(spark, sf_dir, {
+        "single": {"methods": ("ivw_single",)}, "min": {"methods": ("ivw_min",)}, "median": {"methods": ("ivw_min",), "fuse": "median"}, "mean": {"methods": ("ivw_min",), "fuse": "mean"},
+        "bounds": {"methods": ("ivw_min",), "rules": ("exact_beta", "jeffreys", "wilson")}, "quantile": {"methods": ("ivw_min",), "rules": ("quantile",)},
+        "few_boot": {"methods": ("ivw_min",), "params": few}, "split": {"methods": ("ivw_min",), "mode": "split"}, "full_cov": {"methods": ("ivw_min",), "fusion_cov": "full"}, "analytic": {"methods": ("ivw_min",), "engine": "analytic"},
+    })
+
+
+@register("ablation_weights")
+def ablation_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Equal quotas with and without design weights, proportional quotas, and the whole as one stratum."""
+    return _variants(spark, sf_dir, {
+        "equal_unweighted": {"methods": ("ivw_single",), "quota": "equal", "weighting": "none"}, "equal_design": {"methods": ("ivw_single",), "quota": "equal"},
+        "proportional": {"methods": ("ivw_single",)}, "global": {"methods": ("ivw_single",), "quota": "global"}, "by_stratum": {"methods": ("ivw_single",), "by_stratum": True},
+    })
+
+
+def _stress(spark: SparkSession, scored: DataFrame, name: str, params: Params, **options) -> DataFrame:
+    x = scored.withColumn("d", strata.equal_width(F.col("p")))
+    return experiment.run_methods(spark, x, name, params, **options)
+
+
+register("stress_rare_w2")(lambda spark, sf_dir: _stress(spark, scored_pairs(spark, sf_dir, "w2"), "w2", for_dir(sf_dir)))
+register("stress_no_signal_w5")(lambda spark, sf_dir: _stress(spark, embedding_pairs(spark, sf_dir), "w5", for_dir(sf_dir)))
+register("stress_tiny_w6")(lambda spark, sf_dir: _stress(spark, labelled_documents(spark, sf_dir), "w6", for_dir(sf_dir)))
+register("stress_tied_w4")(lambda spark, sf_dir: _stress(spark, scored_pairs(spark, sf_dir, "w4").withColumn("p", F.lit(0.5)), "tied", for_dir(sf_dir), methods=("ivw_single", "ivw_min")))
+
+
+@register("baseline_no_ranker_w4")
+def baseline_no_ranker_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Review in hash order: cost comes near the target itself."""
+    x = scored_pairs(spark, sf_dir, "w4").withColumn("p", (F.xxhash64("pair_id").cast("double") + float(1 << 63)) / float(1 << 64))
+    return _stress(spark, x, "w4_hash_order", for_dir(sf_dir), methods=("ivw_min",))
+
+
+@register("variant_dynamic_bins")
+def variant_dynamic_bins(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Strata with edges around the decision region, wide near it or narrow near it, beside equal widths and equal depths."""
+    base = scored_pairs(spark, sf_dir, "w4").cache()
+    kinds = {"wide_near": strata.dynamic_edges(0.7), "narrow_near": strata.dynamic_edges(0.7, inverse=True), "equi_depth": strata.equi_depth_edges(base)}
+    out = None
+    for name, e in kinds.items():
+        x = experiment.run_methods(spark, base.withColumn("d", strata.edges(F.col("p"), e)), name, for_dir(sf_dir), methods=("wilson_hash", "ivw_single"), quota="equal", trials=2)
+        out = x if out is None else out.unionByName(x)
+    return out
+
+
+@register("variant_gate")
+def variant_gate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether one more sample would pay, per target."""
+    x = scored_pairs(spark, sf_dir, "w4").cache()
+    n = x.count()
+    params = for_dir(sf_dir).at_most(n)
+    rows = []
+    for t in TARGETS:
+        r = calibrate.calibrate(x, F.col("y"), t, params=params)
+        near = x.where(F.abs(F.col("p") - r.tau) < 0.01).count()
+        rows.append((t, r.tau, float(r.ci[0]), float(r.ci[1]), objective.gate_marginal(r, n, near / n / 0.02, float(params.k))))
+    return spark.createDataFrame(rows, "target_mille int, tau double, ci_low double, ci_high double, accepted boolean")
+
+
+@register("variant_cost_objective")
+def variant_cost_objective(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return objective.cheapest(sampler.sample(scored_pairs(spark, sf_dir, "w4"), for_dir(sf_dir).k, 2026, "proportional"), 1.0, 20.0)
+
+
+@register("review_within_budget")
+def review_within_budget(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Calibrate, review within a fifth of the pairs, and report what was confirmed and missed."""
+    x = scored_pairs(spark, sf_dir, "w4").withColumn("hash_key", F.xxhash64("pair_id")).cache()
+    n = x.count()
+    r = calibrate.calibrate(x, F.col("y"), 800, params=for_dir(sf_dir).at_most(n))
+    done = verify.review(x, r.tau, n // 5, "split")
+    return measures.budgeted(done.agg(F.count("*").alias("reviewed"), F.count_if("y").alias("confirmed")).crossJoin(verify.missed(x, done, F.col("y")).agg(F.count("*").alias("missed"))), n // 5)
+
+
+@register("methods_compared")
+def methods_compared(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _table(spark, sf_dir, ("w4",), 10, methods=METHODS)
+
+
+def _replayed(spark: SparkSession, sf_dir: str):
+    return monitor.replay(spark, sf_dir)
+
+
+@register("stream_drift")
+def stream_drift(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return monitor.run_to_end(monitor.drift(_replayed(spark, sf_dir), 0.5), "stream_drift", "append")
+
+
+@register("stream_sliding")
+def stream_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return monitor.run_to_end(monitor.drift(_replayed(spark, sf_dir), 0.5, "2 hours", "1 hour"), "stream_sliding", "append")
+
+
+@register("stream_sessions")
+def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return monitor.run_to_end(monitor.sessions(_replayed(spark, sf_dir)), "stream_sessions", "append")
+
+
+@register("stream_reviewed")
+def stream_reviewed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return monitor.run_to_end(monitor.unique(monitor.reviewed(_replayed(spark, sf_dir), 0.5)), "stream_reviewed", "append")
+
+
+@register("stream_bottom_k")
+def stream_bottom_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The hash sample of the stream: the k smallest of all updates per stratum."""
+    from pyspark.sql import Window
+
+    updates = monitor.run_to_end(monitor.bottom_k(_replayed(spark, sf_dir), 50, 2026), "stream_bottom_k", "append")
+    rank = F.row_number().over(Window.partitionBy("d").orderBy("hash_key"))
+    return updates.distinct().withColumn("r", rank).where("r <= 50").drop("r")
+
+
+@register("grid_statistics")
+def grid_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = None
+    for w in ("w1", "w2", "w3", "w4"):
+        s, t = workload(spark, sf_dir, w)
+        x = grid.dataset_stats(s, t, relate(RELEVANT)).withColumn("workload", F.lit(w))
+        out = x if out is None else out.unionByName(x)
+    return out

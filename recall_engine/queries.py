@@ -47,8 +47,8 @@ _SIDES = ", ".join(f"{a}.{c} AS {a}_{c}" for a in "st" for c in OCTAGON)
 
 def candidates_sql(w: str) -> str:
     s, t = WORKLOADS[w]
-    return f"""s AS ({layer_sql(s)}), t AS ({layer_sql(t)}),
-c AS (SELECT s.id AS s_id, t.id AS t_id, s.id || '|' || t.id AS pair_id, {_SIDES}
+    return f"""s AS MATERIALIZED ({layer_sql(s)}), t AS MATERIALIZED ({layer_sql(t)}),
+c AS MATERIALIZED (SELECT s.id AS s_id, t.id AS t_id, s.id || '|' || t.id AS pair_id, {_SIDES}
       FROM s JOIN t ON s.x0 <= t.x1 AND t.x0 <= s.x1 AND s.y0 <= t.y1 AND t.y0 <= s.y1)"""
 
 
@@ -65,7 +65,7 @@ _P = """least(1.0::DOUBLE, greatest(0.0::DOUBLE,
 def scored_sql(w: str) -> str:
     return f"""{candidates_sql(w)},
 p0 AS (SELECT *, {_P} AS p FROM c),
-sc AS (SELECT pair_id, p, CAST(least(9, floor(p * 10)) AS INTEGER) AS d, ({_COVERS}) AS y FROM p0)"""
+sc AS MATERIALIZED (SELECT pair_id, p, CAST(least(9, floor(p * 10)) AS INTEGER) AS d, ({_COVERS}) AS y FROM p0)"""
 
 
 def keyed_sql(seed: int, d: str = "d", name: str = "ky") -> str:
@@ -232,8 +232,8 @@ def raw_features(spark: SparkSession, sf_dir: str, w: str = "w4") -> DataFrame:
     return features.raw(candidate_pairs(spark, sf_dir, w)).select("pair_id", *features.NAMES)
 
 
-register("features_raw_w4", f"WITH {_RAW_SQL} SELECT pair_id, {', '.join(f'round({n}, 6) AS {n}' for n in features.NAMES)} FROM f")(
-    lambda spark, sf_dir: raw_features(spark, sf_dir).select("pair_id", *[r6(n).alias(n) for n in features.NAMES])
+register("features_raw_w4", f"WITH {_RAW_SQL} SELECT pair_id, {', '.join(f'floor({n} * 1e6::DOUBLE + 0.5::DOUBLE) / 1e6::DOUBLE AS {n}' for n in features.NAMES)} FROM f")(
+    lambda spark, sf_dir: raw_features(spark, sf_dir).select("pair_id", *[(F.floor(F.col(n) * 1e6 + 0.5) / 1e6).alias(n) for n in features.NAMES])  # rounding that both engines do alike
 )
 
 
