@@ -458,10 +458,10 @@ def budget_cut(spark: SparkSession, sf_dir: str) -> DataFrame:
     return verify.review(keyed, 0.5, 500, "split").select("pair_id")
 
 
-@register("missed_matches", f"WITH {scored_sql('w4')} SELECT pair_id FROM sc WHERE y AND p < 0.6")
+@register("missed_matches", f"WITH {scored_sql('w4')} SELECT pair_id FROM sc WHERE y AND p < 0.8")
 def missed_matches(spark: SparkSession, sf_dir: str) -> DataFrame:
     x = scored_pairs(spark, sf_dir, "w4")
-    return verify.missed(x, verify.review(x, 0.6), F.col("y")).select("pair_id")
+    return verify.missed(x, verify.review(x, 0.8), F.col("y")).select("pair_id")
 
 
 @register("variance_bound", f"WITH {scored_sql('w4')}, g AS (SELECT d, coalesce(stddev_samp(p), 0) AS sd, count(*) AS n FROM sc GROUP BY d) SELECT round(max(sd) ** 2 / ({K} / 10.0::DOUBLE) * 1e6, 6) AS bound_e6, round(sum((n / (SELECT count(*) FROM sc)::DOUBLE) ** 2 * sd ** 2 / ({K} / 10.0::DOUBLE)) * 1e6, 6) AS classical_e6 FROM g")
@@ -485,15 +485,17 @@ def f_beta_best(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @register("ideal_threshold_w4", f"""WITH {scored_sql("w4")}, ps AS (SELECT p, row_number() OVER (ORDER BY p DESC) AS k, count(*) OVER () AS n FROM sc WHERE y),
-t AS (SELECT CAST(v AS INTEGER) AS target_mille, p AS tau FROM ps, (VALUES (700), (800), (900)) x(v) WHERE k = (n * v + 999) // 1000)
-SELECT target_mille, round(tau, 6) AS tau, (SELECT count(*) FROM sc WHERE p >= tau) AS reviewed FROM t""")
+ta AS (SELECT CAST(v AS INTEGER) AS target_mille, p AS tau FROM ps, (VALUES (700), (800), (900)) x(v) WHERE k = (n * v + 999) // 1000)
+SELECT target_mille, round(tau, 6) AS tau, (SELECT count(*) FROM sc WHERE p >= tau) AS reviewed FROM ta""")
 def ideal_threshold_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
     x = scored_pairs(spark, sf_dir, "w4")
     found = [(t, measures.ideal_threshold(x, t)) for t in TARGETS]
     return spark.createDataFrame([(t, round(r["tau"], 6), r["reviewed"]) for t, r in found], "target_mille int, tau double, reviewed long")
 
 
-register("rollup_stratum", f"WITH {scored_sql('w4')} SELECT d, y, count(*) AS n FROM sc GROUP BY ROLLUP (d, y)")(lambda spark, sf_dir: scored_pairs(spark, sf_dir, "w4").rollup("d", "y").agg(F.count("*").alias("n")))
+register("rollup_stratum", f"WITH {scored_sql('w4')} SELECT coalesce(d, -1) AS d, coalesce(CAST(y AS VARCHAR), 'all') AS y, count(*) AS n FROM sc GROUP BY ROLLUP (sc.d, sc.y)")(
+    lambda spark, sf_dir: scored_pairs(spark, sf_dir, "w4").rollup("d", "y").agg(F.count("*").alias("n")).select(F.coalesce("d", F.lit(-1)).alias("d"), F.coalesce(F.col("y").cast("string"), F.lit("all")).alias("y"), "n")
+)
 
 
 def _two(spark: SparkSession, sf_dir: str) -> DataFrame:
