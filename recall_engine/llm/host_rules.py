@@ -110,6 +110,23 @@ def counted(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ()) ->
     return picked.mapInArrow(run, schema)
 
 
+def counted_rows(docs: DataFrame, text: str, host: str) -> DataFrame:
+    """``row`` (a struct of all columns), ``host`` and the base counts; the text travels once."""
+    rows = docs.select(F.struct(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(docs.columns)]).alias("row"))
+    at_text, at_host = docs.columns.index(text), docs.columns.index(host)
+    schema = T.StructType([*rows.schema.fields, T.StructField("host", docs.schema[host].dataType), *[T.StructField(c, T.LongType()) for c in COUNTS]])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            column = whole.column(0)
+            flat = pa.RecordBatch.from_arrays([column, column.field(at_host), column.field(at_text)], names=["row", "host", "_text"])
+            for b in textkit.slices(iter([flat]), "_text", 3_000_000):
+                got = rule_counts(b.column(2))
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *[pa.array(got[c].astype(np.int64)) for c in COUNTS]], names=["row", "host", *COUNTS])
+
+    return rows.mapInArrow(run, schema)
+
+
 def verdicts(hosts: DataFrame, limit: float = HOST_LIMIT) -> DataFrame:
     """(host, n, failed) to (host, rate, host_rejected): rates shrunk by a beta prior of the hosts' mean and variance."""
     rate = F.col("failed") / F.col("n")
@@ -144,8 +161,9 @@ def kept_documents(docs: DataFrame, text: str = "text", host: str = "source", li
 
     The counts are made twice, once for the hosts' rates and once beside the text, so that no text is shuffled or kept.
     """
-    body = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(f"`{host}`").alias("host"), F.col(f"`{text}`").alias("_body"))
-    hosts = with_rules(counted(body, "_body", ("host",))).groupBy("host").agg(F.count("*").alias("n"), F.count_if("rule_failed").alias("failed"))
+    own = docs.select(F.col(f"`{host}`").alias("host"), F.col(f"`{text}`").alias("_body"))
+    hosts = with_rules(counted(own, "_body", ("host",))).groupBy("host").agg(F.count("*").alias("n"), F.count_if("rule_failed").alias("failed"))
     bad = cut(verdicts(hosts, limit).where("host_rejected").select(F.col("host").alias("_bad")))
-    marked = with_rules(counted(body, "_body", ("row", "host"))).where("NOT base_failed")
-    return marked.join(bad, F.col("host").eqNullSafe(F.col("_bad")) & F.col("rule_failed"), "left_anti").select("row.*")
+    marked = with_rules(counted_rows(docs, text, host)).where("NOT base_failed")
+    stays = marked.join(bad, F.col("host").eqNullSafe(F.col("_bad")) & F.col("rule_failed"), "left_anti")
+    return stays.select(*[F.col(f"row.c{k}").alias(c) for k, c in enumerate(docs.columns)])

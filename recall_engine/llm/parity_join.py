@@ -35,6 +35,9 @@ WIDTH = 5
 SIMILARITY = (75, 100)
 BAND_RATIO = 8
 FREQUENT_LIST = 1 << 17
+#: Text that a worker handles at a time, and keys that it gathers before it sends them: both bound its memory.
+SLICE_BYTES = 3_000_000
+SEND_KEYS = 1_000_000
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -156,7 +159,7 @@ def described(docs: DataFrame, width: int) -> DataFrame:
     """(doc_id, _text) to (doc_id, n_shingles, node, sketch)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in textkit.slices(batches, "_text"):
+        for b in textkit.slices(batches, "_text", SLICE_BYTES):
             h, bounds = shingles(b.column(1), width)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.diff(bounds)), pa.array(node_ids(h, bounds)), pa.array(bit_sketch(h, bounds), pa.binary())], names=["doc_id", "n_shingles", "node", "sketch"])
 
@@ -168,7 +171,7 @@ def frequent_shingles(docs: DataFrame, width: int, most: int = FREQUENT_LIST) ->
     """Hashes of the shingles that most sets hold, sorted, and the power of two of each's count. Orders parts; results don't depend on it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in textkit.slices(batches, "_text"):
+        for b in textkit.slices(batches, "_text", SLICE_BYTES):
             h, bounds = shingles(b.column(0), width)
             _, one = np.unique(node_ids(h, bounds), return_index=True)  # copies count once
             pick = np.zeros(len(bounds) - 1, bool)
@@ -195,8 +198,28 @@ def buckets(docs: DataFrame, width: int, similarity: tuple[int, int], frequent:
     fr, level = frequent
     a, b = similarity
 
+    def sent(own: list, keys: list, nodes: list, sizes: list) -> Iterator[pa.RecordBatch]:
+        """Rows (part, keys, owners' places, owners' nodes and sizes) of what was gathered."""
+        shift = np.repeat(np.cumsum([0, *map(len, nodes)])[:-1], [len(o) for o in own])
+        own, key, node, size = np.concatenate(own) + shift, np.concatenate(keys), np.concatenate(nodes), np.concatenate(sizes)
+        to = (textkit.mix64(key + _ODD) % np.uint64(parts)).astype(np.int64)
+        order = np.argsort(to, kind="stable")
+        own, key, to = own[order], key[order], to[order]
+        edge = np.searchsorted(to, np.arange(parts + 1))
+        used = np.flatnonzero(np.diff(edge))
+        for lo in range(0, len(used), 64):
+            cols = [[], [], [], []]
+            for p in used[lo : lo + 64]:
+                local, code = np.unique(own[edge[p] : edge[p + 1]], return_inverse=True)
+                cols[0].append(int(p))
+                cols[1].append(key[edge[p] : edge[p + 1]].tobytes())
+                cols[2].append(code.astype(np.uint32).tobytes())
+                cols[3].append(np.stack([node[local], size[local]]).astype(np.int64).tobytes())
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *[pa.array(c, pa.binary()) for c in cols[1:]]], names=["p", "keys", "own", "nodes"])
+
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in textkit.slices(batches, "_text", 24_000_000):
+        waiting: tuple[list, ...] = ([], [], [], [])
+        for batch in textkit.slices(batches, "_text", SLICE_BYTES):
             h, bounds = shingles(batch.column(0), width)
             node = node_ids(h, bounds)
             _, one = np.unique(node, return_index=True)
@@ -205,24 +228,14 @@ def buckets(docs: DataFrame, width: int, similarity: tuple[int, int], frequent:
             size = np.diff(bounds)
             h = h[np.repeat(keep, size)]
             node, size = node[keep], size[keep]
-            bounds = np.concatenate([[0], np.cumsum(size)])
-            own, key = part_keys(h, bounds, fr, level, similarity)
-            to = (textkit.mix64(key + _ODD) % np.uint64(parts)).astype(np.int64)
-            order = np.argsort(to, kind="stable")
-            own, key, to = own[order], key[order], to[order]
-            edge = np.searchsorted(to, np.arange(parts + 1))
-            used = np.flatnonzero(np.diff(edge))
-            for group in np.array_split(used, max(1, len(used) // 64)):
-                cols = [[], [], [], []]
-                for p in group:
-                    o = own[edge[p] : edge[p + 1]]
-                    local, code = np.unique(o, return_inverse=True)
-                    cols[0].append(int(p))
-                    cols[1].append(key[edge[p] : edge[p + 1]].tobytes())
-                    cols[2].append(code.astype(np.uint32).tobytes())
-                    cols[3].append(np.stack([node[local], size[local]]).astype(np.int64).tobytes())
-                if cols[0]:
-                    yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *[pa.array(c, pa.binary()) for c in cols[1:]]], names=["p", "keys", "own", "nodes"])
+            own, key = part_keys(h, np.concatenate([[0], np.cumsum(size)]), fr, level, similarity)
+            for store, x in zip(waiting, (own, key, node, size), strict=True):
+                store.append(x)
+            if sum(map(len, waiting[1])) >= SEND_KEYS:
+                yield from sent(*waiting)
+                waiting = ([], [], [], [])
+        if waiting[0]:
+            yield from sent(*waiting)
 
     def meet(table: pa.Table) -> pa.Table:
         keys, nodes, sizes = [], [], []
@@ -235,8 +248,8 @@ def buckets(docs: DataFrame, width: int, similarity: tuple[int, int], frequent:
         key, node, size = np.concatenate(keys), np.concatenate(nodes), np.concatenate(sizes)
         return pa.Table.from_arrays([pa.array(c) for c in met(key, node, size, a, b)], schema=_CANDIDATES())
 
-    sent = docs.select("_text").mapInArrow(send, "p int, keys binary, own binary, nodes binary")
-    return sent.groupBy("p").applyInArrow(meet, "bucket long, a long, na long, b long, nb long")
+    rows = docs.select("_text").mapInArrow(send, "p int, keys binary, own binary, nodes binary")
+    return rows.groupBy("p").applyInArrow(meet, "bucket long, a long, na long, b long, nb long")
 
 
 def _CANDIDATES() -> pa.Schema:
@@ -303,7 +316,7 @@ def node_texts(docs: DataFrame, width: int, wanted: DataFrame) -> DataFrame:
     """(node, text) for each wanted node, one text each; copies meet in the partial aggregate."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in textkit.slices(batches, "_text"):
+        for b in textkit.slices(batches, "_text", SLICE_BYTES):
             node = node_ids(*shingles(b.column(0), width))
             _, one = np.unique(node, return_index=True)
             yield pa.RecordBatch.from_arrays([pa.array(node[one]), b.column(0).take(pa.array(one))], names=["node", "text"])
@@ -321,7 +334,7 @@ def verified(pairs: DataFrame, docs: DataFrame, width: int, similarity: tuple[in
     both = pairs.join(two, F.col("b") == F.col("_b")).join(one, F.col("a") == F.col("_a")).select("a", "b", "ta", "tb")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for r in textkit.slices(batches, "tb"):
+        for r in textkit.slices(batches, "tb", SLICE_BYTES // 2):
             node, text = pa.concat_arrays([r.column(0), r.column(1)]), pa.concat_arrays([r.column(2), r.column(3)])
             _, one, code = np.unique(node.to_numpy(zero_copy_only=False), return_index=True, return_inverse=True)
             h, bounds = shingles(text.take(pa.array(one)), width)
