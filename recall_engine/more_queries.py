@@ -164,9 +164,10 @@ def variant_cost_objective(spark: SparkSession, sf_dir: str) -> DataFrame:
 @register("review_within_budget")
 def review_within_budget(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Calibrate, review within a fifth of the pairs, and report what was confirmed and missed."""
-    x = scored_pairs(spark, sf_dir, "w4").withColumn("hash_key", F.xxhash64("pair_id")).cache()
-    n = x.count()
-    r = calibrate.calibrate(x, F.col("y"), 800, params=for_dir(sf_dir).at_most(n))
+    plain = scored_pairs(spark, sf_dir, "w4").cache()
+    n = plain.count()
+    r = calibrate.calibrate(plain, F.col("y"), 800, params=for_dir(sf_dir).at_most(n))
+    x = plain.withColumn("hash_key", F.xxhash64("pair_id"))
     done = verify.review(x, r.tau, n // 5, "split")
     return measures.budgeted(done.agg(F.count("*").alias("reviewed"), F.count_if("y").alias("confirmed")).crossJoin(verify.missed(x, done, F.col("y")).agg(F.count("*").alias("missed"))), n // 5)
 
