@@ -36,30 +36,39 @@ SIMILARITY = (75, 100)
 BAND_RATIO = 8
 FREQUENT_LIST = 1 << 17
 #: Text that a worker handles at a time, and keys that it gathers before it sends them: both bound its memory.
-SLICE_BYTES = 3_000_000
+SLICE_BYTES = 2_000_000
 SEND_KEYS = 1_000_000
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
 
 def shingles(texts: pa.Array, width: int = WIDTH) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct shingle hashes of each text, sorted (uint64), and bounds (n + 1). Lower-cases A to Z."""
+    """Distinct shingle hashes of each text, sorted (uint64), and bounds (n + 1). Lower-cases A to Z.
+
+    Hashes of 64 bits stand for shingles: two of a pair of sets of m and n shingles agree by accident with a chance of
+    m * n / 2^64.
+    """
     raw, off = textkit.string_buffers(texts)
-    flat, bounds = textkit.words(textkit.lower_ascii(raw), off)
-    ids, values = textkit.codes(flat)
-    word = textkit.hash_values(values)[ids] if len(ids) else np.zeros(0, np.uint64)
+    word, bounds = textkit.word_hashes(textkit.lower_ascii(raw), off)
     count = np.diff(bounds)
-    span = np.minimum(np.maximum(count - width + 1, np.minimum(count, 1)), np.maximum(count, 0))
-    docs = np.repeat(np.arange(len(count)), span)
-    first = np.repeat(bounds[:-1] - (np.cumsum(span) - span), span) + np.arange(len(docs))
-    h = np.zeros(len(docs), np.uint64)
-    last = bounds[1:][docs]
+    n = len(word)
+    factor = textkit.mix64(np.arange(1, width + 1, dtype=np.uint64)) | np.uint64(1)
+    whole = max(0, n - width + 1)
+    h = np.zeros(whole, np.uint64)
     for j in range(width):
-        at = first + j
-        inside = at < last
-        w = np.where(inside, word[np.minimum(at, max(len(word) - 1, 0))], np.uint64(0x5851F42D4C957F2D)) if len(word) else h
-        h = textkit.mix64(h * _ODD + w)
-    order = np.lexsort((h, docs))
-    h, docs = h[order], docs[order]
+        h += word[j : whole + j] * factor[j]
+    # Windows that stay inside their text, then the texts of fewer words, each one shingle of all its words.
+    span = np.maximum(count - width + 1, 0)
+    docs = np.repeat(np.arange(len(count)), span)
+    h = h[np.repeat(bounds[:-1] - (np.cumsum(span) - span), span) + np.arange(len(docs))] if len(docs) else np.zeros(0, np.uint64)
+    short = np.flatnonzero((count > 0) & (count < width))
+    if len(short):
+        few = np.array([(word[bounds[k] : bounds[k + 1]] * factor[: count[k]]).sum() + np.uint64(count[k]) for k in short], np.uint64)
+        at = np.searchsorted(docs, short)
+        h, docs = np.insert(h, at, few), np.insert(docs, at, short)
+    h = textkit.mix64(h)
+    edges = np.searchsorted(docs, np.arange(len(count) + 1))
+    for lo, hi in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+        h[lo:hi].sort()
     new = np.ones(len(h), bool)
     new[1:] = (h[1:] != h[:-1]) | (docs[1:] != docs[:-1])
     h, docs = h[new], docs[new]
@@ -111,20 +120,21 @@ def part_keys(h: np.ndarray, bounds: np.ndarray, frequent: np.ndarray, level: np
         owner = np.repeat(use, lengths)
         at = np.repeat(bounds[use] - (np.cumsum(lengths) - lengths), lengths) + np.arange(len(owner))
         band = (home + step)[owner]
-        # As many parts as the band's largest sets have shingles; hashes are spread evenly, so the high bits choose the part.
+        # Twice as many parts as the band's largest sets have shingles; the high bits choose the part, so sorted hashes are sorted by part.
         bits = np.ceil(np.log2(ratio) * (band + 1)).astype(np.uint64) + np.uint64(1)
-        part = textkit.mix64(h[at]) >> (np.uint64(64) - bits)
-        order = np.lexsort((part, owner))
-        part, own, x, c = part[order], owner[order], h[at][order], cost[at][order]
-        head = np.flatnonzero(np.concatenate([[True], (part[1:] != part[:-1]) | (own[1:] != own[:-1])]))
+        x = h[at]
+        part = x >> (np.uint64(64) - bits)
+        head = np.flatnonzero(np.concatenate([[True], (part[1:] != part[:-1]) | (owner[1:] != owner[:-1])]))
         parity = np.bitwise_xor.reduceat(x, head)
-        worst = np.minimum.reduceat(c, head)  # a part is as rare as its rarest shingle
-        key = textkit.mix64(parity ^ textkit.mix64(part[head] * np.uint64(64) + (band[order][head].astype(np.uint64) + np.uint64(1))))
-        own = own[head]
-        order = np.lexsort((key, worst, own))
-        own, key = own[order], key[order]
-        rank = np.arange(len(own)) - np.searchsorted(own, own)
-        sent = rank <= limit[own]
+        worst = np.minimum.reduceat(cost[at], head)  # a part is as rare as its rarest shingle
+        key = textkit.mix64(parity ^ textkit.mix64(part[head] * np.uint64(64) + (band[head].astype(np.uint64) + np.uint64(1))))
+        # The common order: rare parts first, then by hash; the key itself holds it.
+        key = (worst << np.uint64(58)) | (key >> np.uint64(6))
+        own = owner[head]
+        first = np.searchsorted(own, use)
+        for lo, hi in zip(first.tolist(), [*first[1:].tolist(), len(own)], strict=True):
+            key[lo:hi].sort()
+        sent = np.arange(len(own)) - first[np.searchsorted(use, own)] <= limit[own]
         found_set.append(own[sent])
         found_key.append(key[sent])
     if not found_set:
@@ -155,39 +165,44 @@ def may_link(size_a: np.ndarray, size_b: np.ndarray, distance: np.ndarray, simil
     return (b * np.minimum(size_a, size_b) >= a * np.maximum(size_a, size_b)) & ((a + b) * distance <= (b - a) * (size_a + size_b))
 
 
-def described(docs: DataFrame, width: int) -> DataFrame:
-    """(doc_id, _text) to (doc_id, n_shingles, node, sketch)."""
+def described(docs: DataFrame, width: int, most: int = FREQUENT_LIST) -> DataFrame:
+    """(doc_id, _text) to rows of two kinds, in one reading. ``doc``: doc_id, n_shingles, node, sketch and two hashes of the
+    text that find it again. ``shingle``: a shingle hash in ``node`` and in ``n_shingles`` how many different sets of this slice hold it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["kind", "doc_id", "n_shingles", "node", "sketch", "t1", "t2"]
         for b in textkit.slices(batches, "_text", SLICE_BYTES):
             h, bounds = shingles(b.column(1), width)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.diff(bounds)), pa.array(node_ids(h, bounds)), pa.array(bit_sketch(h, bounds), pa.binary())], names=["doc_id", "n_shingles", "node", "sketch"])
+            node, size = node_ids(h, bounds), np.diff(bounds)
+            yield pa.RecordBatch.from_arrays([pa.array(["doc"] * b.num_rows), b.column(0), pa.array(size), pa.array(node), pa.array(bit_sketch(h, bounds), pa.binary()), b.column(2), b.column(3)], names=names)
+            _, one = np.unique(node, return_index=True)  # copies count once
+            pick = np.zeros(len(node), bool)
+            pick[one] = True
+            value = np.sort(h[np.repeat(pick, size)])
+            head = np.flatnonzero(np.concatenate([[True], value[1:] != value[:-1]])) if len(value) else np.zeros(0, np.int64)
+            n = np.diff(np.append(head, len(value)))
+            often = np.flatnonzero(n >= 4)
+            if len(often) > most:
+                often = often[np.argpartition(n[often], -most)[-most:]]
+            k = len(often)
+            none = pa.nulls(k, b.column(0).type)
+            yield pa.RecordBatch.from_arrays([pa.array(["shingle"] * k, pa.string()), none, pa.array(n[often]), pa.array(value[head[often]].view(np.int64)), pa.nulls(k, pa.binary()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64())], names=names)
 
-    schema = T.StructType([docs.schema["doc_id"], *[T.StructField(n, t) for n, t in (("n_shingles", T.LongType()), ("node", T.LongType()), ("sketch", T.BinaryType()))]])
-    return docs.select("doc_id", "_text").mapInArrow(run, schema)
+    columns = (("n_shingles", T.LongType()), ("node", T.LongType()), ("sketch", T.BinaryType()), ("t1", T.LongType()), ("t2", T.LongType()))
+    schema = T.StructType([T.StructField("kind", T.StringType()), T.StructField("doc_id", docs.schema["doc_id"].dataType), *[T.StructField(n, t) for n, t in columns]])
+    return docs.select("doc_id", "_text", *_text_hashes("_text")).mapInArrow(run, schema)
 
 
-def frequent_shingles(docs: DataFrame, width: int, most: int = FREQUENT_LIST) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of the shingles that most sets hold, sorted, and the power of two of each's count. Orders parts; results don't depend on it."""
+def _text_hashes(text: str) -> list:
+    return [F.xxhash64(F.lit(k), F.col(text)).alias(f"t{k}") for k in (1, 2)]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in textkit.slices(batches, "_text", SLICE_BYTES):
-            h, bounds = shingles(b.column(0), width)
-            _, one = np.unique(node_ids(h, bounds), return_index=True)  # copies count once
-            pick = np.zeros(len(bounds) - 1, bool)
-            pick[one] = True
-            value, n = np.unique(h[np.repeat(pick, np.diff(bounds))], return_counts=True)
-            often = n >= 4
-            value, n = value[often], n[often]
-            if len(value) > most:
-                top = np.argpartition(n, -most)[-most:]
-                value, n = value[top], n[top]
-            yield pa.RecordBatch.from_arrays([pa.array(value.view(np.int64)), pa.array(n)], names=["h", "n"])
-
-    found = docs.select("_text").mapInArrow(run, "h long, n long").groupBy("h").agg(F.sum("n").alias("n")).where("n >= 16")
-    rows = found.orderBy(F.desc("n"), "h").limit(most).collect()  # a fixed number of rows
-    h = np.array([r.h for r in rows], np.int64).view(np.uint64)
-    level = np.array([int(r.n).bit_length() for r in rows], np.uint64)
+
+def frequent_shingles(rows: DataFrame, most: int = FREQUENT_LIST) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the shingles that most sets hold, sorted, and the power of two of each's count. Orders parts; results don't depend on it."""
+    found = rows.groupBy(F.col("node").alias("h")).agg(F.sum("n_shingles").alias("n")).where("n >= 16")
+    top = found.orderBy(F.desc("n"), "h").limit(most).collect()  # a fixed number of rows
+    h = np.array([r.h for r in top], np.int64).view(np.uint64)
+    level = np.array([int(r.n).bit_length() for r in top], np.uint64)
     order = np.argsort(h)
     return h[order], level[order]
 
@@ -312,24 +327,20 @@ def sketch_survivors(pairs: DataFrame, sketches: DataFrame, similarity: tuple[in
     return both.mapInArrow(run, "a long, b long")
 
 
-def node_texts(docs: DataFrame, width: int, wanted: DataFrame) -> DataFrame:
-    """(node, text) for each wanted node, one text each; copies meet in the partial aggregate."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in textkit.slices(batches, "_text", SLICE_BYTES):
-            node = node_ids(*shingles(b.column(0), width))
-            _, one = np.unique(node, return_index=True)
-            yield pa.RecordBatch.from_arrays([pa.array(node[one]), b.column(0).take(pa.array(one))], names=["node", "text"])
-
-    each = docs.select("_text").mapInArrow(run, "node long, text string")
-    return each.join(wanted, "node", "left_semi").groupBy("node").agg(F.first("text").alias("text"))
+def node_texts(docs: DataFrame, known: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(node, text) for each wanted node, one text each, found by the hashes of one of its texts."""
+    place = known.join(wanted.withColumnRenamed("node", "_n"), F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(F.min(F.struct("t1", "t2")).alias("t"))
+    place = place.select("node", F.col("t.t1").alias("_1"), F.col("t.t2").alias("_2"))
+    texts = docs.select(F.col("_text").alias("text"), *_text_hashes("_text"))
+    found = texts.join(place, (F.col("t1") == F.col("_1")) & (F.col("t2") == F.col("_2")))
+    return found.groupBy("node").agg(F.first("text").alias("text"))
 
 
-def verified(pairs: DataFrame, docs: DataFrame, width: int, similarity: tuple[int, int]) -> DataFrame:
+def verified(pairs: DataFrame, docs: DataFrame, known: DataFrame, width: int, similarity: tuple[int, int]) -> DataFrame:
     """The (a, b) that link, by their whole sets."""
     a, b = similarity
     wanted = pairs.select(F.col("a").alias("node")).unionAll(pairs.select(F.col("b").alias("node"))).distinct()
-    texts = cut(node_texts(docs, width, wanted))
+    texts = cut(node_texts(docs, known, wanted))
     one, two = (texts.select(F.col("node").alias(f"_{k}"), F.col("text").alias(f"t{k}")) for k in "ab")
     both = pairs.join(two, F.col("b") == F.col("_b")).join(one, F.col("a") == F.col("_a")).select("a", "b", "ta", "tb")
 
@@ -420,20 +431,21 @@ def grouped(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width:
     component's smallest unless all are null; repeated rows are copies of each other; an empty table gives an empty result.
     """
     own = docs.select(F.col(f"`{doc_id}`").alias("doc_id"), F.col(f"`{text}`").alias("_text"))
-    known = cut(described(own, width))
-    candidates = cut(buckets(own, width, similarity, frequent_shingles(own, width)))
+    rows = cut(described(own, width))
+    known = rows.where("kind = 'doc'").drop("kind")
+    candidates = cut(buckets(own, width, similarity, frequent_shingles(rows.where("kind = 'shingle'"))))
     members = candidates.where("b IS NULL").select("bucket", "a").distinct()
     pairs = candidates.where("b IS NOT NULL").select("a", "b").distinct()
     touched = candidates.select(F.col("a").alias("_n")).unionAll(candidates.where("b IS NOT NULL").select(F.col("b").alias("_n"))).distinct()
     sketches = cut(known.join(touched, F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(F.first("n_shingles").alias("n_shingles"), F.first("sketch").alias("sketch")))
-    links = cut(verified(cut(sketch_survivors(pairs, sketches, similarity)), own, width, similarity))
+    links = cut(verified(cut(sketch_survivors(pairs, sketches, similarity)), own, known, width, similarity))
     comp = cut(components(links))
     more = across(members, comp, sketches, similarity)
     if more is not None:
         more = cut(more.join(pairs, ["a", "b"], "left_anti"))
         if not more.isEmpty():
-            comp = cut(components(links.unionAll(verified(more, own, width, similarity))))
-    full = known.drop("sketch").join(comp.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"), "left")
+            comp = cut(components(links.unionAll(verified(more, own, known, width, similarity))))
+    full = known.select("doc_id", "n_shingles", "node").join(comp.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"), "left")
     full = full.withColumn("comp", F.coalesce("comp", "node"))
     least = full.where("n_shingles > 0").groupBy("comp").agg(F.min("doc_id").alias("component_id")).withColumnRenamed("comp", "_comp")
     joined = full.join(least, (F.col("comp") == F.col("_comp")) & (F.col("n_shingles") > 0), "left")

@@ -96,3 +96,42 @@ def hash_values(values: pa.Array, seed: int = 0) -> np.ndarray:
 
     h = xxhash.xxh3_64_intdigest
     return np.fromiter((h(v, seed) for v in values.cast(pa.large_binary()).to_pylist()), np.uint64, len(values))
+
+
+_BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
+_BASE_INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
+_POWERS: dict[str, np.ndarray] = {}
+
+
+def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The first n powers of the base and of its inverse modulo 2^64."""
+    if len(_POWERS.get("up", ())) < n:
+        size = max(n, 1 << 16)
+        for name, base in (("up", _BASE), ("down", _BASE_INVERSE)):
+            p = np.full(size, base, np.uint64)
+            p[0] = 1
+            _POWERS[name] = np.multiply.accumulate(p)
+    return _POWERS["up"][:n], _POWERS["down"][:n]
+
+
+def word_hashes(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """A 64-bit hash of every word, without making the words: differences of a running polynomial over mixed byte
+    values, moved to position zero by the inverse base. Also each text's first word (n + 1)."""
+    if not len(raw):
+        return np.zeros(0, np.uint64), np.zeros(len(off), np.int64)
+    space = space_mask(raw)
+    edge = np.zeros(len(raw) + 1, bool)
+    edge[off] = True
+    first, last = ~space, ~space
+    first[1:] &= space[:-1] | edge[1:-1]
+    last[:-1] &= space[1:] | edge[1:-1]
+    start, end = np.flatnonzero(first), np.flatnonzero(last)
+    table = mix64(np.arange(1, 257, dtype=np.uint64))
+    up, down = _powers(len(raw))
+    run = table[raw]
+    run *= up
+    np.add.accumulate(run, out=run)
+    h = run[end]
+    h[start > 0] -= run[start[start > 0] - 1]
+    h *= down[start]
+    return mix64(h + (end - start).astype(np.uint64) * _BASE), np.searchsorted(start, off)
