@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textkit
-from .scratch import cut, shuffle_partitions
+from .scratch import cut, release, shuffle_partitions
 
 WIDTH = 5
 #: Similarity as a fraction: 100 * intersection >= 75 * union.
@@ -143,9 +143,10 @@ def part_keys(h: np.ndarray, bounds: np.ndarray, frequent: np.ndarray, level: np
 
 
 def bit_sketch(h: np.ndarray, bounds: np.ndarray) -> list[bytes]:
-    """Each set's parity bits, as many as the power of two from twice its size on (256 at least). A wider sketch folds onto a narrower one."""
+    """Each set's parity bits, as many as the power of two from its size on (256 at least). A wider sketch folds onto a
+    narrower one. Sets without common shingles then differ in about half the bits, well above what a link allows."""
     size = np.diff(bounds)
-    width = np.maximum(8, np.ceil(np.log2(np.maximum(2 * size, 1))).astype(np.int64))
+    width = np.maximum(8, np.ceil(np.log2(np.maximum(size, 1))).astype(np.int64))
     place = textkit.mix64(h ^ np.uint64(0xD6E8FEB86659FD93))
     out = []
     for k, w in enumerate(width.tolist()):
@@ -328,19 +329,16 @@ def sketch_survivors(pairs: DataFrame, sketches: DataFrame, similarity: tuple[in
 
 
 def node_texts(docs: DataFrame, known: DataFrame, wanted: DataFrame) -> DataFrame:
-    """(node, text) for each wanted node, one text each, found by the hashes of one of its texts."""
+    """(node, text) for each wanted node, one text each, found by the hashes of one of its texts; copies meet in the partial aggregate."""
     place = known.join(wanted.withColumnRenamed("node", "_n"), F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(F.min(F.struct("t1", "t2")).alias("t"))
     place = place.select("node", F.col("t.t1").alias("_1"), F.col("t.t2").alias("_2"))
-    texts = docs.select(F.col("_text").alias("text"), *_text_hashes("_text"))
-    found = texts.join(place, (F.col("t1") == F.col("_1")) & (F.col("t2") == F.col("_2")))
-    return found.groupBy("node").agg(F.first("text").alias("text"))
+    texts = docs.select(F.col("_text").alias("text"), *_text_hashes("_text")).groupBy("t1", "t2").agg(F.first("text").alias("text"))
+    return texts.join(place, (F.col("t1") == F.col("_1")) & (F.col("t2") == F.col("_2"))).select("node", "text")
 
 
-def verified(pairs: DataFrame, docs: DataFrame, known: DataFrame, width: int, similarity: tuple[int, int]) -> DataFrame:
-    """The (a, b) that link, by their whole sets."""
+def verified(pairs: DataFrame, texts: DataFrame, width: int, similarity: tuple[int, int]) -> DataFrame:
+    """The (a, b) that link, by their whole sets, made from their nodes' texts."""
     a, b = similarity
-    wanted = pairs.select(F.col("a").alias("node")).unionAll(pairs.select(F.col("b").alias("node"))).distinct()
-    texts = cut(node_texts(docs, known, wanted))
     one, two = (texts.select(F.col("node").alias(f"_{k}"), F.col("text").alias(f"t{k}")) for k in "ab")
     both = pairs.join(two, F.col("b") == F.col("_b")).join(one, F.col("a") == F.col("_a")).select("a", "b", "ta", "tb")
 
@@ -394,34 +392,74 @@ def across(members: DataFrame, comp: DataFrame, sketches: DataFrame, similarity:
     sk = sketches.select(F.col("node").alias("_s"), "n_shingles", "sketch")
     m = m.join(per, "bucket").join(sk, F.col("a") == F.col("_s"))
     h = F.xxhash64("a")
-    is_out = F.col("comp") != F.col("main")
-    out = m.where(is_out).withColumn("o", F.pmod(h, F.col("ob"))).withColumn("i", F.explode(F.sequence(F.lit(0), F.col("mb") - 1))).withColumn("role", F.lit(0))
-    in_ = m.withColumn("i", F.pmod(h, F.col("mb"))).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("ob") - 1))).withColumn("role", F.lit(1))
+    one = (F.col("mb") == 1) & (F.col("ob") == 1)
+    # Role 2: a bucket in one block, each node against the later ones. Otherwise nodes outside (0) against all (1), block by block.
+    whole = m.where(one).withColumns({"o": F.lit(0), "i": F.lit(0), "role": F.lit(2)})
+    out = m.where(~one & (F.col("comp") != F.col("main"))).withColumn("o", F.pmod(h, F.col("ob"))).withColumn("i", F.explode(F.sequence(F.lit(0), F.col("mb") - 1))).withColumn("role", F.lit(0))
+    in_ = m.where(~one).withColumn("i", F.pmod(h, F.col("mb"))).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("ob") - 1))).withColumn("role", F.lit(1))
     cols = ["bucket", F.col("o").cast("long").alias("o"), F.col("i").cast("long").alias("i"), "role", "a", "comp", "n_shingles", "sketch"]
 
-    def compare(t: pa.Table) -> pa.Table:
-        role, node, comp_, size = (t[c].to_numpy() for c in ("role", "a", "comp", "n_shingles"))
-        sketch = t["sketch"].to_pylist()
-        left, right = np.flatnonzero(role == 0), np.flatnonzero(role == 1)
-        a_, b_ = similarity
-        found = []
-        fold: dict[int, np.ndarray] = {}
-        for x in left.tolist():
-            near = right[(comp_[right] != comp_[x]) & (b_ * np.minimum(size[right], size[x]) >= a_ * np.maximum(size[right], size[x]))]
-            if not len(near):
-                continue
-            # Sizes differ by a third at most, so widths by a factor of two: fold all onto the narrowest of the group.
-            n = min(len(sketch[x]), min(len(sketch[y]) for y in near.tolist()))
-            for y in (x, *near.tolist()):
-                if y not in fold or len(fold[y]) != n:
-                    fold[y] = folded(sketch[y], n)
-            d = np.bitwise_count(np.stack([fold[y] for y in near.tolist()]) ^ fold[x]).sum(axis=1, dtype=np.int64)
-            near = near[may_link(size[near], size[x], d, similarity)]
-            found.append(np.stack([np.minimum(node[near], node[x]), np.maximum(node[near], node[x])]))
-        ab = np.unique(np.concatenate(found, axis=1), axis=1) if found else np.zeros((2, 0), np.int64)
-        return pa.table({"a": ab[0], "b": ab[1]})
-
-    return out.select(*cols).unionAll(in_.select(*cols)).groupBy("bucket", "o", "i").applyInArrow(compare, "a long, b long").distinct()
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rest = None
+        for b in batches:
+            t = pa.Table.from_batches([b]) if rest is None else pa.concat_tables([rest, pa.Table.from_batches([b])])
+            last = _group_starts(t)[-1] if t.num_rows else 0
+            if last:
+                yield _across_pairs(t.slice(0, last), similarity)
+            rest = t.slice(last)
+        if rest is not None and rest.num_rows:
+            yield _across_pairs(rest, similarity)
+
+    rows = whole.select(*cols).unionAll(out.select(*cols)).unionAll(in_.select(*cols))
+    return rows.repartition("bucket", "o", "i").sortWithinPartitions("bucket", "o", "i", "role").mapInArrow(compare, "a long, b long").distinct()
+
+
+def _group_starts(t: pa.Table) -> np.ndarray:
+    change = np.zeros(t.num_rows, bool)
+    change[:1] = True
+    for c in ("bucket", "o", "i"):
+        v = t[c].to_numpy()
+        change[1:] |= v[1:] != v[:-1]
+    return np.flatnonzero(change)
+
+
+def _across_pairs(t: pa.Table, similarity: tuple[int, int], most: int = 1_000_000) -> pa.RecordBatch:
+    """The surviving pairs of whole groups, sorted by role."""
+    role, node, comp, size = (t[c].to_numpy() for c in ("role", "a", "comp", "n_shingles"))
+    sketch = t["sketch"].to_pylist()
+    start = _group_starts(t)
+    end = np.append(start[1:], t.num_rows)[np.repeat(np.arange(len(start)), np.diff(np.append(start, t.num_rows)))]
+    # Where a left node's partners begin: after itself, or at its group's first row of role 1.
+    right = np.add.reduceat((role == 0).astype(np.int64), start) + start
+    begin = np.where(role == 2, np.arange(t.num_rows) + 1, np.repeat(right, np.diff(np.append(start, t.num_rows))))
+    many = np.where(role == 1, 0, end - begin)
+    a, b = similarity
+    found, ints = [], {}
+
+    def number(k: int, n: int) -> int:
+        if (k, n) not in ints:
+            ints[k, n] = int.from_bytes(folded(sketch[k], n).tobytes(), "little")
+        return ints[k, n]
+
+    left = np.flatnonzero(many > 0)
+    upto = np.cumsum(many[left])
+    lo = 0
+    while lo < len(left):
+        hi = max(lo + 1, int(np.searchsorted(upto, (upto[lo - 1] if lo else 0) + most, side="right")))
+        use = left[lo:hi]
+        x = np.repeat(use, many[use])
+        y = np.arange(len(x)) + np.repeat(begin[use] - (np.cumsum(many[use]) - many[use]), many[use])
+        ok = (comp[x] != comp[y]) & (b * np.minimum(size[x], size[y]) >= a * np.maximum(size[x], size[y]))
+        x, y = x[ok], y[ok]
+        d = np.empty(len(x), np.int64)
+        for k, (i, j) in enumerate(zip(x.tolist(), y.tolist(), strict=True)):
+            n = min(len(sketch[i]), len(sketch[j]))
+            d[k] = (number(i, n) ^ number(j, n)).bit_count()
+        ok = may_link(size[x], size[y], d, similarity)
+        found.append(np.stack([np.minimum(node[x[ok]], node[y[ok]]), np.maximum(node[x[ok]], node[y[ok]])]))
+        lo = hi
+    ab = np.unique(np.concatenate(found, axis=1), axis=1) if found else np.zeros((2, 0), np.int64)
+    return pa.RecordBatch.from_arrays([pa.array(ab[0]), pa.array(ab[1])], names=["a", "b"])
 
 
 def grouped(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = WIDTH, similarity: tuple[int, int] = SIMILARITY) -> DataFrame:
@@ -438,13 +476,18 @@ def grouped(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width:
     pairs = candidates.where("b IS NOT NULL").select("a", "b").distinct()
     touched = candidates.select(F.col("a").alias("_n")).unionAll(candidates.where("b IS NOT NULL").select(F.col("b").alias("_n"))).distinct()
     sketches = cut(known.join(touched, F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(F.first("n_shingles").alias("n_shingles"), F.first("sketch").alias("sketch")))
-    links = cut(verified(cut(sketch_survivors(pairs, sketches, similarity)), own, known, width, similarity))
+    release(docs.sparkSession)
+    near = cut(sketch_survivors(pairs, sketches, similarity))
+    texts = cut(node_texts(own, known, sketches.select("node")))
+    links = cut(verified(near, texts, width, similarity))
+    release(docs.sparkSession)
     comp = cut(components(links))
     more = across(members, comp, sketches, similarity)
     if more is not None:
         more = cut(more.join(pairs, ["a", "b"], "left_anti"))
         if not more.isEmpty():
-            comp = cut(components(links.unionAll(verified(more, own, known, width, similarity))))
+            comp = cut(components(links.unionAll(verified(more, texts, width, similarity))))
+    release(docs.sparkSession)
     full = known.select("doc_id", "n_shingles", "node").join(comp.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"), "left")
     full = full.withColumn("comp", F.coalesce("comp", "node"))
     least = full.where("n_shingles > 0").groupBy("comp").agg(F.min("doc_id").alias("component_id")).withColumnRenamed("comp", "_comp")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -35,3 +36,10 @@ def fresh_path(spark: SparkSession, name: str) -> str:
 
 def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+def release(spark: SparkSession) -> None:
+    """Lets Spark remove the shuffle files of finished steps now, not at the driver's next garbage collection: they can be
+    as large as the input, and their results are kept by ``cut``."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()

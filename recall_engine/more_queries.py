@@ -99,7 +99,7 @@ def ablation_ensemble(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _variants(spark, sf_dir, {
         "single": {"methods": ("ivw_single",)}, "min": {"methods": ("ivw_min",)}, "median": {"methods": ("ivw_min",), "fuse": "median"}, "mean": {"methods": ("ivw_min",), "fuse": "mean"},
         "bounds": {"methods": ("ivw_min",), "rules": ("exact_beta", "jeffreys", "wilson")}, "quantile": {"methods": ("ivw_min",), "rules": ("quantile",)},
-        "few_boot": {"methods": ("ivw_min",), "params": few}, "split": {"methods": ("ivw_min",), "mode": "split"}, "full_cov": {"methods": ("ivw_min",), "fusion_cov": "full"}, "analytic": {"methods": ("ivw_min",), "engine": "analytic"},
+        "few_boot": {"methods": ("ivw_min",), "params": few}, "split": {"methods": ("ivw_min",), "mode": "split"}, "full_cov": {"methods": ("ivw_min",), "fusion_cov": "full"}, "analytic": {"methods": ("ivw_min",), "engine": "analytic", "weighting": "none"},
     })
 
 
