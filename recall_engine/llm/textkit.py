@@ -12,7 +12,7 @@ import numpy as np
 import pyarrow as pa
 
 
-def slices(batches: Iterator[pa.RecordBatch], text: str, max_bytes: int = 6_000_000) -> Iterator[pa.RecordBatch]:
+def slices(batches: Iterator[pa.RecordBatch], text: str, max_bytes: int = 3_000_000) -> Iterator[pa.RecordBatch]:
     """The batches cut so that each holds about ``max_bytes`` of the column ``text`` (a longer text stands alone)."""
     for batch in batches:
         if batch.num_rows == 0:
