@@ -144,9 +144,13 @@ def test_near_duplicates(spark):
     assert stays.columns == df.columns and stays.count() < len(rows)
 
 
-def test_near_duplicates_in_chains(spark):
-    """Texts that link only with their neighbours, and many that share a passage without a link."""
+@pytest.mark.parametrize("blocks", [(512, 2048), (3, 5)])
+def test_near_duplicates_in_chains(spark, monkeypatch, blocks):
+    """Texts that link only with their neighbours, and many that share a passage without a link; buckets in one block and in many."""
     import random
+    from functools import partial
+
+    monkeypatch.setattr(parity_join, "across", partial(parity_join.across, outside=blocks[0], inside=blocks[1]))
 
     rng = random.Random(5)
     rows, words, k = [], fixtures.prose(rng, 150).split(), 0
