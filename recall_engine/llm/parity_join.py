@@ -336,9 +336,11 @@ def node_texts(docs: DataFrame, known: DataFrame, wanted: DataFrame) -> DataFram
     return texts.join(place, (F.col("t1") == F.col("_1")) & (F.col("t2") == F.col("_2"))).select("node", "text")
 
 
-def verified(pairs: DataFrame, texts: DataFrame, width: int, similarity: tuple[int, int]) -> DataFrame:
-    """The (a, b) that link, by their whole sets, made from their nodes' texts."""
+def verified(pairs: DataFrame, docs: DataFrame, known: DataFrame, width: int, similarity: tuple[int, int]) -> DataFrame:
+    """The (a, b) that link, by their whole sets, made from their nodes' texts. ``pairs`` is a kept table."""
     a, b = similarity
+    texts = cut(node_texts(docs, known, pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()))
+    release(docs.sparkSession)  # the shuffle of all texts
     one, two = (texts.select(F.col("node").alias(f"_{k}"), F.col("text").alias(f"t{k}")) for k in "ab")
     both = pairs.join(two, F.col("b") == F.col("_b")).join(one, F.col("a") == F.col("_a")).select("a", "b", "ta", "tb")
 
@@ -478,15 +480,14 @@ def grouped(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width:
     sketches = cut(known.join(touched, F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(F.first("n_shingles").alias("n_shingles"), F.first("sketch").alias("sketch")))
     release(docs.sparkSession)
     near = cut(sketch_survivors(pairs, sketches, similarity))
-    texts = cut(node_texts(own, known, sketches.select("node")))
-    links = cut(verified(near, texts, width, similarity))
+    links = cut(verified(near, own, known, width, similarity))
     release(docs.sparkSession)
     comp = cut(components(links))
     more = across(members, comp, sketches, similarity)
     if more is not None:
         more = cut(more.join(pairs, ["a", "b"], "left_anti"))
         if not more.isEmpty():
-            comp = cut(components(links.unionAll(verified(more, texts, width, similarity))))
+            comp = cut(components(links.unionAll(verified(more, own, known, width, similarity))))
     release(docs.sparkSession)
     full = known.select("doc_id", "n_shingles", "node").join(comp.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"), "left")
     full = full.withColumn("comp", F.coalesce("comp", "node"))
