@@ -488,7 +488,7 @@ def f_beta_best(spark: SparkSession, sf_dir: str) -> DataFrame:
 ta AS (SELECT CAST(v AS INTEGER) AS target_mille, p AS tau FROM ps, (VALUES (700), (800), (900)) x(v) WHERE k = (n * v + 999) // 1000)
 SELECT target_mille, round(tau, 6) AS tau, (SELECT count(*) FROM sc WHERE p >= tau) AS reviewed FROM ta""")
 def ideal_threshold_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
-    x = scored_pairs(spark, sf_dir, "w4")
+    x = scored_pairs(spark, sf_dir, "w4").cache()  # read several times per target
     found = [(t, measures.ideal_threshold(x, t)) for t in TARGETS]
     return spark.createDataFrame([(t, round(r["tau"], 6), r["reviewed"]) for t, r in found], "target_mille int, tau double, reviewed long")
 
