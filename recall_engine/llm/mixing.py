@@ -57,14 +57,16 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share
 def schedule(targets: DataFrame, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
     """(slot, source, rank, tokens): each slot's source, its rank among the source's slots and the tokens it takes.
 
-    A source gets slots until its target is reached; its last slot takes what is left. Slots beyond are not used.
+    A source gets slots until its target is reached; its last slot takes what is left. Slots beyond are not used. What the
+    points leave of a narrow source's target follows in slots past the last, source after source.
     """
     quota = targets.select("source", F.floor("target").cast("long").alias("quota")).where("quota > 0")
     total, least = quota.agg(F.sum("quota"), F.min("quota")).first()
     spark = targets.sparkSession
     if not total:
         return spark.createDataFrame([], "slot long, source string, rank long, tokens long")
-    # Any stretch of N points has N * width points of an interval up to a few times log2 N; that many more are drawn for the narrowest one.
+    # Any stretch of N points has N * width points of an interval up to a few times log2 N; that many more are drawn for the narrowest
+    # one, but not more than the blocks themselves: below, a source beside a much larger corpus gets what it lacks, a few times log2 N slots.
     blocks = -(-total // block_tokens)
     slack = 3 * max(4, blocks.bit_length())
     slots = blocks + min(blocks + 1024, -(-slack * total // least))
@@ -80,11 +82,17 @@ def schedule(targets: DataFrame, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
     key = F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("n"))
     dealt = dealt.withColumn("sk", key)
     counts = dealt.groupBy("sk", "chunk").agg(F.count("*").alias("n"))
+    had = quota.withColumn("sk", key).join(counts.groupBy("sk").agg(F.sum("n").alias("had")), "sk", "left").withColumn("had", F.coalesce("had", F.lit(0)))
+    had = had.withColumn("lacks", F.greatest(F.expr(f"(quota + {block_tokens - 1}) div {block_tokens}") - F.col("had"), F.lit(0)))
+    past = F.sum("lacks").over(Window.orderBy(F.col("source").asc_nulls_last())) - F.col("lacks") + F.lit(slots)
+    extra = had.withColumn("past", past).where("lacks > 0").select("source", "quota", "had", "past", F.explode(F.sequence(F.col("had"), F.col("had") + F.col("lacks") - 1)).alias("rank"))
+    extra = extra.select((F.col("past") + F.col("rank") - F.col("had")).alias("slot"), "source", "quota", "rank")
     earlier = Window.partitionBy("sk").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
     counts = counts.withColumn("before", F.coalesce(F.sum("n").over(earlier), F.lit(0))).drop("n")
     inside = F.row_number().over(Window.partitionBy("sk", "chunk").orderBy("slot")) - 1
     ranked = dealt.withColumn("inside", inside).join(counts, ["sk", "chunk"]).withColumn("rank", F.col("before") + F.col("inside"))
     tokens = F.least(F.lit(block_tokens), F.col("quota") - F.col("rank") * block_tokens)
+    ranked = ranked.select("slot", "source", "quota", "rank").unionAll(extra)
     return ranked.withColumn("tokens", tokens.cast("long")).where("tokens > 0").select("slot", "source", "rank", "tokens")
 
 

@@ -226,3 +226,17 @@ def test_schedule_is_spread_evenly(spark):
     assert got.groupby(got.source.fillna("-"))["tokens"].sum().to_dict() == {"a": 8000, "b": 4000, "-": 2000}
     first = got[got.slot < 700].source.value_counts()
     assert abs(first["a"] - 400) <= 4 and abs(first["b"] - 200) <= 4
+
+
+def test_narrow_sources_get_their_whole_target(spark):
+    """Sources of 60 to 400 words at 24 places beside 10^8 words, and one narrower than a point."""
+    quota = {}
+    for k in range(24):
+        quota[f"s{k:02d}a"], quota[f"s{k:02d}b"] = 4_000_000 + 7919 * k, (60, 100, 200, 400)[k % 4]
+    t = spark.createDataFrame([(s, float(n)) for s, n in quota.items()], "source string, target double")
+    got = mixing.schedule(t).toPandas()
+    assert got.groupby("source")["tokens"].sum().to_dict() == quota
+    assert got.slot.is_unique and (got.tokens > 0).all() and (got.groupby("source")["rank"].max() + 1 == got.groupby("source")["rank"].nunique()).all()
+    wide = spark.createDataFrame([("a", 2e10), ("b", 1.0), ("c", 2e10)], "source string, target double")
+    got = mixing.schedule(wide, 100_000).groupBy("source").agg(F.sum("tokens").alias("n")).collect()
+    assert {r.source: r.n for r in got} == {"a": 20_000_000_000, "b": 1, "c": 20_000_000_000}
