@@ -3,8 +3,10 @@
 A document's set is its distinct word shingles, as 64-bit hashes. Per size band the hash space is cut into parts; a
 part of a document holds the parity word (XOR) of the hashes that fall into it. A shingle that only one of two
 documents has changes one part, so documents whose sets differ in at most k shingles have equal parity words in all but
-k parts (pigeonhole): of the first k + 1 non-empty parts of either, in any order common to both, one is the same. With
-Jaccard similarity at least t, k is at most (1 - t) / (1 + t) times the sum of the sizes. Parts that hold frequent
+k parts (pigeonhole): of the first k + 1 non-empty parts of either, in any order common to both, one is the same. A set
+whose shingles fall into no more than k parts sends its first k + 1 shingles too: if no part is the same, that holds for
+both sets, and as a link's sets have more than k shingles, one of those is the same. With Jaccard similarity at least t, k is at most
+(1 - t) / (1 + t) times the sum of the sizes. Parts that hold frequent
 shingles come last in the order, so passages and lines that many documents share hardly ever make candidates.
 
 Candidates are filtered by a second, finer sketch of one bit per shingle hash, whose Hamming distance is a lower bound
@@ -99,7 +101,8 @@ def band_of(size: np.ndarray, ratio: int = BAND_RATIO) -> np.ndarray:
 
 
 def part_keys(h: np.ndarray, bounds: np.ndarray, frequent: np.ndarray, level: np.ndarray, similarity: tuple[int, int] = SIMILARITY, ratio: int = BAND_RATIO) -> tuple[np.ndarray, np.ndarray]:
-    """(set index, key) of the parts that each set sends out, in its own band and, if a partner can be there, in the next."""
+    """(set index, key) of the parts that each set sends out, in its own band and, if a partner can be there, in the next.
+    Sets with too few parts for the pigeonhole send single shingles as well."""
     a, b = similarity
     size = np.diff(bounds)
     home = band_of(size, ratio)
@@ -131,12 +134,19 @@ def part_keys(h: np.ndarray, bounds: np.ndarray, frequent: np.ndarray, level: np
         # The common order: rare parts first, then by hash; the key itself holds it.
         key = (worst << np.uint64(58)) | (key >> np.uint64(6))
         own = owner[head]
-        first = np.searchsorted(own, use)
-        for lo, hi in zip(first.tolist(), [*first[1:].tolist(), len(own)], strict=True):
-            key[lo:hi].sort()
-        sent = np.arange(len(own)) - first[np.searchsorted(use, own)] <= limit[own]
-        found_set.append(own[sent])
-        found_key.append(key[sent])
+        few = np.zeros(len(size), bool)
+        few[use] = np.bincount(own, minlength=len(size))[use] <= limit[use]
+        single = few[owner]
+        # A single shingle's key is made like that of a part past the last.
+        alone = textkit.mix64(x[single] ^ textkit.mix64((np.uint64(64) << bits[single]) + (band[single].astype(np.uint64) + np.uint64(1))))
+        alone = (cost[at][single] << np.uint64(58)) | (alone >> np.uint64(6))
+        for own, key in ((own, key), (owner[single], alone)):
+            first = np.searchsorted(own, use)
+            for lo, hi in zip(first.tolist(), [*first[1:].tolist(), len(own)], strict=True):
+                key[lo:hi].sort()
+            sent = np.arange(len(own)) - first[np.searchsorted(use, own)] <= limit[own]
+            found_set.append(own[sent])
+            found_key.append(key[sent])
     if not found_set:
         return np.zeros(0, np.int64), np.zeros(0, np.uint64)
     return np.concatenate(found_set), np.concatenate(found_key)

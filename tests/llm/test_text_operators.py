@@ -186,6 +186,34 @@ def test_no_pair_is_lost_by_the_parts():
             assert int.from_bytes((parity_join.folded(s[0], w) ^ parity_join.folded(s[1], w)).tobytes(), "little").bit_count() <= len(a) + len(b) - 2 * common
 
 
+@pytest.mark.parametrize("m, n", [(3, 4), (4, 5), (6, 8), (7, 9), (9, 12)])
+@pytest.mark.parametrize("parts", [1, 2])
+def test_small_sets_in_few_parts_meet(m, n, parts):
+    """Sets of m shingles in sets of n, all of them in one or two parts of any band."""
+    rng = np.random.default_rng(4)
+    none = np.zeros(0, np.uint64)
+    for _ in range(200):
+        b = np.unique((rng.integers(0, 1 << 48, n) | (rng.integers(0, parts, n) << 62)).astype(np.uint64))
+        a = np.sort(rng.permutation(b)[:m])
+        often = np.sort(rng.permutation(b)[:2])
+        for frequent, level in ((none, none), (often, np.array([5, 9], np.uint64))):
+            own, key = parity_join.part_keys(np.concatenate([a, b]), np.array([0, m, m + n]), frequent, level)
+            assert np.intersect1d(key[own == 0], key[own == 1]).size
+
+
+def test_near_duplicates_of_few_words(spark):
+    """Texts of 8 words whose four shingles fall into one of 16 parts, each with its first seven words: 3 of 4 shingles."""
+    texts = [" ".join(f"v{(k * 8 + j) * 7919 % 1000003}" for j in range(8)) for k in range(60_000)]
+    h, bounds = parity_join.shingles(pa.array(texts), 5)
+    part = (h >> np.uint64(60)).astype(int)
+    one = [k for k in range(len(texts)) if bounds[k + 1] - bounds[k] == 4 and len(set(part[bounds[k] : bounds[k + 1]])) == 1]
+    assert len(one) >= 5
+    rows = [(2 * i + j, t) for i, k in enumerate(one) for j, t in enumerate((texts[k], texts[k].rsplit(" ", 1)[0]))]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = parity_join.grouped(df).toPandas()
+    assert as_counter(got) == brute_components(rows) and got.component_id.nunique() == len(one)
+
+
 def test_mixing(spark):
     df, rows = fixtures.documents(spark)
     one = mixing.mixed(df, block_tokens=16).toPandas()
