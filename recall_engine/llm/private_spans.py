@@ -1,7 +1,8 @@
 """Personal data by weak supervision (DataFrame functions only).
 
-Base patterns give spans that always stand. Looser patterns give candidates: long mixed tokens, phone numbers without a
-country code, card-like numbers. Labelers vote on every span, for, against or not at all: its shape, a gazetteer of words
+Base patterns give spans that always stand. Looser patterns give candidates of every kind: long mixed tokens, phone numbers
+without a country code, numbers of 13 to 15 digits with a card's check digit (others are known non-cases), addresses without
+a dot or with "(at)" and "(dot)", and IP addresses of version 6 or with bracketed dots. Labelers vote on every span, for, against or not at all: its shape, a gazetteer of words
 before it, the punctuation before it, its mix of characters, and signs of made-up numbers. Votes are counted per
 pattern of votes, of which there is a fixed number; on these counts expectation-maximisation estimates how reliable each
 labeler is, with base spans as known cases and failed base matches as known non-cases, and a logistic span classifier is
@@ -33,12 +34,17 @@ BASE = {
     "card": r"(?<![0-9])(?<![0-9][\x20-])[0-9](?:[\x20-]?[0-9]){15,18}(?![\x20-]?[0-9])",
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
+_OCTET = "(?:25[0-5]|2[0-4][0-9]|[01]?[0-9]?[0-9])"
 LOOSE = {
-    "secret": r"(?<![A-Za-z0-9_-])(?=[A-Za-z_-]{0,40}[0-9])(?=[0-9_-]{0,40}[A-Za-z])[A-Za-z0-9_-]{16,}+",
+    "secret": r"(?<![A-Za-z0-9_-])(?=[A-Za-z_-]*+[0-9])(?=[0-9_-]*+[A-Za-z])[A-Za-z0-9_-]{16,}+",
     "phone": r"(?<![0-9+(.-])(?:\([0-9]{3}\)\x20?|[0-9]{3}[.\x20-])[0-9]{3}[.\x20-][0-9]{4}(?![0-9])",
+    "card": r"(?<![0-9])(?<![0-9][\x20-])[0-9](?:[\x20-]?[0-9]){12,14}(?![\x20-]?[0-9])",
+    "email": r"(?<![A-Za-z0-9._%+@-])[A-Za-z0-9._%+-]++(?:@|\x20?[\[(](?i:at)[\])]\x20?)[A-Za-z0-9-]++(?:(?:\.|\x20?[\[(](?i:dot)[\])]\x20?)[A-Za-z0-9-]++)*+(?!@)",
+    "ip": rf"(?<![0-9A-Za-z:.\]])(?:{_OCTET}(?:\[\.\]{_OCTET}){{3}}(?![0-9])|(?=[A-Fa-f:]*+[0-9])(?:(?:[0-9A-Fa-f]{{1,4}}:){{7}}[0-9A-Fa-f]{{1,4}}|(?:[0-9A-Fa-f]{{1,4}}:){{1,6}}(?::[0-9A-Fa-f]{{1,4}}){{1,6}})(?![0-9A-Za-z:]))",
 }
-#: What a text must contain for a pattern to be tried.
+#: What a text must contain for a pattern to be tried: this or, without one, a digit.
 NEEDS = {"email": "@", "phone": "+"}
+LOOSE_NEEDS = {"email": ""}
 KINDS = ("email", "ip", "card", "phone", "secret")
 CONTEXT_CHARS = 24
 
@@ -56,7 +62,7 @@ ITERATIONS = 60
 
 def raw_matches(text: Column, pattern: str, needs: str | None) -> tuple[Column, Column]:
     """The matches, and the texts between them if there are any."""
-    some = F.contains(text, F.lit(needs)) if needs else text.rlike("[0-9]")
+    some = F.contains(text, F.lit(needs)) if needs is not None else text.rlike("[0-9]")
     empty = F.array().cast("array<string>")
     return F.when(some, F.regexp_extract_all(text, F.lit(pattern), F.lit(0))).otherwise(empty), F.split(text, pattern, -1)
 
@@ -178,9 +184,9 @@ def trained(counts: list[tuple[str, int, int, int]], iterations: int = ITERATION
 
 
 def voted(docs: DataFrame) -> DataFrame:
-    """(doc_id, text) to (doc_id, spans): every match with kind, start, end, votes and ``known``: 1 base, 0 a base match that fails, -1 a candidate."""
+    """(doc_id, text) to (doc_id, spans): every match with kind, start, end, votes and ``known``: 1 base, 0 a base match or a card-like number that fails, -1 a candidate."""
     t = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("t"))
-    patterns = [(f"b_{k}", k, p, NEEDS.get(k)) for k, p in BASE.items()] + [(f"l_{k}", k, p, None) for k, p in LOOSE.items()]
+    patterns = [(f"b_{k}", k, p, NEEDS.get(k)) for k, p in BASE.items()] + [(f"l_{k}", k, p, LOOSE_NEEDS.get(k)) for k, p in LOOSE.items()]
     names = [n for n, *_ in patterns]
     for name, _, pattern, needs in patterns:
         t = t.withColumn(name, raw_matches(F.col("t"), pattern, needs)[0])
@@ -189,7 +195,7 @@ def voted(docs: DataFrame) -> DataFrame:
     t = t.select("doc_id", *[placed(F.col(n), F.col(f"g_{n}")).alias(n) for n in names])
 
     def described(name: str, kind: str) -> Column:
-        known = (lambda s: F.when(valid(kind, s["m"]), 1).otherwise(0)) if name.startswith("b_") else (lambda s: F.lit(-1))
+        known = (lambda s: F.when(valid(kind, s["m"]), 1).otherwise(0)) if name.startswith("b_") else (lambda s: F.when(luhn(s["m"]), -1).otherwise(0) if kind == "card" else F.lit(-1))
         return F.transform(F.col(name), lambda s: F.struct(F.lit(kind).alias("kind"), F.lit(KINDS.index(kind)).alias("at"), s["start"].alias("start"), s["end"].alias("end"), votes(kind, s).alias("votes"), known(s).alias("known")))
 
     every = t.select("doc_id", F.flatten(F.array(*[described(n, k) for n, k, *_ in patterns])).alias("spans"))

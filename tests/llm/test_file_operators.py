@@ -176,6 +176,18 @@ def test_personal_data(spark):
     assert private_spans.digest(private_spans.found(fixtures.empty(spark))).count() == 0
 
 
+def test_candidates_of_every_kind(spark):
+    late = "a" * 45 + "1" + "b" * 10
+    texts = ["card 378282246310005 and 3782-822463-10005", "card 378282246310006", "mail jo (at) example (dot) org or root@localhost", "ip 2001:db8:0:0:0:0:2:1, fe80::1ff:fe23 and 10[.]2[.]3[.]4", f"key={late}", "9" * 45 + "x", "call 415-555-0199", "ab::cd 10[.]2[.]3[.]999 a@a@a x" + "y" * 5000]
+    got = private_spans.voted(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    spans = {(s.kind, texts[r.doc_id][s.start : s.end]) for r in got for s in r.spans if s.known == -1}
+    assert spans == {
+        ("card", "378282246310005"), ("card", "3782-822463-10005"), ("email", "jo (at) example (dot) org"), ("email", "root@localhost"),
+        ("ip", "2001:db8:0:0:0:0:2:1"), ("ip", "fe80::1ff:fe23"), ("ip", "10[.]2[.]3[.]4"), ("secret", late), ("secret", "9" * 45 + "x"), ("phone", "415-555-0199"),
+    }
+    assert [(s.kind, s.known) for r in got if r.doc_id == 1 for s in r.spans] == [("card", 0)]
+
+
 def test_span_classifier_learns_reliabilities():
     code = lambda v: int("".join(str(x + 1) for x in v), 3)
     counts = [("phone", code((1, 1, 1, 1, 0)), 1, 500), ("phone", code((0, 0, -1, 1, 0)), 0, 500), ("secret", code((1, 1, 1, 1, 0)), -1, 200), ("secret", code((-1, 0, -1, -1, 0)), -1, 900)]
