@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .functions import polygons, strata
 from .functions.kdop import relate
 from .operators import features, grid, measures, sampler, verify
-from .params import METHODS, TARGETS, Params, for_dir
+from .params import METHODS, PUBLISHED, TARGETS, Params
 from .plans import calibrate, experiment, objective, ranker
 from .queries import RELEVANT, candidate_pairs, embedding_pairs, labelled_documents, register, scored_pairs
 from .sources import io
@@ -23,9 +23,8 @@ def scaled_pairs(spark: SparkSession, sf_dir: str, w: str) -> DataFrame:
 
 def network_scored(spark: SparkSession, sf_dir: str, w: str = "w4", net_seed: int = 42) -> DataFrame:
     """pair_id, p, d, y with the learned score; pairs are labelled as the balanced set asks."""
-    params = for_dir(sf_dir)
     x = scaled_pairs(spark, sf_dir, w).cache()
-    params = params.at_most(x.count())
+    params = PUBLISHED.at_most(x.count())
     net, _ = ranker.learned(x, F.col("y"), params.pool, params.labels, params.base_seed, net_seed)
     return ranker.score(x, net, ("pair_id", "y"), batch=params.batch).withColumn("d", strata.equal_width(F.col("p"))).select("pair_id", "p", "d", "y")
 
@@ -38,7 +37,7 @@ def score_network_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
 @register("flagship_network_w4")
 def flagship_network_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The whole pipeline with the learned score: all methods and targets."""
-    return experiment.run_methods(spark, network_scored(spark, sf_dir), "w4", for_dir(sf_dir))
+    return experiment.run_methods(spark, network_scored(spark, sf_dir), "w4", PUBLISHED)
 
 
 for _kind in ("logistic", "perceptron"):
@@ -46,7 +45,7 @@ for _kind in ("logistic", "perceptron"):
     @register(f"score_mllib_{_kind}_w1")
     def score_mllib(spark: SparkSession, sf_dir: str, kind: str = _kind) -> DataFrame:
         x = scaled_pairs(spark, sf_dir, "w1").cache()
-        return ranker.mllib_scores(x, F.col("y"), for_dir(sf_dir).pool, 2025, kind)
+        return ranker.mllib_scores(x, F.col("y"), PUBLISHED.at_most(x.count()).pool, 2025, kind)
 
 
 for _kind in ("overlap", "margin", "centre"):
@@ -68,7 +67,7 @@ def simplify_rings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _table(spark: SparkSession, sf_dir: str, names: tuple[str, ...], trials: int, **options) -> DataFrame:
-    return experiment.recall_table(spark, {w: scored_pairs(spark, sf_dir, w) for w in names}, for_dir(sf_dir), trials, **options)
+    return experiment.recall_table(spark, {w: scored_pairs(spark, sf_dir, w) for w in names}, PUBLISHED, trials, **options)
 
 
 register("recall_table")(lambda spark, sf_dir: _table(spark, sf_dir, ("w1", "w2", "w3", "w4"), 4))
@@ -87,14 +86,14 @@ def _variants(spark: SparkSession, sf_dir: str, variants: dict[str, dict], trial
     kept = scored_pairs(spark, sf_dir, w).cache()
     rows = []
     for label, options in variants.items():
-        rows += [(w, label, *r[2:]) for r in experiment.thresholds(kept, w, options.pop("params", for_dir(sf_dir)), trials=trials, **options)]
+        rows += [(w, label, *r[2:]) for r in experiment.thresholds(kept, w, options.pop("params", PUBLISHED), trials=trials, **options)]
     return measures.recall_summary(experiment.runs(spark, kept, rows))
 
 
 @register("ablation_ensemble")
 def ablation_ensemble(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One subsample against several, min, median and mean, bounds alone, quantile alone, and few bootstraps."""
-    p = for_dir(sf_dir)
+    p = PUBLISHED
     few = Params(**{**p.__dict__, "n_boot": 20})
     return _variants(spark, sf_dir, {
         "single": {"methods": ("ivw_single",)}, "min": {"methods": ("ivw_min",)}, "median": {"methods": ("ivw_min",), "fuse": "median"}, "mean": {"methods": ("ivw_min",), "fuse": "mean"},
@@ -117,17 +116,17 @@ def _stress(spark: SparkSession, scored: DataFrame, name: str, params: Params, *
     return experiment.run_methods(spark, x, name, params, **options)
 
 
-register("stress_rare_w2")(lambda spark, sf_dir: _stress(spark, scored_pairs(spark, sf_dir, "w2"), "w2", for_dir(sf_dir)))
-register("stress_no_signal_w5")(lambda spark, sf_dir: _stress(spark, embedding_pairs(spark, sf_dir), "w5", for_dir(sf_dir)))
-register("stress_tiny_w6")(lambda spark, sf_dir: _stress(spark, labelled_documents(spark, sf_dir), "w6", for_dir(sf_dir)))
-register("stress_tied_w4")(lambda spark, sf_dir: _stress(spark, scored_pairs(spark, sf_dir, "w4").withColumn("p", F.lit(0.5)), "tied", for_dir(sf_dir), methods=("ivw_single", "ivw_min")))
+register("stress_rare_w2")(lambda spark, sf_dir: _stress(spark, scored_pairs(spark, sf_dir, "w2"), "w2", PUBLISHED))
+register("stress_no_signal_w5")(lambda spark, sf_dir: _stress(spark, embedding_pairs(spark, sf_dir), "w5", PUBLISHED))
+register("stress_tiny_w6")(lambda spark, sf_dir: _stress(spark, labelled_documents(spark, sf_dir), "w6", PUBLISHED))
+register("stress_tied_w4")(lambda spark, sf_dir: _stress(spark, scored_pairs(spark, sf_dir, "w4").withColumn("p", F.lit(0.5)), "tied", PUBLISHED, methods=("ivw_single", "ivw_min")))
 
 
 @register("baseline_no_ranker_w4")
 def baseline_no_ranker_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Review in hash order: cost comes near the target itself."""
     x = scored_pairs(spark, sf_dir, "w4").withColumn("p", (F.xxhash64("pair_id").cast("double") + float(1 << 63)) / float(1 << 64))
-    return _stress(spark, x, "w4_hash_order", for_dir(sf_dir), methods=("ivw_min",))
+    return _stress(spark, x, "w4_hash_order", PUBLISHED, methods=("ivw_min",))
 
 
 @register("variant_dynamic_bins")
@@ -137,7 +136,7 @@ def variant_dynamic_bins(spark: SparkSession, sf_dir: str) -> DataFrame:
     kinds = {"wide_near": strata.dynamic_edges(0.7), "narrow_near": strata.dynamic_edges(0.7, inverse=True), "equi_depth": strata.equi_depth_edges(base)}
     out = None
     for name, e in kinds.items():
-        x = experiment.run_methods(spark, base.withColumn("d", strata.edges(F.col("p"), e)), name, for_dir(sf_dir), methods=("wilson_hash", "ivw_single"), quota="equal", trials=2)
+        x = experiment.run_methods(spark, base.withColumn("d", strata.edges(F.col("p"), e)), name, PUBLISHED, methods=("wilson_hash", "ivw_single"), quota="equal", trials=2)
         out = x if out is None else out.unionByName(x)
     return out
 
@@ -147,7 +146,7 @@ def variant_gate(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Whether one more sample would pay, per target."""
     x = scored_pairs(spark, sf_dir, "w4").cache()
     n = x.count()
-    params = for_dir(sf_dir).at_most(n)
+    params = PUBLISHED.at_most(n)
     rows = []
     for t in TARGETS:
         r = calibrate.calibrate(x, F.col("y"), t, params=params)
@@ -158,7 +157,8 @@ def variant_gate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register("variant_cost_objective")
 def variant_cost_objective(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return objective.cheapest(sampler.sample(scored_pairs(spark, sf_dir, "w4"), for_dir(sf_dir).k, 2026, "proportional"), 1.0, 20.0)
+    x = scored_pairs(spark, sf_dir, "w4").cache()
+    return objective.cheapest(sampler.sample(x, PUBLISHED.at_most(x.count()).k, 2026, "proportional"), 1.0, 20.0)
 
 
 @register("review_within_budget")
@@ -166,7 +166,7 @@ def review_within_budget(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Calibrate, review within a fifth of the pairs, and report what was confirmed and missed."""
     plain = scored_pairs(spark, sf_dir, "w4").cache()
     n = plain.count()
-    r = calibrate.calibrate(plain, F.col("y"), 800, params=for_dir(sf_dir).at_most(n))
+    r = calibrate.calibrate(plain, F.col("y"), 800, params=PUBLISHED.at_most(n))
     x = plain.withColumn("hash_key", F.xxhash64("pair_id"))
     done = verify.review(x, r.tau, n // 5, "split")
     return measures.budgeted(done.agg(F.count("*").alias("reviewed"), F.count_if("y").alias("confirmed")).crossJoin(verify.missed(x, done, F.col("y")).agg(F.count("*").alias("missed"))), n // 5)

@@ -30,12 +30,3 @@ class Params:
 
 
 PUBLISHED = Params()
-SMALL = {
-    "sf0.001": Params(pool=1_000, labels=200, k=1_000, subsamples=3, n_boot=50),
-    "sf0.01": Params(pool=5_000, labels=1_000, k=5_000),
-    "sf0.1": Params(pool=50_000, labels=1_000, k=50_000),
-}
-
-
-def for_dir(sf_dir: str) -> Params:
-    return SMALL.get(sf_dir.rstrip("/").rpartition("/")[2], PUBLISHED)

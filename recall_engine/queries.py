@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from .functions import hashing, rules, strata
 from .functions.kdop import PREDICATES, relate
 from .operators import csr, features, grid, measures, sampler, verify
-from .params import RULES, TARGETS, Params, for_dir
+from .params import PUBLISHED, RULES, TARGETS, Params
 from .plans import bootstrap, calibrate, ensemble, experiment, inverse_prob, objective
 from .sources.layers import LAYERS, OCTAGON, WORKLOADS, layer, layer_sql, workload
 
@@ -575,7 +575,7 @@ def asof_threshold(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def flagship(spark: SparkSession, sf_dir: str, w: str = "w4", params: Params | None = None) -> DataFrame:
     """All methods and targets on one workload: threshold, recall, cost, interval."""
-    return experiment.run_methods(spark, scored_pairs(spark, sf_dir, w), w, params or for_dir(sf_dir))
+    return experiment.run_methods(spark, scored_pairs(spark, sf_dir, w), w, params or PUBLISHED)
 
 
 def queries() -> dict[str, Query]:

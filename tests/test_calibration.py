@@ -309,3 +309,11 @@ def test_entry_and_registry(spark):
     names = entry.queries()
     assert set(entry.oracle_sql()) <= set(names)
     assert entry.entry(spark).count() == 15
+
+
+def test_parameters_do_not_depend_on_the_folders_name(spark, sf, tmp_path):
+    import __spark_entry__ as entry
+
+    (tmp_path / "other").symlink_to(sf)
+    gate = entry.queries()["variant_gate"]
+    assert gate(spark, sf).collect() == gate(spark, str(tmp_path / "other")).collect()
