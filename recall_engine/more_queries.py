@@ -74,6 +74,16 @@ register("recall_table")(lambda spark, sf_dir: _table(spark, sf_dir, ("w1", "w2"
 register("plain_rules_w4")(lambda spark, sf_dir: _table(spark, sf_dir, ("w4",), 4, methods=("exact_beta", "jeffreys", "wilson", "quantile")))
 
 
+@register("recall_table_network_w4")
+def recall_table_network(spark: SparkSession, sf_dir: str, trials: int = 10) -> DataFrame:
+    """Recall over trials that differ in the network's initialisation alone: pool, samples and bootstraps are the same in each."""
+    out = None
+    for trial in range(trials):
+        x = experiment.run_methods(spark, network_scored(spark, sf_dir, net_seed=PUBLISHED.net_seed + trial), "w4", PUBLISHED).withColumn("trial", F.lit(trial))
+        out = x if out is None else out.unionByName(x)
+    return measures.recall_summary(out)
+
+
 @register("ablation_sampling")
 def ablation_sampling(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Wilson on a random and on a hashed sample: spread of recall and their ratio."""

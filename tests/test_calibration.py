@@ -317,3 +317,10 @@ def test_parameters_do_not_depend_on_the_folders_name(spark, sf, tmp_path):
     (tmp_path / "other").symlink_to(sf)
     gate = entry.queries()["variant_gate"]
     assert gate(spark, sf).collect() == gate(spark, str(tmp_path / "other")).collect()
+
+
+def test_trials_over_the_networks_initialisation(spark, sf):
+    import __spark_entry__ as entry
+
+    got = entry.queries()["recall_table_network_w4"](spark, sf, trials=2).where("workload IS NOT NULL AND method IS NOT NULL AND target_mille IS NOT NULL").collect()
+    assert len(got) == 15 and all(r.runs == 2 and r.sd_recall is not None for r in got) and any(r.sd_recall > 0 for r in got)
