@@ -9,19 +9,21 @@ both sets, and as a link's sets have more than k shingles, one of those is the s
 (1 - t) / (1 + t) times the sum of the sizes. Parts that hold frequent
 shingles come last in the order, so passages and lines that many documents share hardly ever make candidates.
 
-Candidates are filtered by a second, finer sketch of one bit per shingle hash, whose Hamming distance is a lower bound
-of the symmetric difference, and the rest are verified on the whole sets. Documents with equal sets are one node from
-the start.
-
-Only connected components are asked for, so a bucket of g nodes gives g - 1 candidate pairs, each node with its
-anchor, not g^2. Nodes of a bucket that the verified links leave in different components are then compared with each
-other, in rounds, until every pair of a bucket is in one component, verified or excluded by size or sketch. No link
-between components is missed.
+Buckets are compared on a second, finer sketch of one bit per shingle hash, whose Hamming distance is a lower bound of
+the symmetric difference; what it leaves is verified on the whole sets. Documents with equal sets are one node from the
+start, named by 128 bits.
+
+Only connected components are asked for, so not every pair of a bucket is made. In each of a few rounds a node gives one
+pair at most: with the nearest node, by sketch, of another component in any of its buckets. The verified links join
+components, and most of a bucket soon is one. What then remains, pairs of one bucket, of different components, near enough
+by size and sketch and not tried yet, is made in whole, each pair in one bucket only, and verified. No link between
+components is missed. Large buckets are compared in chunks in the rounds, which cost in proportion to their nodes, and in
+blocks, nodes outside the largest component against all, at the end.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -40,6 +42,17 @@ FREQUENT_LIST = 1 << 17
 #: Text that a worker handles at a time, and keys that it gathers before it sends them: both bound its memory.
 SLICE_BYTES = 2_000_000
 SEND_KEYS = 1_000_000
+#: Keys that meet in one group, on average, and the number of one batch's nodes from which on a key's nodes don't go there.
+MEET_KEYS = 500_000
+HOT_KEY = 64
+ROUNDS = 2
+#: Nodes of a bucket that a round compares with each other, and bits of a sketch for a shingle.
+CHUNK = 2048
+SKETCH_BITS = 2
+#: Buckets that a node's row names, to give each pair in one bucket only.
+NAMED_BUCKETS = 64
+#: Texts (their two hashes) up to which their table is broadcast.
+BROADCAST_TEXTS = 1_000_000
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -78,10 +91,33 @@ def shingles(texts: pa.Array, width: int = WIDTH) -> tuple[np.ndarray, np.ndarra
 
 
 def node_ids(h: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-    """One 63-bit name per set, equal for equal sets; two sets of n share a name with a chance of n^2 / 2^64."""
-    sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(textkit.mix64(h ^ _ODD), dtype=np.uint64)])
-    mixed = textkit.mix64(sums[bounds[1:]] - sums[bounds[:-1]] + np.diff(bounds).astype(np.uint64) * _ODD)
-    return (mixed >> np.uint64(1)).astype(np.int64)
+    """A 128-bit name per set (two columns), equal for equal sets; some two of n sets share a name with a chance of n^2 / 2^129."""
+    size = np.diff(bounds).astype(np.uint64)
+    out = np.empty((len(size), 2), np.uint64)
+    for k, seed in enumerate((_ODD, np.uint64(0xC2B2AE3D27D4EB4F))):
+        sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(textkit.mix64(h ^ seed), dtype=np.uint64)])
+        out[:, k] = textkit.mix64(sums[bounds[1:]] - sums[bounds[:-1]] + size * seed)
+    return out
+
+
+def name_column(names: np.ndarray) -> pa.Array:
+    """Names as 16 bytes each."""
+    data = np.ascontiguousarray(names, dtype=np.uint64)
+    return pa.Array.from_buffers(pa.binary(), len(data), [None, pa.py_buffer(np.arange(len(data) + 1, dtype=np.int32) * 16), pa.py_buffer(data)])
+
+
+def column_names(col: pa.Array) -> np.ndarray:
+    return textkit.string_buffers(col)[0].view(np.uint64).reshape(-1, 2)
+
+
+def same_names(names: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The first row of each distinct name, and each row's number among the distinct names."""
+    order = np.lexsort((names[:, 1], names[:, 0]))
+    head = np.ones(len(names), bool)
+    head[1:] = (names[order][1:] != names[order][:-1]).any(axis=1)
+    code = np.empty(len(names), np.int64)
+    code[order] = np.cumsum(head) - 1
+    return order[head], code
 
 
 def most_different(size: np.ndarray, similarity: tuple[int, int] = SIMILARITY) -> np.ndarray:
@@ -153,10 +189,11 @@ def part_keys(h: np.ndarray, bounds: np.ndarray, frequent: np.ndarray, level: np
 
 
 def bit_sketch(h: np.ndarray, bounds: np.ndarray) -> list[bytes]:
-    """Each set's parity bits, as many as the power of two from its size on (256 at least). A wider sketch folds onto a
-    narrower one. Sets without common shingles then differ in about half the bits, well above what a link allows."""
+    """Each set's parity bits, as many as the power of two from SKETCH_BITS times its size on (256 at least). A wider sketch
+    folds onto a narrower one. The distance falls short of the symmetric difference by shingles that share a bit: pairs
+    below a similarity of about .72 differ in more bits than a link allows."""
     size = np.diff(bounds)
-    width = np.maximum(8, np.ceil(np.log2(np.maximum(size, 1))).astype(np.int64))
+    width = np.maximum(8, np.ceil(np.log2(np.maximum(SKETCH_BITS * size, 1))).astype(np.int64))
     place = textkit.mix64(h ^ np.uint64(0xD6E8FEB86659FD93))
     out = []
     for k, w in enumerate(width.tolist()):
@@ -178,17 +215,16 @@ def may_link(size_a: np.ndarray, size_b: np.ndarray, distance: np.ndarray, simil
 
 def described(docs: DataFrame, width: int, most: int = FREQUENT_LIST) -> DataFrame:
     """(doc_id, _text) to rows of two kinds, in one reading. ``doc``: doc_id, n_shingles, node, sketch and two hashes of the
-    text that find it again. ``shingle``: a shingle hash in ``node`` and in ``n_shingles`` how many different sets of this slice hold it."""
+    text that find it again. ``shingle``: a shingle's hash in ``t1`` and in ``n_shingles`` how many different sets of this slice hold it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = ["kind", "doc_id", "n_shingles", "node", "sketch", "t1", "t2"]
         for b in textkit.slices(batches, "_text", SLICE_BYTES):
             h, bounds = shingles(b.column(1), width)
             node, size = node_ids(h, bounds), np.diff(bounds)
-            yield pa.RecordBatch.from_arrays([pa.array(["doc"] * b.num_rows), b.column(0), pa.array(size), pa.array(node), pa.array(bit_sketch(h, bounds), pa.binary()), b.column(2), b.column(3)], names=names)
-            _, one = np.unique(node, return_index=True)  # copies count once
+            yield pa.RecordBatch.from_arrays([pa.array(["doc"] * b.num_rows), b.column(0), pa.array(size), name_column(node), pa.array(bit_sketch(h, bounds), pa.binary()), b.column(2), b.column(3)], names=names)
             pick = np.zeros(len(node), bool)
-            pick[one] = True
+            pick[same_names(node)[0]] = True  # copies count once
             value = np.sort(h[np.repeat(pick, size)])
             head = np.flatnonzero(np.concatenate([[True], value[1:] != value[:-1]])) if len(value) else np.zeros(0, np.int64)
             n = np.diff(np.append(head, len(value)))
@@ -196,10 +232,9 @@ def described(docs: DataFrame, width: int, most: int = FREQUENT_LIST) -> DataFra
             if len(often) > most:
                 often = often[np.argpartition(n[often], -most)[-most:]]
             k = len(often)
-            none = pa.nulls(k, b.column(0).type)
-            yield pa.RecordBatch.from_arrays([pa.array(["shingle"] * k, pa.string()), none, pa.array(n[often]), pa.array(value[head[often]].view(np.int64)), pa.nulls(k, pa.binary()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64())], names=names)
+            yield pa.RecordBatch.from_arrays([pa.array(["shingle"] * k, pa.string()), pa.nulls(k, b.column(0).type), pa.array(n[often]), pa.nulls(k, pa.binary()), pa.nulls(k, pa.binary()), pa.array(value[head[often]].view(np.int64)), pa.nulls(k, pa.int64())], names=names)
 
-    columns = (("n_shingles", T.LongType()), ("node", T.LongType()), ("sketch", T.BinaryType()), ("t1", T.LongType()), ("t2", T.LongType()))
+    columns = (("n_shingles", T.LongType()), ("node", T.BinaryType()), ("sketch", T.BinaryType()), ("t1", T.LongType()), ("t2", T.LongType()))
     schema = T.StructType([T.StructField("kind", T.StringType()), T.StructField("doc_id", docs.schema["doc_id"].dataType), *[T.StructField(n, t) for n, t in columns]])
     return docs.select("doc_id", "_text", *_text_hashes("_text")).mapInArrow(run, schema)
 
@@ -210,7 +245,7 @@ def _text_hashes(text: str) -> list:
 
 def frequent_shingles(rows: DataFrame, most: int = FREQUENT_LIST) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of the shingles that most sets hold, sorted, and the power of two of each's count. Orders parts; results don't depend on it."""
-    found = rows.groupBy(F.col("node").alias("h")).agg(F.sum("n_shingles").alias("n")).where("n >= 16")
+    found = rows.groupBy(F.col("t1").alias("h")).agg(F.sum("n_shingles").alias("n")).where("n >= 16")
     top = found.orderBy(F.desc("n"), "h").limit(most).collect()  # a fixed number of rows
     h = np.array([r.h for r in top], np.int64).view(np.uint64)
     level = np.array([int(r.n).bit_length() for r in top], np.uint64)
@@ -218,44 +253,66 @@ def frequent_shingles(rows: DataFrame, most: int = FREQUENT_LIST) -> tuple[np.nd
     return h[order], level[order]
 
 
-def buckets(docs: DataFrame, width: int, similarity: tuple[int, int], frequent: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """Candidates: (bucket, a, na, b, nb). Rows with b are pairs to verify; rows without are the members of buckets of three and more."""
-    parts = 2 * shuffle_partitions(docs.sparkSession)
-    fr, level = frequent
+def buckets(docs: DataFrame, width: int, similarity: tuple[int, int], frequent: tuple[np.ndarray, np.ndarray], shingle_count: int) -> DataFrame:
+    """(bucket, a): the nodes of each bucket of two and more. Buckets with the same nodes are one.
+
+    Keys meet in groups by their hash, as many groups as the number of keys asks for, so a group has a bounded number of
+    keys. A key that HOT_KEY nodes of one batch of keys have is a bucket at once: they go out as its nodes, and one of them
+    alone goes to the key's group to stand for them, so a group gets a bounded part of a batch's hot keys.
+    """
     a, b = similarity
+    parts = max(shuffle_partitions(docs.sparkSession), shingle_count * (b - a) // (a * MEET_KEYS))
+    fr, level = frequent
 
-    def sent(own: list, keys: list, nodes: list, sizes: list) -> Iterator[pa.RecordBatch]:
-        """Rows (part, keys, owners' places, owners' nodes and sizes) of what was gathered."""
-        shift = np.repeat(np.cumsum([0, *map(len, nodes)])[:-1], [len(o) for o in own])
-        own, key, node, size = np.concatenate(own) + shift, np.concatenate(keys), np.concatenate(nodes), np.concatenate(sizes)
+    def sent(own: list, keys: list, names: list, sizes: list) -> Iterator[pa.RecordBatch]:
+        """Rows of what was gathered: for each group its keys, sorted by node, and the nodes' names, sizes and numbers of
+        keys, and which keys are hot; without a group, the keys and names of hot buckets."""
+        shift = np.repeat(np.cumsum([0, *map(len, names)])[:-1], [len(o) for o in own])
+        own, key, name, size = np.concatenate(own) + shift, np.concatenate(keys), np.concatenate(names), np.concatenate(sizes)
+        one, code = same_names(name)  # a set that came in several slices
+        own, name, size = code[own], name[one], size[one]
+        order = np.lexsort((own, key))
+        own, key = own[order], key[order]
+        new = np.ones(len(key), bool)
+        new[1:] = (key[1:] != key[:-1]) | (own[1:] != own[:-1])
+        own, key = own[new], key[new]
+        start = np.flatnonzero(np.diff(key, prepend=key[:1] + np.uint64(1)) != 0)
+        count = np.diff(np.append(start, len(key)))
+        stands = np.zeros(len(key), bool)
+        stands[start[count >= HOT_KEY]] = True
+        hot = np.flatnonzero(np.repeat(count >= HOT_KEY, count))
+        none = pa.array([b""], pa.binary())
+        for lo in range(0, len(hot), SEND_KEYS // 8):
+            at = hot[lo : lo + SEND_KEYS // 8]
+            apart = -1 - int(textkit.mix64(key[at[:1]] ^ name[own[at[:1]], 0])[0] >> np.uint64(2))  # a group of their own
+            yield pa.RecordBatch.from_arrays([pa.array([apart], pa.int64()), pa.array([key[at].tobytes()], pa.binary()), pa.array([name[own[at]].tobytes()], pa.binary()), none, none, none], names=_SENT)
+        keep = stands.copy()
+        keep[np.repeat(count < HOT_KEY, count)] = True
+        own, key, stands = own[keep], key[keep], stands[keep]
         to = (textkit.mix64(key + _ODD) % np.uint64(parts)).astype(np.int64)
-        order = np.argsort(to, kind="stable")
-        own, key, to = own[order], key[order], to[order]
-        edge = np.searchsorted(to, np.arange(parts + 1))
-        used = np.flatnonzero(np.diff(edge))
+        order = np.lexsort((own, to))
+        own, key, to, stands = own[order], key[order], to[order], stands[order]
+        used, edge = np.unique(to, return_index=True)
+        edge = np.append(edge, len(to))
         for lo in range(0, len(used), 64):
-            cols = [[], [], [], []]
-            for p in used[lo : lo + 64]:
-                local, code = np.unique(own[edge[p] : edge[p + 1]], return_inverse=True)
-                cols[0].append(int(p))
-                cols[1].append(key[edge[p] : edge[p + 1]].tobytes())
-                cols[2].append(code.astype(np.uint32).tobytes())
-                cols[3].append(np.stack([node[local], size[local]]).astype(np.int64).tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *[pa.array(c, pa.binary()) for c in cols[1:]]], names=["p", "keys", "own", "nodes"])
+            cols = [[], [], [], [], [], []]
+            for k in range(lo, min(lo + 64, len(used))):
+                at = slice(edge[k], edge[k + 1])
+                local, times = np.unique(own[at], return_counts=True)
+                for col, x in zip(cols, (int(used[k]), key[at], name[local], size[local].astype(np.uint32), times.astype(np.uint32), key[at][stands[at]]), strict=True):
+                    col.append(x if isinstance(x, int) else x.tobytes())
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), *[pa.array(c, pa.binary()) for c in cols[1:]]], names=_SENT)
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         waiting: tuple[list, ...] = ([], [], [], [])
         for batch in textkit.slices(batches, "_text", SLICE_BYTES):
             h, bounds = shingles(batch.column(0), width)
-            node = node_ids(h, bounds)
-            _, one = np.unique(node, return_index=True)
-            keep = np.zeros(len(node), bool)
-            keep[one] = True
-            size = np.diff(bounds)
-            h = h[np.repeat(keep, size)]
-            node, size = node[keep], size[keep]
+            name, size = node_ids(h, bounds), np.diff(bounds)
+            keep = np.zeros(len(name), bool)
+            keep[same_names(name)[0]] = True
+            h, name, size = h[np.repeat(keep, size)], name[keep], size[keep]
             own, key = part_keys(h, np.concatenate([[0], np.cumsum(size)]), fr, level, similarity)
-            for store, x in zip(waiting, (own, key, node, size), strict=True):
+            for store, x in zip(waiting, (own, key, name, size), strict=True):
                 store.append(x)
             if sum(map(len, waiting[1])) >= SEND_KEYS:
                 yield from sent(*waiting)
@@ -264,110 +321,88 @@ def buckets(docs: DataFrame, width: int, similarity: tuple[int, int], frequent:
             yield from sent(*waiting)
 
     def meet(table: pa.Table) -> pa.Table:
-        keys, nodes, sizes = [], [], []
-        for k, o, n in zip(table["keys"], table["own"], table["nodes"], strict=True):
-            local = np.frombuffer(n.as_py(), np.int64).reshape(2, -1)
-            own = np.frombuffer(o.as_py(), np.uint32)
-            keys.append(np.frombuffer(k.as_py(), np.uint64))
-            nodes.append(local[0][own])
-            sizes.append(local[1][own])
-        key, node, size = np.concatenate(keys), np.concatenate(nodes), np.concatenate(sizes)
-        return pa.Table.from_arrays([pa.array(c) for c in met(key, node, size, a, b)], schema=_CANDIDATES())
+        def joined(column: str, kind: type) -> np.ndarray:
+            return np.concatenate([np.frombuffer(x.as_py(), kind) for x in table[column]])
+
+        key, name, size, times = joined("keys", np.uint64), joined("names", np.uint64).reshape(-1, 2), joined("sizes", np.uint32), joined("times", np.uint32)
+        if table["p"][0].as_py() < 0:
+            bucket = hot_bucket(key)
+        else:
+            node = np.repeat(np.arange(len(name)), times)
+            bucket, name = met(key, name[node], size[node].astype(np.int64), np.unique(joined("hot", np.uint64)), similarity)
+        return pa.Table.from_arrays([pa.array(bucket), name_column(name)], names=["bucket", "a"])
+
+    rows = docs.select("_text").mapInArrow(send, "p long, " + ", ".join(f"{c} binary" for c in _SENT[1:]))
+    return rows.groupBy("p").applyInArrow(meet, "bucket long, a binary").distinct()
+
 
-    rows = docs.select("_text").mapInArrow(send, "p int, keys binary, own binary, nodes binary")
-    return rows.groupBy("p").applyInArrow(meet, "bucket long, a long, na long, b long, nb long")
+_SENT = ["p", "keys", "names", "sizes", "times", "hot"]
 
 
-def _CANDIDATES() -> pa.Schema:
-    return pa.schema([(n, pa.int64()) for n in ("bucket", "a", "na", "b", "nb")])
+def hot_bucket(key: np.ndarray) -> np.ndarray:
+    """The name of a hot key's bucket."""
+    return (textkit.mix64(key ^ np.uint64(0xA0761D6478BD642F)) >> np.uint64(1)).astype(np.int64)
 
 
-def met(key: np.ndarray, node: np.ndarray, size: np.ndarray, a: int, b: int) -> list:
-    """The candidate rows of one partition's keys."""
+def met(key: np.ndarray, name: np.ndarray, size: np.ndarray, hot: np.ndarray, similarity: tuple[int, int]) -> tuple[np.ndarray, np.ndarray]:
+    """Bucket and node of the rows of one group whose key more than one node has, or which is hot."""
+    a, b = similarity
     order = np.argsort(key, kind="stable")
-    key, node, size = key[order], node[order], size[order]
+    key, name, size = key[order], name[order], size[order]
     same = np.concatenate([[False], key[1:] == key[:-1], [False]])
-    many = same[1:] | same[:-1]
-    key, node, size = key[many], node[many], size[many]
-    order = np.lexsort((node, size, key))
-    key, node, size = key[order], node[order], size[order]
-    new = np.concatenate([[True], (key[1:] != key[:-1]) | (node[1:] != node[:-1])]) if len(key) else np.zeros(0, bool)
-    key, node, size = key[new], node[new], size[new]
-    # Sizes too far apart for a link end a bucket: nothing on one side can link with the other.
-    cut_ = np.concatenate([[True], (key[1:] != key[:-1]) | (b * size[:-1] < a * size[1:])]) if len(key) else np.zeros(0, bool)
-    start = np.flatnonzero(cut_)
+    many = (same[1:] | same[:-1])[: len(key)] | np.isin(key, hot)
+    key, name, size = key[many], name[many], size[many]
+    if not len(key):
+        return np.zeros(0, np.int64), name
+    order = np.lexsort((name[:, 1], name[:, 0], size, key))
+    key, name, size = key[order], name[order], size[order]
+    new = np.ones(len(key), bool)
+    new[1:] = (key[1:] != key[:-1]) | (name[1:] != name[:-1]).any(axis=1)
+    key, name, size = key[new], name[new], size[new]
+    is_hot = np.isin(key, hot)
+    # Sizes too far apart for a link end a bucket: nothing on one side can link with the other. A hot key's bucket has nodes elsewhere too.
+    start = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (~is_hot[1:] & (b * size[:-1] < a * size[1:]))]))
     n = np.diff(np.append(start, len(key)))
-    if not len(start):
-        return [np.zeros(0, np.int64)] * 5
-    name = np.add.reduceat(textkit.mix64(node.view(np.uint64)), start)
-    name = (textkit.mix64(name) >> np.uint64(1)).astype(np.int64)
-    _, one = np.unique(name, return_index=True)
-    one = one[n[one] > 1]
+    bucket = (textkit.mix64(np.add.reduceat(textkit.mix64(name[:, 0]) ^ name[:, 1], start)) >> np.uint64(1)).astype(np.int64)
+    bucket = np.where(is_hot[start], hot_bucket(key[start]), bucket)
+    _, one = np.unique(bucket, return_index=True)
+    one = one[(n[one] > 1) | is_hot[start[one]]]
     rows = np.repeat(start[one] - (np.cumsum(n[one]) - n[one]), n[one]) + np.arange(int(n[one].sum()))
-    bucket, node, size = np.repeat(name[one], n[one]), node[rows], size[rows]
-    first = np.repeat(np.cumsum(n[one]) - n[one], n[one])
-    # The anchor: the bucket's first node, or the node before it where the first is too small.
-    back = np.where(b * size[first] >= a * size, first, np.maximum(np.arange(len(node)) - 1, first))
-    pair = back != np.arange(len(node))
-    lo, hi = np.minimum(node[back[pair]], node[pair]), np.maximum(node[back[pair]], node[pair])
-    swap = node[back[pair]] > node[pair]
-    sl = np.where(swap, size[pair], size[back[pair]])
-    sh = np.where(swap, size[back[pair]], size[pair])
-    big = np.repeat(n[one] > 2, n[one])
-    none = [None] * int(big.sum())
-    return [
-        np.concatenate([bucket[pair], bucket[big]]), np.concatenate([lo, node[big]]), np.concatenate([sl, size[big]]),
-        pa.array([*hi.tolist(), *none], pa.int64()), pa.array([*sh.tolist(), *none], pa.int64()),
-    ]
-
-
-def sketch_survivors(pairs: DataFrame, sketches: DataFrame, similarity: tuple[int, int]) -> DataFrame:
-    """The (a, b) whose sketches' Hamming distance leaves room for a link."""
-    one, two = (sketches.select(F.col("node").alias(f"_{k}"), F.col("n_shingles").alias(f"n{k}"), F.col("sketch").alias(f"s{k}")) for k in "ab")
-    both = pairs.select("a", "b").join(one, F.col("a") == F.col("_a")).join(two, F.col("b") == F.col("_b")).select("a", "b", "na", "nb", "sa", "sb")
+    return np.repeat(bucket[one], n[one]), name[rows]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for r in batches:
-            na, nb = (r.column(k).to_numpy(zero_copy_only=False) for k in (2, 3))
-            d = np.zeros(r.num_rows, np.int64)
-            for k, (x, y) in enumerate(zip(r.column(4).to_pylist(), r.column(5).to_pylist(), strict=True)):
-                n = min(len(x), len(y))
-                d[k] = int.from_bytes((folded(x, n) ^ folded(y, n)).tobytes(), "little").bit_count()
-            yield r.select(["a", "b"]).filter(pa.array(may_link(na, nb, d, similarity)))
 
-    return both.mapInArrow(run, "a long, b long")
+def shingle_sets(docs: DataFrame, known: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
+    """(node, shingles as bytes) for each wanted node, from one of its texts, which is found by its hashes; copies meet in the aggregate."""
+    place = cut(known.join(wanted.select(F.col("node").alias("_n")), F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(F.min(F.struct("t1", "t2")).alias("t")).select(F.col("t.t1").alias("_1"), F.col("t.t2").alias("_2")))
+    place = F.broadcast(place) if place.count() <= BROADCAST_TEXTS else place
+    texts = docs.select("_text", *_text_hashes("_text")).join(place, (F.col("t1") == F.col("_1")) & (F.col("t2") == F.col("_2")), "left_semi").select("_text")
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for r in textkit.slices(batches, "_text", SLICE_BYTES):
+            h, bounds = shingles(r.column(0), width)
+            name = node_ids(h, bounds)
+            one = same_names(name)[0]
+            yield pa.RecordBatch.from_arrays([name_column(name[one]), pa.array([h[bounds[k] : bounds[k + 1]].tobytes() for k in one], pa.binary())], names=["node", "shingles"])
 
-def node_texts(docs: DataFrame, known: DataFrame, wanted: DataFrame) -> DataFrame:
-    """(node, text) for each wanted node, one text each, found by the hashes of one of its texts; copies meet in the partial aggregate."""
-    place = known.join(wanted.withColumnRenamed("node", "_n"), F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(F.min(F.struct("t1", "t2")).alias("t"))
-    place = place.select("node", F.col("t.t1").alias("_1"), F.col("t.t2").alias("_2"))
-    texts = docs.select(F.col("_text").alias("text"), *_text_hashes("_text")).groupBy("t1", "t2").agg(F.first("text").alias("text"))
-    return texts.join(place, (F.col("t1") == F.col("_1")) & (F.col("t2") == F.col("_2"))).select("node", "text")
+    return texts.mapInArrow(run, "node binary, shingles binary").groupBy("node").agg(F.first("shingles").alias("shingles"))
 
 
-def verified(pairs: DataFrame, docs: DataFrame, known: DataFrame, width: int, similarity: tuple[int, int]) -> DataFrame:
-    """The (a, b) that link, by their whole sets, made from their nodes' texts. ``pairs`` is a kept table."""
+def verified(pairs: DataFrame, sets: DataFrame, similarity: tuple[int, int]) -> DataFrame:
+    """The (a, b) that link, by their whole sets."""
     a, b = similarity
-    texts = cut(node_texts(docs, known, pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()))
-    release(docs.sparkSession)  # the shuffle of all texts
-    one, two = (texts.select(F.col("node").alias(f"_{k}"), F.col("text").alias(f"t{k}")) for k in "ab")
-    both = pairs.join(two, F.col("b") == F.col("_b")).join(one, F.col("a") == F.col("_a")).select("a", "b", "ta", "tb")
+    one, two = (sets.select(F.col("node").alias(f"_{k}"), F.col("shingles").alias(f"s{k}")) for k in "ab")
+    both = pairs.join(one, F.col("a") == F.col("_a")).join(two, F.col("b") == F.col("_b")).select("a", "b", "sa", "sb")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for r in textkit.slices(batches, "tb", SLICE_BYTES // 2):
-            node, text = pa.concat_arrays([r.column(0), r.column(1)]), pa.concat_arrays([r.column(2), r.column(3)])
-            _, one, code = np.unique(node.to_numpy(zero_copy_only=False), return_index=True, return_inverse=True)
-            h, bounds = shingles(text.take(pa.array(one)), width)
-            left, right = code[: r.num_rows], code[r.num_rows :]
+        for r in batches:
             ok = np.zeros(r.num_rows, bool)
-            for k, (x, y) in enumerate(zip(left.tolist(), right.tolist(), strict=True)):
-                p, q = h[bounds[x] : bounds[x + 1]], h[bounds[y] : bounds[y + 1]]
+            for k, (x, y) in enumerate(zip(r.column(2), r.column(3), strict=True)):
+                p, q = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
                 common = int((p[np.minimum(np.searchsorted(p, q), len(p) - 1)] == q).sum())
                 ok[k] = b * common >= a * (len(p) + len(q) - common)
             yield r.select(["a", "b"]).filter(pa.array(ok))
 
-    return both.mapInArrow(run, "a long, b long")
+    return both.mapInArrow(run, "a binary, b binary")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -391,122 +426,254 @@ def components(links: DataFrame) -> DataFrame:
         before = after
 
 
-def across(members: DataFrame, comp: DataFrame, sketches: DataFrame, similarity: tuple[int, int], outside: int = 512, inside: int = 2048) -> DataFrame:
-    """Pairs (a, b) of one bucket and different components that size and sketch leave. A bucket's nodes outside its largest
-    component are compared with all its nodes, in blocks, so a task holds a bounded part of a bucket."""
-    own = comp.select(F.col("node").alias("_n"), "comp")
-    m = members.join(own, F.col("a") == F.col("_n"), "left").select("bucket", "a", F.coalesce("comp", "a").alias("comp"))
-    per = m.groupBy("bucket", "comp").agg(F.count("*").alias("n"))
-    per = per.groupBy("bucket").agg(F.count("*").alias("comps"), F.sum("n").alias("size"), F.max(F.struct("n", "comp")).alias("main")).where("comps > 1")
-    per = cut(per.select("bucket", F.col("main.comp").alias("main"), F.ceil(F.col("size") / inside).cast("int").alias("mb"), F.ceil((F.col("size") - F.col("main.n")) / outside).cast("int").alias("ob")))
-    if per.isEmpty():
-        return None
-    sk = sketches.select(F.col("node").alias("_s"), "n_shingles", "sketch")
-    m = m.join(per, "bucket").join(sk, F.col("a") == F.col("_s"))
-    h = F.xxhash64("a")
-    one = (F.col("mb") == 1) & (F.col("ob") == 1)
-    # Role 2: a bucket in one block, each node against the later ones. Otherwise nodes outside (0) against all (1), block by block.
-    whole = m.where(one).withColumns({"o": F.lit(0), "i": F.lit(0), "role": F.lit(2)})
-    out = m.where(~one & (F.col("comp") != F.col("main"))).withColumn("o", F.pmod(h, F.col("ob"))).withColumn("i", F.explode(F.sequence(F.lit(0), F.col("mb") - 1))).withColumn("role", F.lit(0))
-    in_ = m.where(~one).withColumn("i", F.pmod(h, F.col("mb"))).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("ob") - 1))).withColumn("role", F.lit(1))
-    cols = ["bucket", F.col("o").cast("long").alias("o"), F.col("i").cast("long").alias("i"), "role", "a", "comp", "n_shingles", "sketch"]
-
-    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rest = None
-        for b in batches:
-            t = pa.Table.from_batches([b]) if rest is None else pa.concat_tables([rest, pa.Table.from_batches([b])])
-            last = _group_starts(t)[-1] if t.num_rows else 0
-            if last:
-                yield _across_pairs(t.slice(0, last), similarity)
-            rest = t.slice(last)
-        if rest is not None and rest.num_rows:
-            yield _across_pairs(rest, similarity)
-
-    rows = whole.select(*cols).unionAll(out.select(*cols)).unionAll(in_.select(*cols))
-    return rows.repartition("bucket", "o", "i").sortWithinPartitions("bucket", "o", "i", "role").mapInArrow(compare, "a long, b long").distinct()
+def _streamed(batches: Iterator[pa.RecordBatch], keys: list[str], compare: Callable[[pa.Table], pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """``compare`` of whole groups of rows that come sorted by the integer columns ``keys``."""
+    rest = None
+    for b in batches:
+        t = pa.Table.from_batches([b]) if rest is None else pa.concat_tables([rest, pa.Table.from_batches([b])]).combine_chunks()
+        last = _group_starts(t, keys)[-1] if t.num_rows else 0
+        if last:
+            yield compare(t.slice(0, last))
+        rest = t.slice(last)
+    if rest is not None and rest.num_rows:
+        yield compare(rest)
 
 
-def _group_starts(t: pa.Table) -> np.ndarray:
+def _group_starts(t: pa.Table, keys: list[str]) -> np.ndarray:
     change = np.zeros(t.num_rows, bool)
     change[:1] = True
-    for c in ("bucket", "o", "i"):
+    for c in keys:
         v = t[c].to_numpy()
         change[1:] |= v[1:] != v[:-1]
     return np.flatnonzero(change)
 
 
-def _across_pairs(t: pa.Table, similarity: tuple[int, int], most: int = 1_000_000) -> pa.RecordBatch:
-    """The surviving pairs of whole groups, sorted by role."""
-    role, node, comp, size = (t[c].to_numpy() for c in ("role", "a", "comp", "n_shingles"))
-    sketch = t["sketch"].to_pylist()
-    start = _group_starts(t)
-    end = np.append(start[1:], t.num_rows)[np.repeat(np.arange(len(start)), np.diff(np.append(start, t.num_rows)))]
-    # Where a left node's partners begin: after itself, or at its group's first row of role 1.
-    right = np.add.reduceat((role == 0).astype(np.int64), start) + start
-    begin = np.where(role == 2, np.arange(t.num_rows) + 1, np.repeat(right, np.diff(np.append(start, t.num_rows))))
-    many = np.where(role == 1, 0, end - begin)
+def _near_pairs(t: pa.Table, begin: np.ndarray, many: np.ndarray, similarity: tuple[int, int], most: int = 1_000_000) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Places x and y of the pairs that sizes and sketches leave, of different components, and their distances: row x with
+    ``many[x]`` rows from ``begin[x]`` on. At most about ``most`` pairs at a time."""
+    size, sketch = t["n_shingles"].to_numpy(), t["sketch"].combine_chunks()
+    comp = same_names(column_names(t["comp"].combine_chunks()))[1]
+    raw, off = textkit.string_buffers(sketch)
+    width = np.diff(off)
     a, b = similarity
-    found, ints = [], {}
-
-    def number(k: int, n: int) -> int:
-        if (k, n) not in ints:
-            ints[k, n] = int.from_bytes(folded(sketch[k], n).tobytes(), "little")
-        return ints[k, n]
-
     left = np.flatnonzero(many > 0)
     upto = np.cumsum(many[left])
+    folds: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+
+    def words(w: int) -> tuple[np.ndarray, np.ndarray]:
+        """Places in, and the matrix of, the sketches of w and 2w bytes, as w bytes."""
+        if w not in folds:
+            at, matrix = np.full(t.num_rows, -1), []
+            for k in (w, 2 * w):
+                rows = np.flatnonzero(width == k)
+                x = raw[(off[rows][:, None] + np.arange(k))].reshape(len(rows), k)
+                at[rows] = np.arange(len(rows)) + sum(map(len, matrix))
+                matrix.append(x if k == w else x[:, :w] ^ x[:, w:])
+            folds[w] = at, np.ascontiguousarray(np.concatenate(matrix)).view(np.uint64)
+        return folds[w]
+
     lo = 0
     while lo < len(left):
         hi = max(lo + 1, int(np.searchsorted(upto, (upto[lo - 1] if lo else 0) + most, side="right")))
         use = left[lo:hi]
+        lo = hi
         x = np.repeat(use, many[use])
         y = np.arange(len(x)) + np.repeat(begin[use] - (np.cumsum(many[use]) - many[use]), many[use])
         ok = (comp[x] != comp[y]) & (b * np.minimum(size[x], size[y]) >= a * np.maximum(size[x], size[y]))
         x, y = x[ok], y[ok]
+        w = np.minimum(width[x], width[y])
         d = np.empty(len(x), np.int64)
-        for k, (i, j) in enumerate(zip(x.tolist(), y.tolist(), strict=True)):
-            n = min(len(sketch[i]), len(sketch[j]))
-            d[k] = (number(i, n) ^ number(j, n)).bit_count()
+        for each in np.unique(w).tolist():
+            at, matrix = words(each)
+            mine = np.flatnonzero(w == each)
+            step = max(1, (1 << 25) // each)
+            for i in range(0, len(mine), step):
+                m = mine[i : i + step]
+                d[m] = np.bitwise_count(matrix[at[x[m]]] ^ matrix[at[y[m]]]).sum(axis=1, dtype=np.int64)
         ok = may_link(size[x], size[y], d, similarity)
-        found.append(np.stack([np.minimum(node[x[ok]], node[y[ok]]), np.maximum(node[x[ok]], node[y[ok]])]))
-        lo = hi
-    ab = np.unique(np.concatenate(found, axis=1), axis=1) if found else np.zeros((2, 0), np.int64)
-    return pa.RecordBatch.from_arrays([pa.array(ab[0]), pa.array(ab[1])], names=["a", "b"])
+        yield x[ok], y[ok], d[ok]
+
+
+def _open_members(members: DataFrame, comp: DataFrame | None, sketches: DataFrame) -> DataFrame:
+    """``members`` with their components, of buckets with more than one: bucket, a, comp, and of the bucket size, main (its largest component) and main_n."""
+    if comp is None:
+        per = members.groupBy("bucket").agg(F.count("*").alias("size"))
+        return members.select("bucket", "a", F.col("a").alias("comp")).join(per, "bucket").withColumn("main", F.lit(None).cast("binary")).withColumn("main_n", F.lit(1).cast("long"))
+    own = comp.select(F.col("node").alias("_n"), "comp")
+    m = members.join(own, F.col("a") == F.col("_n"), "left").select("bucket", "a", F.coalesce("comp", "a").alias("comp"))
+    per = m.groupBy("bucket", "comp").agg(F.count("*").alias("n"))
+    per = per.groupBy("bucket").agg(F.count("*").alias("comps"), F.sum("n").alias("size"), F.max(F.struct("n", "comp")).alias("main")).where("comps > 1")
+    return m.join(per.select("bucket", "size", F.col("main.comp").alias("main"), F.col("main.n").alias("main_n")), "bucket")
+
+
+def nearest(members: DataFrame, comp: DataFrame | None, sketches: DataFrame, similarity: tuple[int, int], turn: int, chunk: int = CHUNK) -> DataFrame:
+    """Pairs (a, b): each node with the nearest one of another component, by sketch, among those of its buckets that sizes and
+    sketches leave. A bucket of more than ``chunk`` nodes is compared in chunks, dealt anew each ``turn``."""
+    sk = sketches.select(F.col("node").alias("_s"), "n_shingles", "sketch")
+    m = _open_members(members, comp, sketches).join(sk, F.col("a") == F.col("_s"))
+    part = F.pmod(F.xxhash64("a", F.lit(turn)), F.ceil(F.col("size") / F.lit(float(chunk))).cast("long"))
+    rows = m.select("bucket", part.alias("part"), "a", "comp", "n_shingles", "sketch")
+
+    def best(t: pa.Table) -> pa.RecordBatch:
+        start = _group_starts(t, ["bucket", "part"])
+        end = np.repeat(np.append(start[1:], t.num_rows), np.diff(np.append(start, t.num_rows)))
+        begin = np.arange(t.num_rows) + 1
+        size = t["n_shingles"].to_numpy()
+        score, partner = np.full(t.num_rows, np.inf), np.full(t.num_rows, -1)
+        for x, y, d in _near_pairs(t, begin, end - begin, similarity):
+            far = d / (size[x] + size[y])
+            node, other, far = np.concatenate([x, y]), np.concatenate([y, x]), np.concatenate([far, far])
+            order = np.lexsort((other, far, node))
+            node, other, far = node[order], other[order], far[order]
+            head = np.flatnonzero(np.diff(node, prepend=-1) != 0)
+            closer = head[far[head] < score[node[head]]]
+            score[node[closer]], partner[node[closer]] = far[closer], other[closer]
+        some = pa.array(np.flatnonzero(partner >= 0))
+        a = t["a"].combine_chunks()
+        return pa.RecordBatch.from_arrays([a.take(some), pa.array(score[some.to_numpy()]), a.take(pa.array(partner[some.to_numpy()]))], names=["a", "far", "b"])
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from _streamed(batches, ["bucket", "part"], best)
+
+    found = rows.repartition("bucket", "part").sortWithinPartitions("bucket", "part", "a").mapInArrow(compare, "a binary, far double, b binary")
+    found = found.groupBy("a").agg(F.min(F.struct("far", "b")).alias("n"))
+    return found.select(F.least("a", "n.b").alias("a"), F.greatest("a", "n.b").alias("b")).distinct()
+
+
+def across(members: DataFrame, comp: DataFrame | None, sketches: DataFrame, similarity: tuple[int, int], outside: int = 512, inside: int = 2048) -> DataFrame:
+    """All pairs (a, b) of one bucket and different components that size and sketch leave. A bucket's nodes outside its largest
+    component are compared with all its nodes, in blocks, so a task holds a bounded part of a bucket. Of the buckets that
+    both nodes name, the first gives the pair."""
+    sk = sketches.select(F.col("node").alias("_s"), "n_shingles", "sketch")
+    m = cut(_open_members(members, comp, sketches))
+    if m.isEmpty():
+        return m.select("a", F.col("a").alias("b"))
+    # The NAMED_BUCKETS smallest buckets of each node, by two aggregates of bounded size.
+    named = m.select(F.col("a").alias("_m"), F.pmod(F.xxhash64("bucket"), F.lit(16)).alias("s"), "bucket")
+    least = F.slice(F.array_sort(F.collect_list("bucket")), 1, NAMED_BUCKETS)
+    named = named.groupBy("_m", "s").agg(least.alias("bucket")).groupBy("_m").agg(F.slice(F.array_sort(F.flatten(F.collect_list("bucket"))), 1, NAMED_BUCKETS).alias("named"))
+    m = m.withColumns({"mb": F.ceil(F.col("size") / inside).cast("int"), "ob": F.ceil((F.col("size") - F.col("main_n")) / outside).cast("int")})
+    m = m.join(sk, F.col("a") == F.col("_s")).join(named, F.col("a") == F.col("_m"))
+    h = F.xxhash64("a")
+    one = (F.col("mb") == 1) & (F.col("ob") == 1)
+    # Role 2: a bucket in one block, each node against the later ones. Otherwise nodes outside (0) against all (1), block by block.
+    whole = m.where(one).withColumns({"o": F.lit(0), "i": F.lit(0), "role": F.lit(2)})
+    out = m.where(~one & ~F.col("comp").eqNullSafe(F.col("main"))).withColumn("o", F.pmod(h, F.col("ob"))).withColumn("i", F.explode(F.sequence(F.lit(0), F.col("mb") - 1))).withColumn("role", F.lit(0))
+    in_ = m.where(~one).withColumn("i", F.pmod(h, F.col("mb"))).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("ob") - 1))).withColumn("role", F.lit(1))
+    cols = ["bucket", F.col("o").cast("long").alias("o"), F.col("i").cast("long").alias("i"), "role", "a", "comp", "n_shingles", "sketch", "named"]
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from _streamed(batches, ["bucket", "o", "i"], lambda t: _across_pairs(t, similarity))
+
+    rows = whole.select(*cols).unionAll(out.select(*cols)).unionAll(in_.select(*cols))
+    return rows.repartition("bucket", "o", "i").sortWithinPartitions("bucket", "o", "i", "role").mapInArrow(compare, "a binary, b binary").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def _across_pairs(t: pa.Table, similarity: tuple[int, int]) -> pa.RecordBatch:
+    """The surviving pairs of whole groups, sorted by role, that no earlier bucket names."""
+    role = t["role"].to_numpy()
+    start = _group_starts(t, ["bucket", "o", "i"])
+    rows = np.diff(np.append(start, t.num_rows))
+    group, end = np.repeat(np.arange(len(start)), rows), np.repeat(np.append(start[1:], t.num_rows), rows)
+    # Where a left node's partners begin: after itself, or at its group's first row of role 1.
+    right = np.add.reduceat((role == 0).astype(np.int64), start) + start
+    begin = np.where(role == 2, np.arange(t.num_rows) + 1, right[group])
+    many = np.where(role == 1, 0, end - begin)
+    name, bucket = column_names(t["a"].combine_chunks()), t["bucket"].to_numpy()
+    lists = t["named"].combine_chunks()
+    named, off = lists.values.to_numpy(zero_copy_only=False), lists.offsets.to_numpy(zero_copy_only=False)
+    earlier: dict[int, np.ndarray] = {}
+
+    def marks(g: int) -> np.ndarray:
+        """A bit per row of group g and bucket before the group's own that it names."""
+        if g not in earlier:
+            lo, n = int(start[g]), int(rows[g])
+            flat, owner = named[off[lo] : off[lo + n]], np.repeat(np.arange(n), np.diff(off[lo : lo + n + 1]))
+            use = flat < bucket[lo]
+            values, code = np.unique(flat[use], return_inverse=True)
+            bits = np.zeros((n, len(values) + 1), bool)
+            bits[owner[use], code] = True
+            earlier[g] = np.packbits(bits, axis=1)
+        return earlier[g]
+
+    found = [np.zeros((0, 4), np.uint64)]
+    for x, y, _ in _near_pairs(t, begin, many, similarity):
+        order = np.argsort(group[x], kind="stable")
+        x, y = x[order], y[order]
+        keep = np.zeros(len(x), bool)
+        used, edge = np.unique(group[x], return_index=True)
+        for g, i, j in zip(used.tolist(), edge.tolist(), [*edge[1:].tolist(), len(x)][: len(used)], strict=True):
+            bits = marks(g)
+            keep[i:j] = ~(bits[x[i:j] - start[g]] & bits[y[i:j] - start[g]]).any(axis=1)
+        earlier.clear()
+        x, y = name[x[keep]], name[y[keep]]
+        found.append(np.concatenate([x, y], axis=1))
+    ab = np.concatenate(found)
+    return pa.RecordBatch.from_arrays([name_column(ab[:, :2]), name_column(ab[:, 2:])], names=["a", "b"])
 
 
 def grouped(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = WIDTH, similarity: tuple[int, int] = SIMILARITY) -> DataFrame:
     """doc_id, n_shingles, component_id of each row.
 
     Null or empty texts and texts without words have no shingles and link with nothing; a null doc_id is never a
-    component's smallest unless all are null; repeated rows are copies of each other; an empty table gives an empty result.
+    component's smallest unless all are null; repeated rows are copies of each other; a very long text is one slice of its
+    own in a worker; other columns of ``docs``, whatever their names, are not read; an empty table gives an empty result.
     """
+    spark = docs.sparkSession
     own = docs.select(F.col(f"`{doc_id}`").alias("doc_id"), F.col(f"`{text}`").alias("_text"))
     rows = cut(described(own, width))
     known = rows.where("kind = 'doc'").drop("kind")
-    candidates = cut(buckets(own, width, similarity, frequent_shingles(rows.where("kind = 'shingle'"))))
-    members = candidates.where("b IS NULL").select("bucket", "a").distinct()
-    pairs = candidates.where("b IS NOT NULL").select("a", "b").distinct()
-    touched = candidates.select(F.col("a").alias("_n")).unionAll(candidates.where("b IS NOT NULL").select(F.col("b").alias("_n"))).distinct()
+    count = known.agg(F.coalesce(F.sum("n_shingles"), F.lit(0))).first()[0]
+    members = cut(buckets(own, width, similarity, frequent_shingles(rows.where("kind = 'shingle'")), count))
+    touched = members.select(F.col("a").alias("_n")).distinct()
     sketches = cut(known.join(touched, F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(F.first("n_shingles").alias("n_shingles"), F.first("sketch").alias("sketch")))
-    release(docs.sparkSession)
-    near = cut(sketch_survivors(pairs, sketches, similarity))
-    links = cut(verified(near, own, known, width, similarity))
-    release(docs.sparkSession)
-    comp = cut(components(links))
-    more = across(members, comp, sketches, similarity)
-    if more is not None:
-        more = cut(more.join(pairs, ["a", "b"], "left_anti"))
-        if not more.isEmpty():
-            comp = cut(components(links.unionAll(verified(more, own, known, width, similarity))))
-    release(docs.sparkSession)
-    full = known.select("doc_id", "n_shingles", "node").join(comp.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"), "left")
-    full = full.withColumn("comp", F.coalesce("comp", "node"))
-    least = full.where("n_shingles > 0").groupBy("comp").agg(F.min("doc_id").alias("component_id")).withColumnRenamed("comp", "_comp")
-    joined = full.join(least, (F.col("comp") == F.col("_comp")) & (F.col("n_shingles") > 0), "left")
-    return joined.select("doc_id", "n_shingles", F.when(F.col("n_shingles") == 0, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
+    release(spark)
+    sets = links = tried = comp = None
+
+    def tested(pairs: DataFrame) -> None:
+        """Adds the links among ``pairs`` and their components."""
+        nonlocal sets, links, tried, comp
+        wanted = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
+        if sets is not None:
+            wanted = wanted.join(sets.select("node"), "node", "left_anti")
+        if not wanted.isEmpty():
+            new = cut(shingle_sets(own, known, wanted, width))
+            sets = new if sets is None else sets.unionAll(new)
+        new = cut(verified(pairs, sets, similarity))
+        links, tried = (new, pairs) if links is None else (links.unionAll(new), tried.unionAll(pairs))
+        if comp is None or not new.isEmpty():
+            comp = cut(components(links))
+        release(spark)
+
+    for turn in range(ROUNDS):
+        near = nearest(members, comp, sketches, similarity, turn)
+        near = cut(near if tried is None else near.join(tried, ["a", "b"], "left_anti"))
+        if near.isEmpty():
+            break
+        if turn == 0:
+            # A node without a near one in its buckets has no link; only buckets compared in chunks may hide one.
+            seen = near.select(F.explode(F.array("a", "b")).alias("_n")).distinct()
+            chunked = members.groupBy("bucket").agg(F.count("*").alias("n")).where(F.col("n") > CHUNK).select(F.col("bucket").alias("_b"))
+            hidden = members.join(chunked, F.col("bucket") == F.col("_b"), "left_semi").select(F.col("a").alias("_n"))
+            members = cut(members.join(seen.unionAll(hidden).distinct(), F.col("a") == F.col("_n"), "left_semi"))
+        tested(near)
+    rest = across(members, comp, sketches, similarity)
+    rest = cut(rest if tried is None else rest.join(tried, ["a", "b"], "left_anti"))
+    if not rest.isEmpty():
+        tested(rest)
+    release(spark)
+    # The smallest doc_id per node, then per component; both tables have a row per node, and copies meet in the first aggregate.
+    nodes = known.where("n_shingles > 0").groupBy("node").agg(F.min("doc_id").alias("least"))
+    if comp is not None:
+        nodes = cut(nodes.join(comp.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"), "left").select("node", "comp", "least"))
+        least = cut(nodes.where("comp IS NOT NULL").groupBy("comp").agg(F.min("least").alias("of_all")).withColumnRenamed("comp", "_comp"))
+        nodes = nodes.join(least, F.col("comp") == F.col("_comp"), "left").select("node", F.coalesce("of_all", "least").alias("least"))
+    nodes = cut(nodes.withColumnRenamed("node", "_node"))
+    joined = known.join(nodes, (F.col("node") == F.col("_node")) & (F.col("n_shingles") > 0), "left")
+    return joined.select("doc_id", "n_shingles", F.when(F.col("n_shingles") == 0, F.col("doc_id")).otherwise(F.col("least")).alias("component_id"))
 
 
 def one_of_each(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", **options) -> DataFrame:
-    """``docs`` with the smallest doc_id of each group of linked documents, all columns unchanged. Rows that share a doc_id stay or go together."""
-    stays = grouped(docs, text, doc_id, **options).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_stays")).distinct()
-    return docs.join(stays, F.col(f"`{doc_id}`").eqNullSafe(F.col("_stays")), "left_semi")
+    """``docs`` with the smallest doc_id of each group of linked documents, all columns unchanged, whatever their names. Rows that share a doc_id stay or go together."""
+    stays = grouped(docs, text, doc_id, **options).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("stays")).distinct()
+    return docs.alias("_docs_").join(stays.alias("_stays_"), F.col(f"_docs_.`{doc_id}`").eqNullSafe(F.col("_stays_.stays")), "left_semi")

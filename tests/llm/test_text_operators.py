@@ -167,6 +167,47 @@ def test_near_duplicates_in_chains(spark, monkeypatch, blocks):
     assert as_counter(parity_join.grouped(df).toPandas()) == brute_components(rows)
 
 
+@pytest.mark.parametrize("hot, chunk, rounds, named", [(2, 2048, 2, 64), (3, 4, 2, 1), (64, 4, 1, 2), (64, 2048, 0, 64)])
+def test_near_duplicates_in_hot_buckets(spark, monkeypatch, hot, chunk, rounds, named):
+    """Near copies of three texts around the threshold, with hot keys, small chunks, few named buckets and few rounds."""
+    import random
+    from functools import partial
+
+    monkeypatch.setattr(parity_join, "HOT_KEY", hot)
+    monkeypatch.setattr(parity_join, "CHUNK", chunk)
+    monkeypatch.setattr(parity_join, "ROUNDS", rounds)
+    monkeypatch.setattr(parity_join, "NAMED_BUCKETS", named)
+    monkeypatch.setattr(parity_join, "nearest", partial(parity_join.nearest, chunk=chunk))
+    rng = random.Random(11)
+    rows = []
+    for family in range(3):
+        words = fixtures.prose(rng, 120).split()
+        for _ in range(70):
+            own = list(words)
+            for _ in range(rng.randrange(5)):
+                own[rng.randrange(120)] = f"x{family}_{rng.randrange(10**6)}"
+            rows.append((len(rows), " ".join(own)))
+    rows += [(len(rows) + k, r[1]) for k, r in enumerate(rows[:20])]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert as_counter(parity_join.grouped(df).toPandas()) == brute_components(rows)
+
+
+def test_nearest_gives_each_node_one_pair(spark):
+    """A bucket of n nodes makes at most n pairs, and blocks repeat no pair."""
+    rng = np.random.default_rng(2)
+    base = np.sort(rng.integers(0, 1 << 63, 200).astype(np.uint64))
+    sets = [np.unique(np.concatenate([base[10:], rng.integers(0, 1 << 63, 10).astype(np.uint64)])) for _ in range(40)]
+    h, bounds = np.concatenate(sets), np.concatenate([[0], np.cumsum([len(x) for x in sets])])
+    names = [bytes(x) for x in parity_join.node_ids(h, bounds)]
+    assert len(set(names)) == 40 and all(len(n) == 16 for n in names)
+    sk = spark.createDataFrame([(n, len(x), s) for n, x, s in zip(names, sets, parity_join.bit_sketch(h, bounds), strict=True)], "node binary, n_shingles long, sketch binary")
+    members = spark.createDataFrame([(b, n) for b in range(5) for n in names], "bucket long, a binary")
+    near = parity_join.nearest(members, None, sk, parity_join.SIMILARITY, 0).collect()
+    assert 20 <= len(near) <= 40 and {x for r in near for x in (bytes(r.a), bytes(r.b))} == set(names)
+    every = parity_join.across(members, None, sk, parity_join.SIMILARITY, outside=7, inside=9)
+    assert every.count() == 40 * 39 // 2
+
+
 def test_no_pair_is_lost_by_the_parts():
     rng = np.random.default_rng(3)
     for n in (1, 2, 3, 5, 7, 8, 20, 63, 64, 65, 300, 500, 520):
