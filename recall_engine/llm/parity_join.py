@@ -51,8 +51,10 @@ CHUNK = 2048
 SKETCH_BITS = 2
 #: Buckets that a node's row names, to give each pair in one bucket only.
 NAMED_BUCKETS = 64
-#: Texts (their two hashes) up to which their table is broadcast.
-BROADCAST_TEXTS = 1_000_000
+#: Rows of some tens of bytes up to which a table is broadcast.
+BROADCAST_ROWS = 1_000_000
+#: Links up to which one task finds the components; beyond, rounds of joins do.
+SMALL_GRAPH = 1_000_000
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -188,12 +190,12 @@ def part_keys(h: np.ndarray, bounds: np.ndarray, frequent: np.ndarray, level: np
     return np.concatenate(found_set), np.concatenate(found_key)
 
 
-def bit_sketch(h: np.ndarray, bounds: np.ndarray) -> list[bytes]:
-    """Each set's parity bits, as many as the power of two from SKETCH_BITS times its size on (256 at least). A wider sketch
-    folds onto a narrower one. The distance falls short of the symmetric difference by shingles that share a bit: pairs
-    below a similarity of about .72 differ in more bits than a link allows."""
+def bit_sketch(h: np.ndarray, bounds: np.ndarray, bits: int = SKETCH_BITS) -> list[bytes]:
+    """Each set's parity bits, as many as the power of two from ``bits`` times its size on (256 at least). A wider sketch
+    folds onto a narrower one. The distance falls short of the symmetric difference by shingles that share a bit: with two
+    bits a shingle, pairs below a similarity of about .72 differ in more bits than a link allows, with one below about .6."""
     size = np.diff(bounds)
-    width = np.maximum(8, np.ceil(np.log2(np.maximum(SKETCH_BITS * size, 1))).astype(np.int64))
+    width = np.maximum(8, np.ceil(np.log2(np.maximum(bits * size, 1))).astype(np.int64))
     place = textkit.mix64(h ^ np.uint64(0xD6E8FEB86659FD93))
     out = []
     for k, w in enumerate(width.tolist()):
@@ -214,15 +216,17 @@ def may_link(size_a: np.ndarray, size_b: np.ndarray, distance: np.ndarray, simil
 
 
 def described(docs: DataFrame, width: int, most: int = FREQUENT_LIST) -> DataFrame:
-    """(doc_id, _text) to rows of two kinds, in one reading. ``doc``: doc_id, n_shingles, node, sketch and two hashes of the
+    """(doc_id, _text) to rows of two kinds, in one reading. ``doc``: doc_id, n_shingles, node, a small and a wide sketch and two hashes of the
     text that find it again. ``shingle``: a shingle's hash in ``t1`` and in ``n_shingles`` how many different sets of this slice hold it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ["kind", "doc_id", "n_shingles", "node", "sketch", "t1", "t2"]
+        names = ["kind", "doc_id", "n_shingles", "node", "small", "sketch", "t1", "t2"]
         for b in textkit.slices(batches, "_text", SLICE_BYTES):
             h, bounds = shingles(b.column(1), width)
             node, size = node_ids(h, bounds), np.diff(bounds)
-            yield pa.RecordBatch.from_arrays([pa.array(["doc"] * b.num_rows), b.column(0), pa.array(size), name_column(node), pa.array(bit_sketch(h, bounds), pa.binary()), b.column(2), b.column(3)], names=names)
+            wide = bit_sketch(h, bounds)
+            small = [folded(x, max(32, len(x) // SKETCH_BITS)).tobytes() for x in wide]
+            yield pa.RecordBatch.from_arrays([pa.array(["doc"] * b.num_rows), b.column(0), pa.array(size), name_column(node), pa.array(small, pa.binary()), pa.array(wide, pa.binary()), b.column(2), b.column(3)], names=names)
             pick = np.zeros(len(node), bool)
             pick[same_names(node)[0]] = True  # copies count once
             value = np.sort(h[np.repeat(pick, size)])
@@ -232,9 +236,9 @@ def described(docs: DataFrame, width: int, most: int = FREQUENT_LIST) -> DataFra
             if len(often) > most:
                 often = often[np.argpartition(n[often], -most)[-most:]]
             k = len(often)
-            yield pa.RecordBatch.from_arrays([pa.array(["shingle"] * k, pa.string()), pa.nulls(k, b.column(0).type), pa.array(n[often]), pa.nulls(k, pa.binary()), pa.nulls(k, pa.binary()), pa.array(value[head[often]].view(np.int64)), pa.nulls(k, pa.int64())], names=names)
+            yield pa.RecordBatch.from_arrays([pa.array(["shingle"] * k, pa.string()), pa.nulls(k, b.column(0).type), pa.array(n[often]), *[pa.nulls(k, pa.binary())] * 3, pa.array(value[head[often]].view(np.int64)), pa.nulls(k, pa.int64())], names=names)
 
-    columns = (("n_shingles", T.LongType()), ("node", T.BinaryType()), ("sketch", T.BinaryType()), ("t1", T.LongType()), ("t2", T.LongType()))
+    columns = (("n_shingles", T.LongType()), ("node", T.BinaryType()), ("small", T.BinaryType()), ("sketch", T.BinaryType()), ("t1", T.LongType()), ("t2", T.LongType()))
     schema = T.StructType([T.StructField("kind", T.StringType()), T.StructField("doc_id", docs.schema["doc_id"].dataType), *[T.StructField(n, t) for n, t in columns]])
     return docs.select("doc_id", "_text", *_text_hashes("_text")).mapInArrow(run, schema)
 
@@ -374,7 +378,7 @@ def met(key: np.ndarray, name: np.ndarray, size: np.ndarray, hot: np.ndarray, si
 def shingle_sets(docs: DataFrame, known: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
     """(node, shingles as bytes) for each wanted node, from one of its texts, which is found by its hashes; copies meet in the aggregate."""
     place = cut(known.join(wanted.select(F.col("node").alias("_n")), F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(F.min(F.struct("t1", "t2")).alias("t")).select(F.col("t.t1").alias("_1"), F.col("t.t2").alias("_2")))
-    place = F.broadcast(place) if place.count() <= BROADCAST_TEXTS else place
+    place = F.broadcast(place) if place.count() <= BROADCAST_ROWS else place
     texts = docs.select("_text", *_text_hashes("_text")).join(place, (F.col("t1") == F.col("_1")) & (F.col("t2") == F.col("_2")), "left_semi").select("_text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -406,8 +410,30 @@ def verified(pairs: DataFrame, sets: DataFrame, similarity: tuple[int, int]) ->
 
 
 def components(links: DataFrame) -> DataFrame:
-    """(a, b) to (node, comp): for every node with a link the smallest node that it reaches. Alternates between joining a
-    node's larger and smaller neighbours to its smallest, so the rounds grow with the logarithm of the nodes."""
+    """(a, b) to (node, comp): for every node with a link one node, the same for all that it reaches. One task does it while
+    the links are few; beyond, rounds do, which alternate between joining a node's larger and smaller neighbours to its
+    smallest, so they grow with the logarithm of the nodes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ends = [np.stack([column_names(r.column(0)), column_names(r.column(1))], axis=1) for r in batches if r.num_rows]
+        if not ends:
+            return
+        names = np.concatenate(ends).reshape(-1, 2)
+        one, code = same_names(names)
+        a, b, least = code[0::2], code[1::2], np.arange(len(one))
+        while True:
+            before, m = least.copy(), np.minimum(least[a], least[b])
+            np.minimum.at(least, before[a], m)
+            np.minimum.at(least, before[b], m)
+            while (least[least] != least).any():
+                least = least[least]
+            if (least == before).all():
+                break
+        yield pa.RecordBatch.from_arrays([name_column(names[one]), name_column(names[one][least])], names=["node", "comp"])
+
+    if links.count() <= SMALL_GRAPH:
+        return links.select("a", "b").coalesce(1).mapInArrow(run, "node binary, comp binary")
+
     def mark(e: DataFrame) -> tuple:
         return tuple(e.agg(F.count("*"), F.expr("bit_xor(xxhash64(a, b))")).first())
 
@@ -448,12 +474,12 @@ def _group_starts(t: pa.Table, keys: list[str]) -> np.ndarray:
     return np.flatnonzero(change)
 
 
-def _near_pairs(t: pa.Table, begin: np.ndarray, many: np.ndarray, similarity: tuple[int, int], most: int = 1_000_000) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+def _near_pairs(t: pa.Table, sketch: str, begin: np.ndarray, many: np.ndarray, similarity: tuple[int, int], most: int = 1_000_000) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
     """Places x and y of the pairs that sizes and sketches leave, of different components, and their distances: row x with
     ``many[x]`` rows from ``begin[x]`` on. At most about ``most`` pairs at a time."""
-    size, sketch = t["n_shingles"].to_numpy(), t["sketch"].combine_chunks()
+    size = t["n_shingles"].to_numpy()
     comp = same_names(column_names(t["comp"].combine_chunks()))[1]
-    raw, off = textkit.string_buffers(sketch)
+    raw, off = textkit.string_buffers(t[sketch].combine_chunks())
     width = np.diff(off)
     a, b = similarity
     left = np.flatnonzero(many > 0)
@@ -494,25 +520,28 @@ def _near_pairs(t: pa.Table, begin: np.ndarray, many: np.ndarray, similarity: tu
         yield x[ok], y[ok], d[ok]
 
 
-def _open_members(members: DataFrame, comp: DataFrame | None, sketches: DataFrame) -> DataFrame:
-    """``members`` with their components, of buckets with more than one: bucket, a, comp, and of the bucket size, main (its largest component) and main_n."""
+def _with_components(nodes: DataFrame, comp: DataFrame | None) -> DataFrame:
+    """``nodes`` with ``comp``; a node without links is its own component."""
     if comp is None:
-        per = members.groupBy("bucket").agg(F.count("*").alias("size"))
-        return members.select("bucket", "a", F.col("a").alias("comp")).join(per, "bucket").withColumn("main", F.lit(None).cast("binary")).withColumn("main_n", F.lit(1).cast("long"))
-    own = comp.select(F.col("node").alias("_n"), "comp")
-    m = members.join(own, F.col("a") == F.col("_n"), "left").select("bucket", "a", F.coalesce("comp", "a").alias("comp"))
-    per = m.groupBy("bucket", "comp").agg(F.count("*").alias("n"))
-    per = per.groupBy("bucket").agg(F.count("*").alias("comps"), F.sum("n").alias("size"), F.max(F.struct("n", "comp")).alias("main")).where("comps > 1")
-    return m.join(per.select("bucket", "size", F.col("main.comp").alias("main"), F.col("main.n").alias("main_n")), "bucket")
-
-
-def nearest(members: DataFrame, comp: DataFrame | None, sketches: DataFrame, similarity: tuple[int, int], turn: int, chunk: int = CHUNK) -> DataFrame:
-    """Pairs (a, b): each node with the nearest one of another component, by sketch, among those of its buckets that sizes and
-    sketches leave. A bucket of more than ``chunk`` nodes is compared in chunks, dealt anew each ``turn``."""
-    sk = sketches.select(F.col("node").alias("_s"), "n_shingles", "sketch")
-    m = _open_members(members, comp, sketches).join(sk, F.col("a") == F.col("_s"))
-    part = F.pmod(F.xxhash64("a", F.lit(turn)), F.ceil(F.col("size") / F.lit(float(chunk))).cast("long"))
-    rows = m.select("bucket", part.alias("part"), "a", "comp", "n_shingles", "sketch")
+        return nodes.withColumn("comp", F.col("node"))
+    own = comp.select(F.col("node").alias("_n"), F.col("comp").alias("_comp"))
+    own = F.broadcast(own) if own.count() <= BROADCAST_ROWS else own
+    return nodes.join(own, F.col("node") == F.col("_n"), "left").withColumn("comp", F.coalesce("_comp", "node")).drop("_n", "_comp")
+
+
+def large_buckets(members: DataFrame, chunk: int) -> DataFrame:
+    """(bucket, size) of the buckets of more than ``chunk`` nodes; at most a row for each ``chunk`` rows of ``members``."""
+    return members.groupBy(F.col("bucket").alias("large")).agg(F.count("*").alias("size")).where(F.col("size") > chunk)
+
+
+def nearest(members: DataFrame, comp: DataFrame | None, nodes: DataFrame, large: DataFrame, similarity: tuple[int, int], turn: int, chunk: int = CHUNK) -> DataFrame:
+    """Pairs (a, b): each node with the nearest one of another component, by its small sketch, among those of its buckets
+    that sizes and sketches leave. A bucket of more than ``chunk`` nodes is compared in chunks, dealt anew each ``turn``."""
+    sk = _with_components(nodes, comp).select(F.col("node").alias("_s"), "comp", "n_shingles", "small")
+    m = members.join(sk, F.col("a") == F.col("_s"))
+    m = m.join(F.broadcast(large) if large.count() <= BROADCAST_ROWS else large, F.col("bucket") == F.col("large"), "left")
+    part = F.when(F.col("size").isNull(), F.lit(0).cast("long")).otherwise(F.pmod(F.xxhash64("a", F.lit(turn)), F.ceil(F.col("size") / F.lit(float(chunk))).cast("long")))
+    rows = m.select("bucket", part.alias("part"), "a", "comp", "n_shingles", "small")
 
     def best(t: pa.Table) -> pa.RecordBatch:
         start = _group_starts(t, ["bucket", "part"])
@@ -520,7 +549,7 @@ def nearest(members: DataFrame, comp: DataFrame | None, sketches: DataFrame, sim
         begin = np.arange(t.num_rows) + 1
         size = t["n_shingles"].to_numpy()
         score, partner = np.full(t.num_rows, np.inf), np.full(t.num_rows, -1)
-        for x, y, d in _near_pairs(t, begin, end - begin, similarity):
+        for x, y, d in _near_pairs(t, "small", begin, end - begin, similarity):
             far = d / (size[x] + size[y])
             node, other, far = np.concatenate([x, y]), np.concatenate([y, x]), np.concatenate([far, far])
             order = np.lexsort((other, far, node))
@@ -540,22 +569,26 @@ def nearest(members: DataFrame, comp: DataFrame | None, sketches: DataFrame, sim
     return found.select(F.least("a", "n.b").alias("a"), F.greatest("a", "n.b").alias("b")).distinct()
 
 
-def across(members: DataFrame, comp: DataFrame | None, sketches: DataFrame, similarity: tuple[int, int], outside: int = 512, inside: int = 2048) -> DataFrame:
-    """All pairs (a, b) of one bucket and different components that size and sketch leave. A bucket's nodes outside its largest
-    component are compared with all its nodes, in blocks, so a task holds a bounded part of a bucket. Of the buckets that
-    both nodes name, the first gives the pair."""
-    sk = sketches.select(F.col("node").alias("_s"), "n_shingles", "sketch")
-    m = cut(_open_members(members, comp, sketches))
-    if m.isEmpty():
-        return m.select("a", F.col("a").alias("b"))
-    # The NAMED_BUCKETS smallest buckets of each node, by two aggregates of bounded size.
-    named = m.select(F.col("a").alias("_m"), F.pmod(F.xxhash64("bucket"), F.lit(16)).alias("s"), "bucket")
-    least = F.slice(F.array_sort(F.collect_list("bucket")), 1, NAMED_BUCKETS)
-    named = named.groupBy("_m", "s").agg(least.alias("bucket")).groupBy("_m").agg(F.slice(F.array_sort(F.flatten(F.collect_list("bucket"))), 1, NAMED_BUCKETS).alias("named"))
-    m = m.withColumns({"mb": F.ceil(F.col("size") / inside).cast("int"), "ob": F.ceil((F.col("size") - F.col("main_n")) / outside).cast("int")})
+def across(members: DataFrame, comp: DataFrame | None, nodes: DataFrame, similarity: tuple[int, int], outside: int = 512, inside: int = 2048) -> DataFrame:
+    """All pairs (a, b) of one bucket and different components that size and sketch leave. The nodes of a bucket of more than
+    ``inside`` that are outside its largest component are compared with all its nodes, in blocks, so a task holds a bounded
+    part of a bucket. Of the buckets that both nodes name, the first gives the pair."""
+    every = _with_components(members.withColumnRenamed("a", "node"), comp).withColumnRenamed("node", "a")
+    per = every.groupBy(F.col("bucket").alias("_b")).agg(F.count("*").alias("size"), F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select("_b", "size")
+    m = cut(every.join(per, F.col("bucket") == F.col("_b")).drop("_b"))
+    many = m.where(F.col("size") > inside)
+    if many.isEmpty():
+        m = m.withColumns({"main": F.lit(None).cast("binary"), "main_n": F.lit(0).cast("long")})
+    else:
+        main = many.groupBy("bucket", "comp").agg(F.count("*").alias("n")).groupBy(F.col("bucket").alias("_b")).agg(F.max(F.struct("n", "comp")).alias("main"))
+        m = m.join(main, F.col("bucket") == F.col("_b"), "left").select("bucket", "a", "comp", "size", F.col("main.comp").alias("main"), F.col("main.n").alias("main_n"))
+    # The NAMED_BUCKETS smallest buckets of each node; a node has at most as many as it sent keys.
+    named = m.groupBy(F.col("a").alias("_m")).agg(F.slice(F.array_sort(F.collect_list("bucket")), 1, NAMED_BUCKETS).alias("named"))
+    sk = nodes.select(F.col("node").alias("_s"), "n_shingles", "sketch")
     m = m.join(sk, F.col("a") == F.col("_s")).join(named, F.col("a") == F.col("_m"))
+    m = m.withColumns({"mb": F.ceil(F.col("size") / inside).cast("int"), "ob": F.ceil((F.col("size") - F.coalesce("main_n", F.lit(0))) / outside).cast("int")})
     h = F.xxhash64("a")
-    one = (F.col("mb") == 1) & (F.col("ob") == 1)
+    one = F.col("mb") == 1
     # Role 2: a bucket in one block, each node against the later ones. Otherwise nodes outside (0) against all (1), block by block.
     whole = m.where(one).withColumns({"o": F.lit(0), "i": F.lit(0), "role": F.lit(2)})
     out = m.where(~one & ~F.col("comp").eqNullSafe(F.col("main"))).withColumn("o", F.pmod(h, F.col("ob"))).withColumn("i", F.explode(F.sequence(F.lit(0), F.col("mb") - 1))).withColumn("role", F.lit(0))
@@ -597,7 +630,7 @@ def _across_pairs(t: pa.Table, similarity: tuple[int, int]) -> pa.RecordBatch:
         return earlier[g]
 
     found = [np.zeros((0, 4), np.uint64)]
-    for x, y, _ in _near_pairs(t, begin, many, similarity):
+    for x, y, _ in _near_pairs(t, "sketch", begin, many, similarity):
         order = np.argsort(group[x], kind="stable")
         x, y = x[order], y[order]
         keep = np.zeros(len(x), bool)
@@ -625,18 +658,21 @@ def grouped(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width:
     known = rows.where("kind = 'doc'").drop("kind")
     count = known.agg(F.coalesce(F.sum("n_shingles"), F.lit(0))).first()[0]
     members = cut(buckets(own, width, similarity, frequent_shingles(rows.where("kind = 'shingle'")), count))
+    large = cut(large_buckets(members, CHUNK))
     touched = members.select(F.col("a").alias("_n")).distinct()
-    sketches = cut(known.join(touched, F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(F.first("n_shingles").alias("n_shingles"), F.first("sketch").alias("sketch")))
+    nodes = known.join(touched, F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(*[F.first(c).alias(c) for c in ("n_shingles", "small", "sketch")])
+    nodes = cut(nodes)
     release(spark)
+    whole = large.isEmpty()
     sets = links = tried = comp = None
 
     def tested(pairs: DataFrame) -> None:
         """Adds the links among ``pairs`` and their components."""
         nonlocal sets, links, tried, comp
-        wanted = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-        if sets is not None:
-            wanted = wanted.join(sets.select("node"), "node", "left_anti")
-        if not wanted.isEmpty():
+        if sets is None or not whole:  # else the first round met every node that has a near one
+            wanted = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
+            if sets is not None:
+                wanted = wanted.join(sets.select("node"), "node", "left_anti")
             new = cut(shingle_sets(own, known, wanted, width))
             sets = new if sets is None else sets.unionAll(new)
         new = cut(verified(pairs, sets, similarity))
@@ -646,30 +682,28 @@ def grouped(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width:
         release(spark)
 
     for turn in range(ROUNDS):
-        near = nearest(members, comp, sketches, similarity, turn)
+        near = nearest(members, comp, nodes, large, similarity, turn)
         near = cut(near if tried is None else near.join(tried, ["a", "b"], "left_anti"))
+        release(spark)
         if near.isEmpty():
             break
         if turn == 0:
             # A node without a near one in its buckets has no link; only buckets compared in chunks may hide one.
-            seen = near.select(F.explode(F.array("a", "b")).alias("_n")).distinct()
-            chunked = members.groupBy("bucket").agg(F.count("*").alias("n")).where(F.col("n") > CHUNK).select(F.col("bucket").alias("_b"))
-            hidden = members.join(chunked, F.col("bucket") == F.col("_b"), "left_semi").select(F.col("a").alias("_n"))
-            members = cut(members.join(seen.unionAll(hidden).distinct(), F.col("a") == F.col("_n"), "left_semi"))
+            seen = near.select(F.explode(F.array("a", "b")).alias("_n"))
+            if not whole:
+                seen = seen.unionAll(members.join(large, F.col("bucket") == F.col("large"), "left_semi").select(F.col("a").alias("_n")))
+            seen = cut(seen.distinct())
+            members = cut(members.join(F.broadcast(seen) if seen.count() <= BROADCAST_ROWS else seen, F.col("a") == F.col("_n"), "left_semi"))
         tested(near)
-    rest = across(members, comp, sketches, similarity)
+    rest = across(members, comp, nodes, similarity)
     rest = cut(rest if tried is None else rest.join(tried, ["a", "b"], "left_anti"))
+    release(spark)
     if not rest.isEmpty():
         tested(rest)
-    release(spark)
-    # The smallest doc_id per node, then per component; both tables have a row per node, and copies meet in the first aggregate.
-    nodes = known.where("n_shingles > 0").groupBy("node").agg(F.min("doc_id").alias("least"))
-    if comp is not None:
-        nodes = cut(nodes.join(comp.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"), "left").select("node", "comp", "least"))
-        least = cut(nodes.where("comp IS NOT NULL").groupBy("comp").agg(F.min("least").alias("of_all")).withColumnRenamed("comp", "_comp"))
-        nodes = nodes.join(least, F.col("comp") == F.col("_comp"), "left").select("node", F.coalesce("of_all", "least").alias("least"))
-    nodes = cut(nodes.withColumnRenamed("node", "_node"))
-    joined = known.join(nodes, (F.col("node") == F.col("_node")) & (F.col("n_shingles") > 0), "left")
+    # The smallest doc_id of each component, or of the node where it has no link. Copies and hot components meet in the partial aggregate.
+    full = _with_components(known.select("doc_id", "n_shingles", "node"), comp)
+    least = cut(full.where("n_shingles > 0").groupBy(F.col("comp").alias("_c")).agg(F.min("doc_id").alias("least")))
+    joined = full.join(least, (F.col("comp") == F.col("_c")) & (F.col("n_shingles") > 0), "left")
     return joined.select("doc_id", "n_shingles", F.when(F.col("n_shingles") == 0, F.col("doc_id")).otherwise(F.col("least")).alias("component_id"))
 
 
