@@ -19,7 +19,7 @@ def op1_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_host_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     judged = host_rules.judged(_table(spark, sf_dir, "documents"))
-    return judged.select("doc_id", *host_rules.COUNTS, "base_failed", "kept", "rule_failed", "host_rate")
+    return judged.select("doc_id", *host_rules.COUNTS, "base_failed", "kept", "rule_failed", "host_rate", "host_rejected", "host_trusted")
 
 
 def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
