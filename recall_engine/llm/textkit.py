@@ -135,3 +135,13 @@ def word_hashes(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarra
     h[start > 0] -= run[start[start > 0] - 1]
     h *= down[start]
     return mix64(h + (end - start).astype(np.uint64) * _BASE), np.searchsorted(start, off)
+
+
+def range_hashes(codes: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of ``codes[start:end]`` for each range, in time of the whole and the number of ranges: nested ranges
+    are not read again. Equal ranges have equal hashes wherever they stand."""
+    up, down = _powers(len(codes) + 1)
+    run = mix64(codes.astype(np.uint64) + np.uint64(1))
+    run *= up[: len(codes)]
+    run = np.concatenate([np.zeros(1, np.uint64), np.cumsum(run, dtype=np.uint64)])
+    return mix64((run[end] - run[start]) * down[start] + (end - start).astype(np.uint64) * _BASE)
