@@ -12,13 +12,15 @@ half and more that touch no base span become spans.
 Spans are places in code points, end exclusive. Java's matcher tells no places, so they come from lengths: the texts
 between matches (split) and the matches (extract) alternate.
 
-Defined results: null or empty text has no spans; repeated rows have equal results; an empty table gives an empty
-result; without any candidate nothing is trained and the base spans are the result.
+Defined results: null or empty text has no spans; repeated rows have equal results; a text's time grows with its length and
+the number of its matches, but for one step a match for each STEP^2 matches; other columns, whatever their names, are not
+read; an empty table gives an empty result; without any candidate nothing is trained and the base spans are the result.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
@@ -47,6 +49,8 @@ NEEDS = {"email": "@", "phone": "+"}
 LOOSE_NEEDS = {"email": ""}
 KINDS = ("email", "ip", "card", "phone", "secret")
 CONTEXT_CHARS = 24
+#: Elements that one step of a running sum takes together.
+STEP = 64
 
 GAZETTEER = {
     "email": r"\b(?:e-?mail|mail|contact|kontakt|correo|courriel)\b",
@@ -67,20 +71,68 @@ def raw_matches(text: Column, pattern: str, needs: str | None) -> tuple[Column,
     return F.when(some, F.regexp_extract_all(text, F.lit(pattern), F.lit(0))).otherwise(empty), F.split(text, pattern, -1)
 
 
+def _bound(value: Column, f: Callable[[Column], Column]) -> Column:
+    """f(value) with the value computed once, not at each place where f has it."""
+    return F.element_at(F.transform(F.array(value), f), 1)
+
+
+def running(values: Column, zero: Column, fold: Callable[[Column, Column], Column]) -> Callable[[Callable[[Callable[[Column], Column]], Column]], Column]:
+    """For ``use``: the column that it makes from ``at``, where at(k) folds the first k of ``values``. Values are folded by
+    STEP and STEP^2 beforehand, so a place costs at most 2 STEP steps and one for each STEP^2 values before it."""
+
+    def shorter(x: Column) -> Column:
+        n = F.size(x)
+        index = F.when(n > 0, F.sequence(F.lit(0), F.floor((n - 1) / F.lit(STEP)).cast("int"))).otherwise(F.array().cast("array<int>"))
+        return F.transform(index, lambda i: F.aggregate(F.slice(x, i * STEP + 1, F.lit(STEP)), zero, fold))
+
+    def column(use: Callable[[Callable[[Column], Column]], Column]) -> Column:
+        def with_levels(x0: Column, x1: Column, x2: Column) -> Column:
+            def at(k: Column) -> Column:
+                one, two = F.shiftright(k, 6), F.shiftright(k, 12)
+                done = F.aggregate(F.slice(x2, F.lit(1), two), zero, fold)
+                done = F.aggregate(F.slice(x1, two * STEP + 1, one - two * STEP), done, fold)
+                return F.aggregate(F.slice(x0, one * STEP + 1, k - one * STEP), done, fold)
+
+            return use(at)
+
+        return _bound(values, lambda x0: _bound(shorter(x0), lambda x1: _bound(shorter(x1), lambda x2: with_levels(x0, x1, x2))))
+
+    return column
+
+
 def placed(found: Column, gaps: Column) -> Column:
     """array of (start, end, m, left, right)."""
-    index = F.when(F.size(found) > 0, F.sequence(F.lit(0), F.size(found) - 1)).otherwise(F.array().cast("array<int>"))
-    gap_chars, match_chars = F.transform(gaps, F.char_length), F.transform(found, F.char_length)
+    empty = F.array().cast("array<struct<start:int,end:int,m:string,left:string,right:string>>")
+
+    def spans(found: Column, gaps: Column) -> Column:
+        index = F.sequence(F.lit(0), F.size(found) - 1)
+        lengths = F.zip_with(F.slice(gaps, F.lit(1), F.size(found)), found, lambda g, m: F.char_length(g) + F.char_length(m))
+
+        def one(at: Callable[[Column], Column], k: Column) -> Column:
+            m, gap = F.element_at(found, k + 1), F.element_at(gaps, k + 1)
+            return _bound(at(k) + F.char_length(gap), lambda start: F.struct(start.alias("start"), (start + F.char_length(m)).alias("end"), m.alias("m"), F.right(gap, F.lit(CONTEXT_CHARS)).alias("left"), F.left(F.element_at(gaps, k + 2), F.lit(CONTEXT_CHARS)).alias("right")))
+
+        return running(lengths, F.lit(0), lambda a, x: a + x)(lambda at: F.transform(index, lambda k: one(at, k)))
+
+    return F.when(F.size(found) > 0, _bound(found, lambda f: _bound(gaps, lambda g: spans(f, g)))).otherwise(empty)
+
 
-    def total(lengths: Column, n: Column) -> Column:
-        return F.aggregate(F.slice(lengths, F.lit(1), n), F.lit(0), lambda a, x: a + x)
+def free_of_base(spans: Column) -> Column:
+    """``spans`` without the candidates that touch a base span, sorted by start."""
 
-    def one(k: Column) -> Column:
-        start = total(gap_chars, k + 1) + total(match_chars, k)
-        m = F.element_at(found, k + 1)
-        return F.struct(start.alias("start"), (start + F.char_length(m)).alias("end"), m.alias("m"), F.right(F.element_at(gaps, k + 1), F.lit(CONTEXT_CHARS)).alias("left"), F.left(F.element_at(gaps, k + 2), F.lit(CONTEXT_CHARS)).alias("right"))
+    def kept(s: Column) -> Column:
+        """Base spans that start no later end by the largest end before; of those that start later the next one is first."""
+        n = F.size(s)
+        ends = F.transform(s, lambda x: F.when(x["known"] == 1, x["end"]).otherwise(0))
+        far = F.lit(1 << 30)
+        starts = F.reverse(F.transform(s, lambda x: F.when(x["known"] == 1, x["start"]).otherwise(far)))
+        before = running(ends, F.lit(0), lambda a, x: F.greatest(a, x))
+        after = running(starts, far, lambda a, x: F.least(a, x))
+        return before(lambda most: after(lambda least: F.filter(s, lambda x, i: (x["known"] >= 0) | ((most(i) <= x["start"]) & (least(n - i - 1) >= x["end"])))))
 
-    return F.transform(index, one)
+    # Sorted by start, base spans first, so that an equal start counts as before.
+    order = F.array_sort(F.transform(spans, lambda x: F.struct(x["start"].alias("start"), (-x["known"]).alias("rank"), x["at"].alias("at"), x["end"].alias("end"), x["kind"].alias("kind"), x["votes"].alias("votes"), x["known"].alias("known"))))
+    return F.when(F.exists(spans, lambda x: x["known"] == -1) & F.exists(spans, lambda x: x["known"] == 1), _bound(order, kept)).otherwise(order)
 
 
 def _digits(m: Column) -> Column:
@@ -200,10 +252,7 @@ def voted(docs: DataFrame) -> DataFrame:
 
     every = t.select("doc_id", F.flatten(F.array(*[described(n, k) for n, k, *_ in patterns])).alias("spans"))
     # A candidate that touches a base span is part of it.
-    base = F.filter("spans", lambda s: s["known"] == 1)
-    every = every.withColumn("base", base)
-    free = F.filter("spans", lambda s: (s["known"] >= 0) | ~F.exists("base", lambda b: (s["start"] < b["end"]) & (b["start"] < s["end"])))
-    return every.select("doc_id", free.alias("spans"))
+    return every.select("doc_id", free_of_base(F.col("spans")).alias("spans"))
 
 
 def joined_spans(spans: Column) -> Column:
