@@ -13,7 +13,8 @@ Files are written below the shared folder, one per task, under a name of the tas
 runs again leaves one whole file.
 
 Defined results: null html is an empty payload; a null page_id is larger than any other and is written without an id;
-rows that repeat the smallest page_id of a payload are all responses; an empty table gives an empty result.
+rows that repeat the smallest page_id of a payload are all responses; page ids may be whole numbers or strings; other
+columns, whatever their names, are not read; a payload of any length is one record; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -22,11 +23,13 @@ import hashlib
 import uuid
 import zlib
 from collections.abc import Iterator
+from urllib.parse import quote, unquote
 
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .scratch import cut, fresh_path, shuffle_partitions
 
@@ -36,9 +39,13 @@ HTTP_HEAD = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
 
+def _id_column(pages: DataFrame, page_id: str) -> Column:
+    return F.col(f"`{page_id}`").cast(id_type(pages.schema[page_id].dataType))
+
+
 def decided(pages: DataFrame, min_bytes: int = MIN_REVISIT_BYTES, html: str = "html", page_id: str = "page_id", url: str = "url") -> DataFrame:
     """page_id, url, payload, payload_bytes, digest, record_type, refers_to of each row."""
-    own = pages.select(F.col(f"`{page_id}`").alias("page_id"), F.col(f"`{url}`").alias("url"), F.coalesce(F.col(f"`{html}`"), F.lit("")).cast("binary").alias("payload"))
+    own = pages.select(_id_column(pages, page_id).alias("page_id"), F.col(f"`{url}`").alias("url"), F.coalesce(F.col(f"`{html}`"), F.lit("")).cast("binary").alias("payload"))
     own = own.withColumn("payload_bytes", F.octet_length("payload").cast("long")).withColumn("digest", F.sha2("payload", 256))
     groups = own.where(F.col("payload_bytes") >= min_bytes).groupBy("digest").agg(F.min("page_id").alias("first_id"), F.count("*").alias("n"))
     copies = cut(groups.where("n > 1").select(F.col("digest").alias("_digest"), "first_id"))
@@ -54,9 +61,15 @@ def chunks(records: DataFrame, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
     """The chunked record table: a row per chunk, in order and side by side; records without payload have one empty chunk."""
     body = F.coalesce(F.col("payload"), F.lit(b""))
     last = F.greatest(F.lit(0), F.ceil(F.octet_length(body) / F.lit(float(chunk_bytes))).cast("int") - 1)
-    parts = F.transform(F.sequence(F.lit(0), last), lambda i: F.substring(body, i * chunk_bytes + 1, F.lit(chunk_bytes)))
     rest = [c for c in records.columns if c != "payload"]
-    return records.select(*rest, F.posexplode(parts).alias("chunk_no", "chunk"))
+    # Only numbers are generated; each chunk is cut out as its row goes on, so no more than one is there at a time.
+    numbered = records.select(*rest, body.alias("payload"), F.explode(F.sequence(F.lit(0), last)).alias("chunk_no"))
+    return numbered.select(*rest, "chunk_no", F.substring("payload", F.col("chunk_no") * chunk_bytes + 1, F.lit(chunk_bytes)).alias("chunk"))
+
+
+def quoted(value: object) -> str:
+    """A header value that comes back the same, whatever characters it has."""
+    return quote(str(value), safe="")
 
 
 def _fields(row: dict) -> bytes:
@@ -75,9 +88,9 @@ def _fields(row: dict) -> bytes:
     if row["url"] is not None:
         head.append(f"WARC-Target-URI: {clean(row['url'])}")
     if row["page_id"] is not None:
-        head.append(f"X-Page-Id: {row['page_id']}")
+        head.append(f"X-Page-Id: {quoted(row['page_id'])}")
     if row["record_type"] == "revisit":
-        head += [f"WARC-Profile: {REVISIT_PROFILE}", f"X-Refers-To-Page-Id: {row['refers_to']}"]
+        head += [f"WARC-Profile: {REVISIT_PROFILE}", f"X-Refers-To-Page-Id: {quoted(row['refers_to'])}"]
     length = len(HTTP_HEAD) + (row["payload_bytes"] if row["record_type"] == "response" else 0)
     return ("\r\n".join([*head, f"Content-Length: {length}"]) + "\r\n\r\n").encode() + HTTP_HEAD
 
@@ -151,6 +164,11 @@ class MemberStream:
         return got
 
 
+def id_type(kind: T.DataType) -> str:
+    """The type of ids as files give them back: whole numbers as long, all else as string."""
+    return "long" if isinstance(kind, T.IntegralType) else "string"
+
+
 def read_records(file, chunk_bytes: int = CHUNK_BYTES) -> Iterator[dict]:
     """The chunked record table of an archive: header fields, chunk_no, chunk, and at the last chunk the payload's bytes and digest so far carried."""
     stream = MemberStream(file, chunk_bytes)
@@ -174,18 +192,20 @@ def read_records(file, chunk_bytes: int = CHUNK_BYTES) -> Iterator[dict]:
             raise ValueError("bytes after a record's end")
 
 
-def read(spark: SparkSession, folder: str, files: list[str]) -> DataFrame:
+def read(spark: SparkSession, folder: str, files: list[str], id_type: str = "long") -> DataFrame:
     """A row per record of the archives: page_id, url, payload_bytes, payload_digest, record_type, refers_to.
 
     A response's bytes and digest come from its payload as read; a revisit's from its header, which names the response's.
     """
     from . import token_files
 
-    schema = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long"
+    schema = f"page_id {id_type}, url string, payload_bytes long, payload_digest string, record_type string, refers_to {id_type}"
     if not files:
         return spark.createDataFrame([], schema)
     names = ("page_id", "url", "payload_bytes", "payload_digest", "record_type", "refers_to")
-    kinds = dict(zip(names, (pa.int64(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.int64()), strict=True))
+    known = {"long": pa.int64(), "int": pa.int32(), "string": pa.string()}[id_type]
+    kinds = dict(zip(names, (known, pa.string(), pa.int64(), pa.string(), pa.string(), known), strict=True))
+    made = str if id_type == "string" else int
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fs, path = token_files._open(folder)
@@ -200,7 +220,7 @@ def read(spark: SparkSession, folder: str, files: list[str]) -> DataFrame:
                     for c in read_records(f):
                         if c["last"]:
                             h = c["fields"]
-                            number = {k: int(h[k]) if k in h else None for k in ("X-Page-Id", "X-Refers-To-Page-Id")}
+                            number = {k: made(unquote(h[k])) if k in h else None for k in ("X-Page-Id", "X-Refers-To-Page-Id")}
                             noted = h["WARC-Payload-Digest"].removeprefix("sha256:")
                             revisit = h["WARC-Type"] == "revisit"
                             if not revisit and (noted != c["digest"] or int(h["X-Payload-Length"]) != c["size"]):
@@ -219,4 +239,4 @@ def read(spark: SparkSession, folder: str, files: list[str]) -> DataFrame:
 def round_trip(pages: DataFrame, **options) -> DataFrame:
     spark = pages.sparkSession
     folder = fresh_path(spark, "warc")
-    return read(spark, folder, write(chunks(decided(pages, **options)), folder))
+    return read(spark, folder, write(chunks(decided(pages, **options)), folder), id_type(pages.schema[options.get("page_id", "page_id")].dataType))
