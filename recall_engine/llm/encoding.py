@@ -30,19 +30,23 @@ def default_tokenizer(name: str) -> str:
 
 
 class Encoder:
-    """Encodes texts as the library does with add_special_tokens=False; strings of special tokens count as text.
+    """Encodes texts as the library does with add_special_tokens=False. With ``special_as_text`` the strings of special
+    tokens inside texts count as text; without, as in the library's plain call, they become the special ids, and texts
+    that have any are encoded whole.
 
     Both kinds of tokenizer here split a text so that no token holds a non-space character followed by a space, or an
     ASCII letter followed by ASCII punctuation. Cuts before each run of ASCII white space that follows another
     character, and before punctuation that follows an ASCII letter, therefore change no token.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, special_as_text: bool = False):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True
+        self.library.encode_special_tokens = special_as_text
+        added = self.library.get_added_tokens_decoder().values()
+        self.added = [t.content for t in added if not (special_as_text and t.special)]
         self.forget()
 
     def forget(self) -> None:
@@ -51,12 +55,13 @@ class Encoder:
         self.flat, self.bounds = np.zeros(0, np.uint32), np.zeros(1, np.int64)
 
     @staticmethod
-    def shared(path: str) -> Encoder:
-        """One encoder per worker process and path."""
+    def shared(path: str, special_as_text: bool = False) -> Encoder:
+        """One encoder per worker process, path and way with special tokens."""
         kept = sys.modules.setdefault("_recall_engine_encoders", type(sys)("_recall_engine_encoders")).__dict__
-        if path not in kept:
-            kept[path] = Encoder(path)
-        return kept[path]
+        key = f"{path} {special_as_text}"
+        if key not in kept:
+            kept[key] = Encoder(path, special_as_text)
+        return kept[key]
 
     def whole(self, texts: list[str]) -> list[list[int]]:
         return [e.ids for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
@@ -92,10 +97,12 @@ class Encoder:
         kind = _KIND[raw]
         odd = np.zeros(len(texts), bool)
         if (kind == 3).any():
-            odd = pc.match_substring_regex(texts, WIDE_SPACE).to_numpy(zero_copy_only=False)
-            if odd.any():
-                raw, off = textkit.string_buffers(pc.if_else(pa.array(odd), "", texts))
-                kind = _KIND[raw]
+            odd |= pc.match_substring_regex(texts, WIDE_SPACE).to_numpy(zero_copy_only=False)
+        for token in self.added:
+            odd |= pc.match_substring(texts, token).to_numpy(zero_copy_only=False)
+        if odd.any():
+            raw, off = textkit.string_buffers(pc.if_else(pa.array(odd), "", texts))
+            kind = _KIND[raw]
         space = textkit.space_mask(raw)
         cut = np.zeros(len(raw) + 1, bool)
         cut[1:-1] = (space[1:] & ~space[:-1]) | ((kind[1:] == 2) & (kind[:-1] == 1))

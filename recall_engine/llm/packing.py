@@ -10,7 +10,8 @@ sequences at one offset. Its size depends on the capacity alone. Ranks within a
 and then inside a bucket, so a length or group of copies that a third of all rows share is spread over many tasks.
 
 Defined results: null or empty text is the end id alone, one piece of length 1; rows that repeat a doc_id are pieces of
-their own; an empty table gives an empty result.
+their own; a very long text is one slice of its own in a worker; other columns, whatever their names, are not read; an
+empty table gives an empty result.
 """
 
 from __future__ import annotations

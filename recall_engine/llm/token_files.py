@@ -15,7 +15,8 @@ task that is run again, or twice at a time, leaves one whole shard. The folder i
 names and can be in any store that pyarrow's filesystems reach.
 
 Defined results: null text has the end id alone; a null doc_id comes first; rows that repeat a doc_id follow each other,
-by text; an empty table makes no shard.
+by text; ids may be whole numbers or strings (by code point); a very long text is one slice of its own in a worker, and its
+blocks are written as they fill; other columns, whatever their names, are not read; an empty table makes no shard.
 """
 
 from __future__ import annotations
@@ -144,6 +145,11 @@ class Reader:
             rest = joined[n:]
 
 
+def id_type(kind: T.DataType) -> str:
+    """The type of ids as files give them back: whole numbers as long, all else as string."""
+    return "long" if isinstance(kind, T.IntegralType) else "string"
+
+
 def _open(uri: str):
     from pyarrow import fs
 
@@ -153,10 +159,9 @@ def _open(uri: str):
 def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int, text: str = "text", doc_id: str = "doc_id", bits: bool = False, block_ids: int = BLOCK_IDS) -> list[dict]:
     """Writes the shards and returns one entry per shard, in order: shard, file, n_docs, n_ids, and each shard's first place ``start``."""
     spark = docs.sparkSession
-    picked = docs.select(F.col(f"`{doc_id}`").alias("doc_id"), F.col(f"`{text}`").alias("_text"))
+    picked = docs.select(F.col(f"`{doc_id}`").cast(id_type(docs.schema[doc_id].dataType)).alias("doc_id"), F.col(f"`{text}`").alias("_text"))
     sorted_ = picked.repartitionByRange(shuffle_partitions(spark), "doc_id").sortWithinPartitions("doc_id", F.xxhash64("_text"))
-    kind = picked.schema["doc_id"].dataType
-    id_type = pa.int64() if isinstance(kind, T.LongType | T.IntegerType) else pa.string()
+    kind = pa.int64() if isinstance(picked.schema["doc_id"].dataType, T.LongType) else pa.string()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shard = TaskContext.get().partitionId()
@@ -171,7 +176,7 @@ def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int, text: str =
                 out = fs.open_output_stream(temporary)
                 writer = Writer(out, block_ids, bits)
             writer.add(flat, np.diff(bounds))
-            ids.append(b.column(0).cast(id_type))
+            ids.append(b.column(0).cast(kind))
         if writer is not None:
             writer.close()
             out.close()
@@ -191,9 +196,9 @@ def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int, text: str =
     return shards
 
 
-def read(spark: SparkSession, folder: str, shards: list[dict]) -> DataFrame:
+def read(spark: SparkSession, folder: str, shards: list[dict], id_type: str = "long") -> DataFrame:
     """Per document, from the files: doc_id, start, n_tokens, ids_crc32."""
-    schema = "doc_id long, start long, n_tokens long, ids_crc32 long"
+    schema = f"doc_id {id_type}, start long, n_tokens long, ids_crc32 long"
     if not shards:
         return spark.createDataFrame([], schema)
     listed = spark.createDataFrame([(s["file"], s["start"]) for s in shards], "file string, start long").repartition(min(len(shards), shuffle_partitions(spark)))
@@ -218,4 +223,4 @@ def read(spark: SparkSession, folder: str, shards: list[dict]) -> DataFrame:
 
 def round_trip(docs: DataFrame, tokenizer: str, end_id: int = 2, **options) -> DataFrame:
     folder = fresh_path(docs.sparkSession, "token-files")
-    return read(docs.sparkSession, folder, write(docs, folder, tokenizer, end_id, **options))
+    return read(docs.sparkSession, folder, write(docs, folder, tokenizer, end_id, **options), id_type(docs.schema[options.get("doc_id", "doc_id")].dataType))
