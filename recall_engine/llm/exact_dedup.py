@@ -13,7 +13,8 @@ A block or pair that a third of all rows share is one row after the partial aggr
 back to rows is a plain equi-join, which adaptive execution splits where a key is hot.
 
 Defined results: null text counts as empty; equal rows are copies of each other; a null doc_id is smaller than any
-other; an empty table gives an empty result.
+other; a very long text is only more blocks; other columns, whatever their names, are left alone; an empty table gives an
+empty result.
 """
 
 from __future__ import annotations
@@ -91,10 +92,10 @@ def identities(docs: DataFrame, text: str = "text", block_bytes: int = BLOCK_BYT
 def deduplicated(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", **options) -> DataFrame:
     """One row per row of ``docs``: doc_id, keep_id, group_size, kept, text_sha256. Of equal texts the largest doc_id stays; of rows that repeat it too, one."""
     known = cut(identities(docs.select(F.col(f"`{doc_id}`").alias("doc_id"), F.col(f"`{text}`").alias("text")), **options))
-    groups = known.groupBy("identity").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
-    # The row that stays, found by a second aggregate so that ties on doc_id leave one row.
-    winner = known.groupBy("identity").agg(F.max(F.struct("doc_id", "_row")).alias("w")).select("identity", F.col("w._row").alias("_winner"))
-    return known.join(groups.join(winner, "identity"), "identity").select(
+    # The largest (doc_id, row) stays, so ties on doc_id leave one row. The groups are kept, so that a hot group's rows meet them in a join of two exchanges, which Spark splits.
+    groups = known.groupBy("identity").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"), F.max(F.struct("doc_id", "_row")).alias("w"))
+    groups = cut(groups.select("identity", "keep_id", "group_size", F.col("w._row").alias("_winner")))
+    return known.join(groups, "identity").select(
         "doc_id", "keep_id", "group_size", (F.col("_row") == F.col("_winner")).alias("kept"), F.lower(F.hex("_sha")).alias("text_sha256")
     )
 
@@ -102,10 +103,11 @@ def deduplicated(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", **
 def keep_one(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", **options) -> DataFrame:
     """``docs`` without copies: the row with the largest doc_id of each group of equal texts, all columns unchanged."""
     known = cut(identities(docs.select(F.col(f"`{doc_id}`").alias("doc_id"), F.col(f"`{text}`").alias("text")), **options))
-    best = known.groupBy("identity").agg(F.max("doc_id").alias("best"))
+    best = cut(known.groupBy("identity").agg(F.max("doc_id").alias("best")))
     stays = known.join(best, "identity").where(F.col("doc_id").eqNullSafe(F.col("best"))).groupBy("doc_id", "_sha").agg(F.count("*").alias("_n"))
     sha = F.unhex(F.sha2(normalised(F.col(f"d.`{text}`")), 256))
-    columns = [F.col(f"d.`{c}`") for c in docs.columns]
+    row = F.struct(*[F.col(f"d.`{c}`").alias(f"c{k}") for k, c in enumerate(docs.columns)])
     joined = docs.alias("d").join(stays.alias("s"), F.col(f"d.`{doc_id}`").eqNullSafe(F.col("s.doc_id")) & (sha == F.col("s._sha")))
-    repeated = joined.where("s._n > 1").select(*columns, F.col("s._sha").alias("_copy_of")).dropDuplicates([doc_id, "_copy_of"])
-    return joined.where("s._n = 1").select(*columns).unionAll(repeated.select(*[F.col(f"`{c}`") for c in docs.columns]))
+    joined = joined.select(row.alias("row"), F.col("s.doc_id").alias("id"), F.col("s._sha").alias("sha"), F.col("s._n").alias("n"))
+    one = joined.where("n = 1").unionAll(joined.where("n > 1").dropDuplicates(["id", "sha"]))
+    return one.select(*[F.col(f"row.c{k}").alias(c) for k, c in enumerate(docs.columns)])

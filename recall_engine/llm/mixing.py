@@ -8,8 +8,9 @@ Ranks and stream positions are prefix sums in two steps (totals per chunk, then
 third of all rows is spread over many tasks. Only the table of sources, one row each, is handled in one piece.
 
 Defined results: a document's size is its number of words, null text has size 0; a null source is a source of its own,
-last in order; sources without words get target 0; rows that repeat another are documents of their own; an empty table
-gives an empty result. Equal input gives equal output on every run and partitioning.
+last in order; sources without words get target 0; rows that repeat another are documents of their own; a very long
+document only touches more blocks; other columns, whatever their names, are left alone; an empty table gives an empty
+result. Equal input gives equal output on every run and partitioning.
 """
 
 from __future__ import annotations
@@ -139,6 +140,6 @@ def mixed_documents(docs: DataFrame, text: str = "text", source: str = "source",
     # Rows that share an id and a size are dealt as one: their readings go to each of them in turn.
     plan = plan.where("size > 0").select(F.col("doc_id").alias("_id"), F.col("source").alias("_source"), F.col("size").alias("_size"), copies.alias("_copies"))
     plan = plan.groupBy("_id", "_source", "_size").agg(F.max("_copies").alias("_copies")).where("_copies > 0")
+    plan = plan.select("_id", "_source", "_size", F.explode(F.sequence(F.lit(1), F.col("_copies"))).alias("_copy"))
     same = F.col(f"d.`{doc_id}`").eqNullSafe(F.col("p._id")) & F.col(f"d.`{source}`").eqNullSafe(F.col("p._source")) & (word_count(F.col(f"d.`{text}`")) == F.col("p._size"))
-    joined = docs.alias("d").join(plan.alias("p"), same)
-    return joined.select(*[F.col(f"d.`{c}`") for c in docs.columns], F.explode(F.sequence(F.lit(1), F.col("p._copies"))).alias("_copy")).drop("_copy")
+    return docs.alias("d").join(plan.alias("p"), same).select(*[F.col(f"d.`{c}`") for c in docs.columns])

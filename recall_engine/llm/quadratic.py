@@ -7,8 +7,9 @@ Cholesky factor is kept; a score is the logistic of the difference of the two cl
 distance through the inverse of the kept factor, plus the log determinant.
 
 Defined results: null text counts as empty and gets a score as any other; labels of a document are averaged if repeated;
-with no labels, or of one class only, every score is the share of label 1 (0.5 without labels); an empty table gives an
-empty result.
+with no labels, or of one class only, every score is the share of label 1 (0.5 without labels); a very long text is one
+slice of its own in a worker, in memory of a few times its length; other columns, whatever their names, are not read; an
+empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -87,11 +88,11 @@ def statistics(texts: pa.Array) -> np.ndarray:
 
 def described(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """``keep`` and the vector ``x`` of statistics."""
-    picked = docs.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text}`").alias("_text"))
+    picked = docs.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text}`").alias("__text__"))
     schema = T.StructType(picked.schema.fields[:-1] + [T.StructField("x", T.ArrayType(T.DoubleType()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in textkit.slices(batches, "_text"):
+        for b in textkit.slices(batches, "__text__"):
             x = statistics(b.column(b.num_columns - 1))
             bounds = np.arange(0, x.size + 1, x.shape[1], dtype=np.int32)
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.ListArray.from_arrays(pa.array(bounds), pa.array(x.ravel()))], names=[*b.schema.names[:-1], "x"])

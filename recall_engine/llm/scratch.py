@@ -15,6 +15,8 @@ def shared_dir(spark: SparkSession) -> str:
     root = spark.conf.get("spark.checkpoint.dir", None)
     current = sc._jsc.sc().getCheckpointDir()
     if root is None:
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         if not current.isDefined():
             sc.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="recall_engine_"))
         return sc._jsc.sc().getCheckpointDir().get()
