@@ -2,6 +2,7 @@
 
 import hashlib
 import re
+import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
@@ -59,6 +60,114 @@ def test_rules_query_and_stage(spark):
     assert host_rules.judged(fixtures.empty(spark)).count() == 0 == host_rules.kept_documents(fixtures.empty(spark)).count()
 
 
+def test_verdicts_decide_as_plain_python_does(spark):
+    """Hosts that are trusted, ordinary and rejected; documents that soft rules hit, hit at half their limits, and don't."""
+    import random
+
+    rng = random.Random(3)
+    rows = []
+    for host, n, bad in (("good", 400, 0.01), ("fair", 60, 0.2), ("bad", 60, 0.9), ("few", 2, 0.5), (None, 30, 0.3)):
+        for k in range(n):
+            text = fixtures.prose(rng, 60)
+            if k < bad * n:
+                text += " #" * 12 if k % 2 or host == "good" else "\nl l" * 6
+            elif k % 5 == 0:
+                text += " #" * 5
+            rows.append((len(rows), text, host))
+    rows += [(len(rows) + k, t, "bad") for k, t in enumerate(("short", None, ""))]
+    df = spark.createDataFrame(rows, "doc_id long, text string, host string").repartition(4)
+
+    def fails(t, share):
+        n, chars, symbols, lines, repeated = brute_counts(t)
+        soft = 100 * symbols > 10 * share * n or not (8.5 - 6.5 * share) * n <= chars <= (8.5 + 6.5 * share) * n or lines > 3 * share
+        return n < 50 or 100 * repeated > 50 * n, soft
+
+    hosts = defaultdict(list)
+    for _, t, h in rows:
+        hosts[h].append(any(fails(t, 1.0)))
+    rates = [np.mean(f) for f in hosts.values()]
+    strength = max(1.0, np.mean(rates) * (1 - np.mean(rates)) / np.var(rates, ddof=1) - 1)
+    expected, decided = {}, 0
+    for d, t, h in rows:
+        n = len(hosts[h])
+        rate = (sum(hosts[h]) + np.mean(rates) * strength) / (n + strength)
+        trusted = rate + 1.645 * np.sqrt(rate * (1 - rate) / (n + strength + 1)) < 0.05
+        base, soft = fails(t, 0.5 if rate > 0.5 else 1.0)
+        expected[d] = not base and (not soft or (trusted and rate <= 0.5))
+        decided += not base and expected[d] == any(fails(t, 1.0))
+    got = host_rules.judged(df, host="host", keep=("doc_id", "host")).toPandas()
+    assert dict(zip(got.doc_id, got.kept, strict=True)) == expected and list(got.columns[:2]) == ["doc_id", "host"]
+    kept = host_rules.kept_documents(df, host="host")
+    assert {r.doc_id for r in kept.collect()} == {d for d, k in expected.items() if k} and kept.columns == df.columns
+    assert decided >= 10 and got.host_trusted.any() and got.host_rejected.any()
+
+
+def test_columns_with_clashing_names(spark):
+    """Columns named like the operators' own pass through."""
+    df, rows = fixtures.documents(spark)
+    names = ("_stays", "_copy", "_copy_of", "host", "row", "_text", "_id", "_sha", "comp", "node", "bucket", "stays", "kept", "size", "__of")
+    wide = df.drop("_text", "size").withColumns({n: F.concat(F.lit(f"{n} "), F.coalesce("text", F.lit(""))) for n in names})
+    for stage in (host_rules.kept_documents, exact_dedup.keep_one, parity_join.one_of_each, mixing.mixed_documents):
+        out = stage(wide)
+        assert out.columns == wide.columns, stage
+        assert all(r[n] == f"{n} {r.text or ''}" for r in out.collect() for n in names), stage
+    assert host_rules.judged(wide, keep=("doc_id", "host", "_text")).count() == len(rows)
+    assert mixing.mixed(wide).count() == len(rows) == exact_dedup.deduplicated(wide).count()
+
+
+def plain_statistics(t):
+    t = t or ""
+    nw, nc, symbols, dup, repeated = brute_counts(t)
+    w = W.findall(t)
+    share = lambda part, whole: np.log((part + 0.5) / (max(whole - part, 0) + 0.5))
+    b = t.encode()
+    lines = t.count("\n") + 1
+    some = lambda lo, hi=None: sum(lo <= x <= (lo if hi is None else hi) for x in b)
+    return [
+        np.log1p(nw), np.log((nc + 1) / (nw + 1)), share(symbols, nc), np.log1p(dup), share(repeated, nw), share(some(65, 90), nc), share(some(48, 57), nc), share(some(33), nc),
+        share(some(124), nc), share(some(46), nc), share(some(44), nc), np.log(lines), np.log((nw + 1) / lines), share(len(set(w)), nw), share(max(Counter(w).values(), default=0), nw),
+        share(some(192, 255), nc), share(sum(len(x) > 12 for x in w), nw), share(some(34) + some(39), nc),
+    ]
+
+
+def test_classifier_equals_plain_version(spark):
+    """Statistics, class covariances, both shrinkages and scores, made again with solves instead of kept factors."""
+    df, rows = fixtures.documents(spark)
+    rows = [(i, r[1]) for i, r in enumerate(rows)] + [(1000 + i, fixtures.prose(__import__("random").Random(i), 30 + i) + "!" * (i % 5)) for i in range(60)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    labels = {d: d % 2 for d, _ in rows if d % 3}
+    got = quadratic.scored(docs, spark.createDataFrame(list(labels.items()), "doc_id long, quality int")).toPandas().set_index("doc_id")
+    x = {d: np.array(plain_statistics(t)) for d, t in rows}
+    outside = lambda d: zlib.crc32(str(d).encode()) % 3 == 1
+    c = {k: np.array([x[d] for d, y in labels.items() if y == k and not outside(d)]) for k in (0, 1)}
+    n = {k: len(v) for k, v in c.items()}
+    cov = {k: np.cov(v.T, bias=True) for k, v in c.items()}
+    pooled = (n[0] * cov[0] + n[1] * cov[1]) / (n[0] + n[1])
+    scale = np.sqrt(np.maximum(np.diag(pooled), 1e-9))
+    logs = {}
+    for k in (0, 1):
+        s = (0.7 * cov[k] + 0.3 * pooled) / np.outer(scale, scale)
+        s = 0.95 * s + 0.05 * np.trace(s) / len(s) * np.eye(len(s))
+        logs[k] = lambda v, k=k, s=s: -0.5 * ((v - c[k].mean(0)) / scale) @ np.linalg.solve(s, (v - c[k].mean(0)) / scale) - 0.5 * np.linalg.slogdet(s)[1] + np.log(n[k])
+    for d, _ in rows:
+        score = 1 / (1 + np.exp(-np.clip((logs[1](x[d]) - logs[0](x[d])) / 4.0, -700, 700)))
+        assert got.held_out[d] == outside(d) and abs(got.score[d] - score) < 1e-6 and got.predicted[d] == (got.score[d] >= 0.5)
+
+
+def test_very_long_texts(spark):
+    """A text of some megabytes beside small ones, in the operators that read texts in Python."""
+    rng = np.random.default_rng(1)
+    long = " ".join(f"w{k}" for k in rng.integers(0, 50_000, 400_000).tolist())
+    rows = [(1, long), (2, "a b c"), (3, long[: len(long) // 2]), (4, long + " end")]
+    df = spark.createDataFrame([(*r, "s") for r in rows], "doc_id long, text string, source string")
+    got = host_rules.judged(df).toPandas().set_index("doc_id")
+    assert [got.n_words[d] for d, _ in rows] == [len(t.split()) for _, t in rows]
+    near = {r.doc_id: (r.n_shingles, r.component_id) for r in parity_join.grouped(df).collect()}
+    assert near[4][1] == near[1][1] == 1 and near[3][1] == 3 and near[4][0] == near[1][0] + 1
+    labels = spark.createDataFrame([(2, 0), (3, 1)], "doc_id long, quality int")
+    assert quadratic.scored(df, labels).where("score between 0 and 1").count() == 4
+
+
 def test_shrunk_rates(spark):
     hosts = spark.createDataFrame([("one", 1, 1), ("good", 1000, 50), ("bad", 1000, 900), ("fair", 1000, 60)], "host string, n long, failed long")
     got = {r.host: (r.host_rate, r.host_rejected) for r in host_rules.verdicts(hosts).collect()}
@@ -167,9 +276,9 @@ def test_near_duplicates_in_chains(spark, monkeypatch, blocks):
     assert as_counter(parity_join.grouped(df).toPandas()) == brute_components(rows)
 
 
-@pytest.mark.parametrize("hot, chunk, rounds, named", [(2, 2048, 2, 64), (3, 4, 2, 1), (64, 4, 1, 2), (64, 2048, 0, 64)])
-def test_near_duplicates_in_hot_buckets(spark, monkeypatch, hot, chunk, rounds, named):
-    """Near copies of three texts around the threshold, with hot keys, small chunks, few named buckets and few rounds."""
+@pytest.mark.parametrize("hot, chunk, rounds, named, graph", [(2, 2048, 2, 64, 1 << 20), (3, 4, 2, 1, 0), (64, 4, 1, 2, 1 << 20), (64, 2048, 0, 64, 0)])
+def test_near_duplicates_in_hot_buckets(spark, monkeypatch, hot, chunk, rounds, named, graph):
+    """Near copies of three texts around the threshold, with hot keys, small chunks, few named buckets, few rounds, and components by either way."""
     import random
     from functools import partial
 
@@ -177,6 +286,7 @@ def test_near_duplicates_in_hot_buckets(spark, monkeypatch, hot, chunk, rounds,
     monkeypatch.setattr(parity_join, "CHUNK", chunk)
     monkeypatch.setattr(parity_join, "ROUNDS", rounds)
     monkeypatch.setattr(parity_join, "NAMED_BUCKETS", named)
+    monkeypatch.setattr(parity_join, "SMALL_GRAPH", graph)
     monkeypatch.setattr(parity_join, "nearest", partial(parity_join.nearest, chunk=chunk))
     rng = random.Random(11)
     rows = []
@@ -200,9 +310,9 @@ def test_nearest_gives_each_node_one_pair(spark):
     h, bounds = np.concatenate(sets), np.concatenate([[0], np.cumsum([len(x) for x in sets])])
     names = [bytes(x) for x in parity_join.node_ids(h, bounds)]
     assert len(set(names)) == 40 and all(len(n) == 16 for n in names)
-    sk = spark.createDataFrame([(n, len(x), s) for n, x, s in zip(names, sets, parity_join.bit_sketch(h, bounds), strict=True)], "node binary, n_shingles long, sketch binary")
+    sk = spark.createDataFrame([(n, len(x), s) for n, x, s in zip(names, sets, parity_join.bit_sketch(h, bounds), strict=True)], "node binary, n_shingles long, sketch binary").withColumn("small", F.col("sketch"))
     members = spark.createDataFrame([(b, n) for b in range(5) for n in names], "bucket long, a binary")
-    near = parity_join.nearest(members, None, sk, parity_join.SIMILARITY, 0).collect()
+    near = parity_join.nearest(members, None, sk, parity_join.large_buckets(members, 2048), parity_join.SIMILARITY, 0).collect()
     assert 20 <= len(near) <= 40 and {x for r in near for x in (bytes(r.a), bytes(r.b))} == set(names)
     every = parity_join.across(members, None, sk, parity_join.SIMILARITY, outside=7, inside=9)
     assert every.count() == 40 * 39 // 2
