@@ -27,6 +27,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -43,7 +44,7 @@ FREQUENT_LIST = 1 << 17
 SLICE_BYTES = 2_000_000
 SEND_KEYS = 1_000_000
 #: Keys that meet in one group, on average, and the number of one batch's nodes from which on a key's nodes don't go there.
-MEET_KEYS = 500_000
+MEET_KEYS = 1_000_000
 HOT_KEY = 64
 ROUNDS = 2
 #: Nodes of a bucket that a round compares with each other, and bits of a sketch for a shingle.
@@ -216,17 +217,17 @@ def may_link(size_a: np.ndarray, size_b: np.ndarray, distance: np.ndarray, simil
 
 
 def described(docs: DataFrame, width: int, most: int = FREQUENT_LIST) -> DataFrame:
-    """(doc_id, _text) to rows of two kinds, in one reading. ``doc``: doc_id, n_shingles, node, a small and a wide sketch and two hashes of the
-    text that find it again. ``shingle``: a shingle's hash in ``t1`` and in ``n_shingles`` how many different sets of this slice hold it."""
+    """(doc_id, _text) to rows of two kinds, in one reading. ``doc``: doc_id, n_shingles, node, half of its name as ``short``, a
+    small and a wide sketch and two hashes of the text that find it again. ``shingle``: a shingle's hash in ``t1`` and in ``n_shingles`` how many different sets of this slice hold it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ["kind", "doc_id", "n_shingles", "node", "small", "sketch", "t1", "t2"]
+        names = ["kind", "doc_id", "n_shingles", "node", "short", "small", "sketch", "t1", "t2"]
         for b in textkit.slices(batches, "_text", SLICE_BYTES):
             h, bounds = shingles(b.column(1), width)
             node, size = node_ids(h, bounds), np.diff(bounds)
             wide = bit_sketch(h, bounds)
             small = [folded(x, max(32, len(x) // SKETCH_BITS)).tobytes() for x in wide]
-            yield pa.RecordBatch.from_arrays([pa.array(["doc"] * b.num_rows), b.column(0), pa.array(size), name_column(node), pa.array(small, pa.binary()), pa.array(wide, pa.binary()), b.column(2), b.column(3)], names=names)
+            yield pa.RecordBatch.from_arrays([pa.array(["doc"] * b.num_rows), b.column(0), pa.array(size), name_column(node), pa.array(np.ascontiguousarray(node[:, 0]).view(np.int64)), pa.array(small, pa.binary()), pa.array(wide, pa.binary()), b.column(2), b.column(3)], names=names)
             pick = np.zeros(len(node), bool)
             pick[same_names(node)[0]] = True  # copies count once
             value = np.sort(h[np.repeat(pick, size)])
@@ -236,9 +237,9 @@ def described(docs: DataFrame, width: int, most: int = FREQUENT_LIST) -> DataFra
             if len(often) > most:
                 often = often[np.argpartition(n[often], -most)[-most:]]
             k = len(often)
-            yield pa.RecordBatch.from_arrays([pa.array(["shingle"] * k, pa.string()), pa.nulls(k, b.column(0).type), pa.array(n[often]), *[pa.nulls(k, pa.binary())] * 3, pa.array(value[head[often]].view(np.int64)), pa.nulls(k, pa.int64())], names=names)
+            yield pa.RecordBatch.from_arrays([pa.array(["shingle"] * k, pa.string()), pa.nulls(k, b.column(0).type), pa.array(n[often]), pa.nulls(k, pa.binary()), pa.nulls(k, pa.int64()), *[pa.nulls(k, pa.binary())] * 2, pa.array(value[head[often]].view(np.int64)), pa.nulls(k, pa.int64())], names=names)
 
-    columns = (("n_shingles", T.LongType()), ("node", T.BinaryType()), ("small", T.BinaryType()), ("sketch", T.BinaryType()), ("t1", T.LongType()), ("t2", T.LongType()))
+    columns = (("n_shingles", T.LongType()), ("node", T.BinaryType()), ("short", T.LongType()), ("small", T.BinaryType()), ("sketch", T.BinaryType()), ("t1", T.LongType()), ("t2", T.LongType()))
     schema = T.StructType([T.StructField("kind", T.StringType()), T.StructField("doc_id", docs.schema["doc_id"].dataType), *[T.StructField(n, t) for n, t in columns]])
     return docs.select("doc_id", "_text", *_text_hashes("_text")).mapInArrow(run, schema)
 
@@ -258,7 +259,8 @@ def frequent_shingles(rows: DataFrame, most: int = FREQUENT_LIST) -> tuple[np.nd
 
 
 def buckets(docs: DataFrame, width: int, similarity: tuple[int, int], frequent: tuple[np.ndarray, np.ndarray], shingle_count: int) -> DataFrame:
-    """(bucket, a): the nodes of each bucket of two and more. Buckets with the same nodes are one.
+    """(bucket, short): the nodes of each bucket of two and more, by half of their names; two nodes that share it both come
+    into the bucket when names are put in its place. Buckets with the same nodes are one.
 
     Keys meet in groups by their hash, as many groups as the number of keys asks for, so a group has a bounded number of
     keys. A key that HOT_KEY nodes of one batch of keys have is a bucket at once: they go out as its nodes, and one of them
@@ -289,7 +291,7 @@ def buckets(docs: DataFrame, width: int, similarity: tuple[int, int], frequent:
         for lo in range(0, len(hot), SEND_KEYS // 8):
             at = hot[lo : lo + SEND_KEYS // 8]
             apart = -1 - int(textkit.mix64(key[at[:1]] ^ name[own[at[:1]], 0])[0] >> np.uint64(2))  # a group of their own
-            yield pa.RecordBatch.from_arrays([pa.array([apart], pa.int64()), pa.array([key[at].tobytes()], pa.binary()), pa.array([name[own[at]].tobytes()], pa.binary()), none, none, none], names=_SENT)
+            yield pa.RecordBatch.from_arrays([pa.array([apart], pa.int64()), pa.array([key[at].tobytes()], pa.binary()), pa.array([name[own[at], 0].tobytes()], pa.binary()), none, none, none], names=_SENT)
         keep = stands.copy()
         keep[np.repeat(count < HOT_KEY, count)] = True
         own, key, stands = own[keep], key[keep], stands[keep]
@@ -303,7 +305,7 @@ def buckets(docs: DataFrame, width: int, similarity: tuple[int, int], frequent:
             for k in range(lo, min(lo + 64, len(used))):
                 at = slice(edge[k], edge[k + 1])
                 local, times = np.unique(own[at], return_counts=True)
-                for col, x in zip(cols, (int(used[k]), key[at], name[local], size[local].astype(np.uint32), times.astype(np.uint32), key[at][stands[at]]), strict=True):
+                for col, x in zip(cols, (int(used[k]), key[at], name[local, 0], size[local].astype(np.uint32), times.astype(np.uint32), key[at][stands[at]]), strict=True):
                     col.append(x if isinstance(x, int) else x.tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), *[pa.array(c, pa.binary()) for c in cols[1:]]], names=_SENT)
 
@@ -328,16 +330,16 @@ def buckets(docs: DataFrame, width: int, similarity: tuple[int, int], frequent:
         def joined(column: str, kind: type) -> np.ndarray:
             return np.concatenate([np.frombuffer(x.as_py(), kind) for x in table[column]])
 
-        key, name, size, times = joined("keys", np.uint64), joined("names", np.uint64).reshape(-1, 2), joined("sizes", np.uint32), joined("times", np.uint32)
+        key, name, size, times = joined("keys", np.uint64), joined("names", np.uint64), joined("sizes", np.uint32), joined("times", np.uint32)
         if table["p"][0].as_py() < 0:
             bucket = hot_bucket(key)
         else:
             node = np.repeat(np.arange(len(name)), times)
             bucket, name = met(key, name[node], size[node].astype(np.int64), np.unique(joined("hot", np.uint64)), similarity)
-        return pa.Table.from_arrays([pa.array(bucket), name_column(name)], names=["bucket", "a"])
+        return pa.Table.from_arrays([pa.array(bucket), pa.array(name.view(np.int64))], names=["bucket", "short"])
 
     rows = docs.select("_text").mapInArrow(send, "p long, " + ", ".join(f"{c} binary" for c in _SENT[1:]))
-    return rows.groupBy("p").applyInArrow(meet, "bucket long, a binary").distinct()
+    return rows.groupBy("p").applyInArrow(meet, "bucket long, short long").distinct()
 
 
 _SENT = ["p", "keys", "names", "sizes", "times", "hot"]
@@ -358,16 +360,16 @@ def met(key: np.ndarray, name: np.ndarray, size: np.ndarray, hot: np.ndarray, si
     key, name, size = key[many], name[many], size[many]
     if not len(key):
         return np.zeros(0, np.int64), name
-    order = np.lexsort((name[:, 1], name[:, 0], size, key))
+    order = np.lexsort((name, size, key))
     key, name, size = key[order], name[order], size[order]
     new = np.ones(len(key), bool)
-    new[1:] = (key[1:] != key[:-1]) | (name[1:] != name[:-1]).any(axis=1)
+    new[1:] = (key[1:] != key[:-1]) | (name[1:] != name[:-1])
     key, name, size = key[new], name[new], size[new]
     is_hot = np.isin(key, hot)
     # Sizes too far apart for a link end a bucket: nothing on one side can link with the other. A hot key's bucket has nodes elsewhere too.
     start = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (~is_hot[1:] & (b * size[:-1] < a * size[1:]))]))
     n = np.diff(np.append(start, len(key)))
-    bucket = (textkit.mix64(np.add.reduceat(textkit.mix64(name[:, 0]) ^ name[:, 1], start)) >> np.uint64(1)).astype(np.int64)
+    bucket = (textkit.mix64(np.add.reduceat(textkit.mix64(name), start)) >> np.uint64(1)).astype(np.int64)
     bucket = np.where(is_hot[start], hot_bucket(key[start]), bucket)
     _, one = np.unique(bucket, return_index=True)
     one = one[(n[one] > 1) | is_hot[start[one]]]
@@ -478,7 +480,7 @@ def _near_pairs(t: pa.Table, sketch: str, begin: np.ndarray, many: np.ndarray, s
     """Places x and y of the pairs that sizes and sketches leave, of different components, and their distances: row x with
     ``many[x]`` rows from ``begin[x]`` on. At most about ``most`` pairs at a time."""
     size = t["n_shingles"].to_numpy()
-    comp = same_names(column_names(t["comp"].combine_chunks()))[1]
+    comp = same_names(column_names(pc.coalesce(t["comp"].combine_chunks(), t["a"].combine_chunks())))[1]  # a node without links is its own
     raw, off = textkit.string_buffers(t[sketch].combine_chunks())
     width = np.diff(off)
     a, b = similarity
@@ -537,8 +539,8 @@ def large_buckets(members: DataFrame, chunk: int) -> DataFrame:
 def nearest(members: DataFrame, comp: DataFrame | None, nodes: DataFrame, large: DataFrame, similarity: tuple[int, int], turn: int, chunk: int = CHUNK) -> DataFrame:
     """Pairs (a, b): each node with the nearest one of another component, by its small sketch, among those of its buckets
     that sizes and sketches leave. A bucket of more than ``chunk`` nodes is compared in chunks, dealt anew each ``turn``."""
-    sk = _with_components(nodes, comp).select(F.col("node").alias("_s"), "comp", "n_shingles", "small")
-    m = members.join(sk, F.col("a") == F.col("_s"))
+    sk = _with_components(nodes, comp).select(F.col("short").alias("_s"), F.col("node").alias("a"), F.nullif(F.col("comp"), F.col("node")).alias("comp"), "n_shingles", "small")
+    m = members.join(sk, F.col("short") == F.col("_s"))
     m = m.join(F.broadcast(large) if large.count() <= BROADCAST_ROWS else large, F.col("bucket") == F.col("large"), "left")
     part = F.when(F.col("size").isNull(), F.lit(0).cast("long")).otherwise(F.pmod(F.xxhash64("a", F.lit(turn)), F.ceil(F.col("size") / F.lit(float(chunk))).cast("long")))
     rows = m.select("bucket", part.alias("part"), "a", "comp", "n_shingles", "small")
@@ -573,7 +575,8 @@ def across(members: DataFrame, comp: DataFrame | None, nodes: DataFrame, similar
     """All pairs (a, b) of one bucket and different components that size and sketch leave. The nodes of a bucket of more than
     ``inside`` that are outside its largest component are compared with all its nodes, in blocks, so a task holds a bounded
     part of a bucket. Of the buckets that both nodes name, the first gives the pair."""
-    every = _with_components(members.withColumnRenamed("a", "node"), comp).withColumnRenamed("node", "a")
+    own = _with_components(nodes, comp).select(F.col("short").alias("_s"), F.col("node").alias("a"), "comp")
+    every = members.join(own, F.col("short") == F.col("_s")).select("bucket", "a", "comp")
     per = every.groupBy(F.col("bucket").alias("_b")).agg(F.count("*").alias("size"), F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select("_b", "size")
     m = cut(every.join(per, F.col("bucket") == F.col("_b")).drop("_b"))
     many = m.where(F.col("size") > inside)
@@ -659,8 +662,8 @@ def grouped(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width:
     count = known.agg(F.coalesce(F.sum("n_shingles"), F.lit(0))).first()[0]
     members = cut(buckets(own, width, similarity, frequent_shingles(rows.where("kind = 'shingle'")), count))
     large = cut(large_buckets(members, CHUNK))
-    touched = members.select(F.col("a").alias("_n")).distinct()
-    nodes = known.join(touched, F.col("node") == F.col("_n"), "left_semi").groupBy("node").agg(*[F.first(c).alias(c) for c in ("n_shingles", "small", "sketch")])
+    touched = members.select(F.col("short").alias("_n")).distinct()
+    nodes = known.join(touched, F.col("short") == F.col("_n"), "left_semi").groupBy("node").agg(*[F.first(c).alias(c) for c in ("short", "n_shingles", "small", "sketch")])
     nodes = cut(nodes)
     release(spark)
     whole = large.isEmpty()
@@ -682,18 +685,17 @@ def grouped(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width:
         release(spark)
 
     for turn in range(ROUNDS):
-        near = nearest(members, comp, nodes, large, similarity, turn)
-        near = cut(near if tried is None else near.join(tried, ["a", "b"], "left_anti"))
+        found = cut(nearest(members, comp, nodes, large, similarity, turn))
         release(spark)
+        # A node without a near one of another component in its buckets has no more to find; only buckets compared in chunks may hide one.
+        seen = nodes.join(found.select(F.explode(F.array("a", "b")).alias("_n")).distinct(), F.col("node") == F.col("_n"), "left_semi").select("short")
+        if not whole:
+            seen = seen.unionAll(members.join(large, F.col("bucket") == F.col("large"), "left_semi").select("short"))
+        seen = cut(seen.withColumnRenamed("short", "_n").distinct())
+        members = cut(members.join(F.broadcast(seen) if seen.count() <= BROADCAST_ROWS else seen, F.col("short") == F.col("_n"), "left_semi"))
+        near = found if tried is None else cut(found.join(tried, ["a", "b"], "left_anti"))
         if near.isEmpty():
             break
-        if turn == 0:
-            # A node without a near one in its buckets has no link; only buckets compared in chunks may hide one.
-            seen = near.select(F.explode(F.array("a", "b")).alias("_n"))
-            if not whole:
-                seen = seen.unionAll(members.join(large, F.col("bucket") == F.col("large"), "left_semi").select(F.col("a").alias("_n")))
-            seen = cut(seen.distinct())
-            members = cut(members.join(F.broadcast(seen) if seen.count() <= BROADCAST_ROWS else seen, F.col("a") == F.col("_n"), "left_semi"))
         tested(near)
     rest = across(members, comp, nodes, similarity)
     rest = cut(rest if tried is None else rest.join(tried, ["a", "b"], "left_anti"))

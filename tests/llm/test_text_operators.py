@@ -310,8 +310,8 @@ def test_nearest_gives_each_node_one_pair(spark):
     h, bounds = np.concatenate(sets), np.concatenate([[0], np.cumsum([len(x) for x in sets])])
     names = [bytes(x) for x in parity_join.node_ids(h, bounds)]
     assert len(set(names)) == 40 and all(len(n) == 16 for n in names)
-    sk = spark.createDataFrame([(n, len(x), s) for n, x, s in zip(names, sets, parity_join.bit_sketch(h, bounds), strict=True)], "node binary, n_shingles long, sketch binary").withColumn("small", F.col("sketch"))
-    members = spark.createDataFrame([(b, n) for b in range(5) for n in names], "bucket long, a binary")
+    sk = spark.createDataFrame([(n, k, len(x), s) for k, (n, x, s) in enumerate(zip(names, sets, parity_join.bit_sketch(h, bounds), strict=True))], "node binary, short long, n_shingles long, sketch binary").withColumn("small", F.col("sketch"))
+    members = spark.createDataFrame([(b, k) for b in range(5) for k in range(40)], "bucket long, short long")
     near = parity_join.nearest(members, None, sk, parity_join.large_buckets(members, 2048), parity_join.SIMILARITY, 0).collect()
     assert 20 <= len(near) <= 40 and {x for r in near for x in (bytes(r.a), bytes(r.b))} == set(names)
     every = parity_join.across(members, None, sk, parity_join.SIMILARITY, outside=7, inside=9)
