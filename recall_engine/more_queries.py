@@ -7,28 +7,45 @@ from pyspark.sql import functions as F
 
 from .functions import polygons, strata
 from .functions.kdop import relate
-from .operators import features, grid, measures, sampler, verify
+from .keep import kept
+from .operators import features, measures, sampler, verify
 from .params import METHODS, PUBLISHED, TARGETS, Params
-from .plans import calibrate, experiment, objective, ranker
+from .plans import calibrate, experiment, objective, ranker, stages
 from .queries import RELEVANT, candidate_pairs, embedding_pairs, labelled_documents, register, scored_pairs
-from .sources import io
-from .sources.layers import ring, workload
+from .sources.layers import ring
 from .streaming import monitor
 
 
 def scaled_pairs(spark: SparkSession, sf_dir: str, w: str) -> DataFrame:
-    x = features.raw(candidate_pairs(spark, sf_dir, w)).withColumn("y", relate(RELEVANT)).select("pair_id", "y", *features.NAMES)
-    return features.scale(x, features.fit_minmax(x))
+    x = kept(features.raw(kept(candidate_pairs(spark, sf_dir, w))).withColumn("y", relate(RELEVANT)).select("pair_id", "y", *features.NAMES))
+    return kept(features.scale(x, features.fit_minmax(x)))
 
 
 def network_scored(spark: SparkSession, sf_dir: str, w: str = "w4", net_seed: int = 42) -> DataFrame:
     """pair_id, p, d, y with the learned score; pairs are labelled as the balanced set asks."""
-    x = scaled_pairs(spark, sf_dir, w).cache()
+    x = scaled_pairs(spark, sf_dir, w)
     params = PUBLISHED.at_most(x.count())
     net, _ = ranker.learned(x, F.col("y"), params.pool, params.labels, params.base_seed, net_seed)
     return ranker.score(x, net, ("pair_id", "y"), batch=params.batch).withColumn("d", strata.equal_width(F.col("p"))).select("pair_id", "p", "d", "y")
 
 
+def network_trials(spark: SparkSession, sf_dir: str, w: str, trials: int = 10) -> DataFrame:
+    """The runs of all methods under the learned score, over trials that differ in the network's initialisation alone: the labelled
+    set, samples' seeds and bootstraps are the same in each. All networks score the pairs in one pass."""
+    x = scaled_pairs(spark, sf_dir, w)
+    params = PUBLISHED.at_most(x.count())
+    features_, y, _ = ranker.balanced(x, F.col("y"), params.pool, params.labels // 2, params.labels // 2, params.base_seed)
+    nets = [ranker.fit(features_, y, PUBLISHED.net_seed + trial) for trial in range(trials)]
+    scored = kept(ranker.score_all(x, nets, ("pair_id", "y"), batch=params.batch))
+    out = None
+    for trial in range(trials):
+        p = F.col("ps")[trial]
+        one = scored.select("pair_id", p.alias("p"), strata.equal_width(p).alias("d"), "y")
+        runs = experiment.run_methods(spark, one, w, PUBLISHED).withColumn("trial", F.lit(trial))
+        out = runs if out is None else out.unionByName(runs)
+    return out
+
+
 @register("score_network_w4")
 def score_network_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
     return network_scored(spark, sf_dir)
@@ -44,14 +61,10 @@ for _kind in ("logistic", "perceptron"):
 
     @register(f"score_mllib_{_kind}_w1")
     def score_mllib(spark: SparkSession, sf_dir: str, kind: str = _kind) -> DataFrame:
-        x = scaled_pairs(spark, sf_dir, "w1").cache()
+        x = scaled_pairs(spark, sf_dir, "w1")
         return ranker.mllib_scores(x, F.col("y"), PUBLISHED.at_most(x.count()).pool, 2025, kind)
 
 
-for _kind in ("overlap", "margin", "centre"):
-    register(f"heuristic_{_kind}_w4")(lambda spark, sf_dir, k=_kind: scored_pairs(spark, sf_dir, "w4", k))
-
-
 @register("relate_general")
 def relate_general(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The nine-cell matrix of the general path beside the interval path, on all candidates of W1."""
@@ -60,12 +73,6 @@ def relate_general(spark: SparkSession, sf_dir: str) -> DataFrame:
     return x.withColumn("covers", F.col("matrix").rlike("^(T|2).....FF|^.(T|1)....FF|^...(T|1)..FF|^....(T|0|1).FF"))
 
 
-@register("simplify_rings")
-def simplify_rings(spark: SparkSession, sf_dir: str) -> DataFrame:
-    s, _ = workload(spark, sf_dir, "w1")
-    return polygons.simplified(s.select("id", ring().alias("ring")), "ring", 0.1).select("id", F.size("ring").alias("corners"), io.to_wkt(F.col("ring")).alias("wkt"))
-
-
 def _table(spark: SparkSession, sf_dir: str, names: tuple[str, ...], trials: int, **options) -> DataFrame:
     return experiment.recall_table(spark, {w: scored_pairs(spark, sf_dir, w) for w in names}, PUBLISHED, trials, **options)
 
@@ -74,14 +81,46 @@ register("recall_table")(lambda spark, sf_dir: _table(spark, sf_dir, ("w1", "w2"
 register("plain_rules_w4")(lambda spark, sf_dir: _table(spark, sf_dir, ("w4",), 4, methods=("exact_beta", "jeffreys", "wilson", "quantile")))
 
 
-@register("recall_table_network_w4")
-def recall_table_network(spark: SparkSession, sf_dir: str, trials: int = 10) -> DataFrame:
-    """Recall over trials that differ in the network's initialisation alone: pool, samples and bootstraps are the same in each."""
+for _w in ("w1", "w2", "w3", "w4"):
+
+    @register(f"recall_table_network_{_w}")
+    def recall_table_network(spark: SparkSession, sf_dir: str, trials: int = 10, w: str = _w) -> DataFrame:
+        """Mean, spread, bias and cost of each method and target over the initialisations of the learned score."""
+        return measures.recall_summary(network_trials(spark, sf_dir, w, trials))
+
+
+@register("score_precision_drift_w4")
+def score_precision_drift_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How far scores in 32-bit and in brain floats of 16 bits are from those in 64-bit, and how many pairs change their stratum."""
+    x = scaled_pairs(spark, sf_dir, "w4")
+    net, _ = ranker.learned(x, F.col("y"), PUBLISHED.at_most(x.count()).pool, PUBLISHED.labels, PUBLISHED.base_seed)
+    exact = ranker.score(x, net, dtype="float64")
     out = None
-    for trial in range(trials):
-        x = experiment.run_methods(spark, network_scored(spark, sf_dir, net_seed=PUBLISHED.net_seed + trial), "w4", PUBLISHED).withColumn("trial", F.lit(trial))
-        out = x if out is None else out.unionByName(x)
-    return measures.recall_summary(out)
+    for dtype in ("float32", "bfloat16"):
+        both = exact.join(ranker.score(x, net, dtype=dtype).withColumnRenamed("p", "q"), "pair_id")
+        gap = F.abs(F.col("p") - F.col("q"))
+        row = both.agg(F.max(gap).alias("max_drift"), F.avg(gap).alias("mean_drift"), F.avg((strata.equal_width(F.col("p")) != strata.equal_width(F.col("q"))).cast("double")).alias("share_moved")).withColumn("dtype", F.lit(dtype))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@register("ablation_equal_labels_w4")
+def ablation_equal_labels_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One sample of nine k labels against nine samples of k: the same cost on either side."""
+    pairs = kept(scored_pairs(spark, sf_dir, "w4"))
+    k = max(1, PUBLISHED.at_most(pairs.count()).k // (2 * PUBLISHED.subsamples))
+    one, nine = (Params(**{**PUBLISHED.__dict__, "k": n}) for n in (k * PUBLISHED.subsamples, k))
+    rows = []
+    for label, method, params in (("one_of_9k", "ivw_single", one), ("min_of_nine", "ivw_min", nine)):
+        rows += [("w4", label, *r[2:]) for r in experiment.thresholds(pairs, "w4", params, methods=(method,), trials=4)]
+    return measures.recall_summary(experiment.runs(spark, pairs, rows))
+
+
+@register("stage_table_w4")
+def stage_table_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds, share and pairs per second of each stage of the flagship workload."""
+    timer, _ = stages.timed(spark, sf_dir)
+    return spark.createDataFrame([(r["stage"], float(r["seconds"]), float(r["share"]), float(r["rows_per_s"])) for r in timer.table()], "stage string, seconds double, share double, rows_per_s double")
 
 
 @register("ablation_sampling")
@@ -93,11 +132,11 @@ def ablation_sampling(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _variants(spark: SparkSession, sf_dir: str, variants: dict[str, dict], trials: int = 4, w: str = "w4") -> DataFrame:
     """Named variants of one method in one table; the label replaces the method's name."""
-    kept = scored_pairs(spark, sf_dir, w).cache()
+    pairs = kept(scored_pairs(spark, sf_dir, w))
     rows = []
     for label, options in variants.items():
-        rows += [(w, label, *r[2:]) for r in experiment.thresholds(kept, w, options.pop("params", PUBLISHED), trials=trials, **options)]
-    return measures.recall_summary(experiment.runs(spark, kept, rows))
+        rows += [(w, label, *r[2:]) for r in experiment.thresholds(pairs, w, options.pop("params", PUBLISHED), trials=trials, **options)]
+    return measures.recall_summary(experiment.runs(spark, pairs, rows))
 
 
 @register("ablation_ensemble")
@@ -142,7 +181,7 @@ def baseline_no_ranker_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
 @register("variant_dynamic_bins")
 def variant_dynamic_bins(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Strata with edges around the decision region, wide near it or narrow near it, beside equal widths and equal depths."""
-    base = scored_pairs(spark, sf_dir, "w4").cache()
+    base = kept(scored_pairs(spark, sf_dir, "w4"))
     kinds = {"wide_near": strata.dynamic_edges(0.7), "narrow_near": strata.dynamic_edges(0.7, inverse=True), "equi_depth": strata.equi_depth_edges(base)}
     out = None
     for name, e in kinds.items():
@@ -154,7 +193,7 @@ def variant_dynamic_bins(spark: SparkSession, sf_dir: str) -> DataFrame:
 @register("variant_gate")
 def variant_gate(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Whether one more sample would pay, per target."""
-    x = scored_pairs(spark, sf_dir, "w4").cache()
+    x = kept(scored_pairs(spark, sf_dir, "w4"))
     n = x.count()
     params = PUBLISHED.at_most(n)
     rows = []
@@ -167,14 +206,14 @@ def variant_gate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register("variant_cost_objective")
 def variant_cost_objective(spark: SparkSession, sf_dir: str) -> DataFrame:
-    x = scored_pairs(spark, sf_dir, "w4").cache()
+    x = kept(scored_pairs(spark, sf_dir, "w4"))
     return objective.cheapest(sampler.sample(x, PUBLISHED.at_most(x.count()).k, 2026, "proportional"), 1.0, 20.0)
 
 
 @register("review_within_budget")
 def review_within_budget(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Calibrate, review within a fifth of the pairs, and report what was confirmed and missed."""
-    plain = scored_pairs(spark, sf_dir, "w4").cache()
+    plain = kept(scored_pairs(spark, sf_dir, "w4"))
     n = plain.count()
     r = calibrate.calibrate(plain, F.col("y"), 800, params=PUBLISHED.at_most(n))
     x = plain.withColumn("hash_key", F.xxhash64("pair_id"))
@@ -187,45 +226,11 @@ def methods_compared(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _table(spark, sf_dir, ("w4",), 10, methods=METHODS)
 
 
-def _replayed(spark: SparkSession, sf_dir: str):
-    return monitor.replay(spark, sf_dir)
-
-
-@register("stream_drift")
-def stream_drift(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return monitor.run_to_end(monitor.drift(_replayed(spark, sf_dir), 0.5), "stream_drift", "append")
-
-
-@register("stream_sliding")
-def stream_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return monitor.run_to_end(monitor.drift(_replayed(spark, sf_dir), 0.5, "2 hours", "1 hour"), "stream_sliding", "append")
-
-
-@register("stream_sessions")
-def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return monitor.run_to_end(monitor.sessions(_replayed(spark, sf_dir)), "stream_sessions", "append")
-
-
-@register("stream_reviewed")
-def stream_reviewed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return monitor.run_to_end(monitor.unique(monitor.reviewed(_replayed(spark, sf_dir), 0.5)), "stream_reviewed", "append")
-
-
 @register("stream_bottom_k")
 def stream_bottom_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The hash sample of the stream: the k smallest of all updates per stratum."""
     from pyspark.sql import Window
 
-    updates = monitor.run_to_end(monitor.bottom_k(_replayed(spark, sf_dir), 50, 2026), "stream_bottom_k", "append")
+    updates = monitor.run_to_end(monitor.bottom_k(monitor.replay(spark, sf_dir), 50, 2026), "stream_bottom_k", "append")
     rank = F.row_number().over(Window.partitionBy("d").orderBy("hash_key"))
     return updates.distinct().withColumn("r", rank).where("r <= 50").drop("r")
-
-
-@register("grid_statistics")
-def grid_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = None
-    for w in ("w1", "w2", "w3", "w4"):
-        s, t = workload(spark, sf_dir, w)
-        x = grid.dataset_stats(s, t, relate(RELEVANT)).withColumn("workload", F.lit(w))
-        out = x if out is None else out.unionByName(x)
-    return out

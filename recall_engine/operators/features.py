@@ -9,7 +9,6 @@ from pyspark.sql import functions as F
 
 NAMES = tuple(f"f{k:02d}" for k in range(1, 17))
 TOP = 10_000.0
-CORNERS = 8
 
 
 def _extent(side: str, axis: str) -> Column:
@@ -29,6 +28,11 @@ def _perimeter(side: str) -> Column:
     return 2.0 * (_extent(side, "x") + _extent(side, "y")) - F.lit(8 - 4 * math.sqrt(2)) * F.col(f"{side}_c")
 
 
+def _corners(side: str) -> Column:
+    """Corners of the ring; a box whose corners are not cut has four."""
+    return F.when(F.col(f"{side}_c") == 0, 4.0).otherwise(8.0)
+
+
 def _overlap(axis: str) -> Column:
     return (F.least(f"s_{axis}1", f"t_{axis}1") - F.greatest(f"s_{axis}0", f"t_{axis}0")).cast("double")
 
@@ -48,7 +52,7 @@ def margin() -> Column:
 
 
 def raw(pairs: DataFrame) -> DataFrame:
-    """``pairs`` with f01 to f16."""
+    """``pairs`` with f01 to f16. They are read three times, so give them kept."""
     per_s = pairs.groupBy("s_id").agg(F.count("*").alias("_ns")).withColumnRenamed("s_id", "_s")
     per_t = pairs.groupBy("t_id").agg(F.count("*").alias("_nt")).withColumnRenamed("t_id", "_t")
     x = pairs.join(per_s, F.col("s_id") == F.col("_s")).join(per_t, F.col("t_id") == F.col("_t"))
@@ -59,7 +63,7 @@ def raw(pairs: DataFrame) -> DataFrame:
         _ratio(_area("s"), _area("t")), _ratio(_perimeter("s"), _perimeter("t")), F.col("shared_cells").cast("double"), both,
         _over(both, box_s + box_t - both), _over(both, box_s), _over(both, box_t), F.sqrt(gx * gx + gy * gy) / 2.0,
         gx / 2.0, gy / 2.0, _ratio(_extent("s", "x"), _extent("t", "x")), _ratio(_extent("s", "y"), _extent("t", "y")),
-        F.col("_ns").cast("double"), F.col("_nt").cast("double"), margin().cast("double"), F.lit(1.0),
+        F.col("_ns").cast("double"), F.col("_nt").cast("double"), margin().cast("double"), _ratio(_corners("s"), _corners("t")),
     ]
     return x.withColumns(dict(zip(NAMES, columns, strict=True))).drop("_s", "_t", "_ns", "_nt")
 

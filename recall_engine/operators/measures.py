@@ -20,11 +20,25 @@ def evaluated(scored: DataFrame, tau: float | Column) -> DataFrame:
 
 def evaluated_many(scored: DataFrame, taus: DataFrame) -> DataFrame:
     """The same for every row of a small table of thresholds (tau), in one pass over the pairs."""
-    joined = scored.select("p", "y").crossJoin(F.broadcast(taus))  # a table of methods and targets
-    above = F.col("p") >= F.col("tau")
-    keys = taus.columns
-    counts = joined.groupBy(*keys).agg(F.count("*").alias("candidates"), F.count_if("y").alias("relevant"), F.count_if(above).alias("reviewed"), F.count_if(above & F.col("y")).alias("hits"))
-    return counts.withColumns({"recall": F.try_divide("hits", "relevant"), "cost_fraction": F.try_divide("reviewed", "candidates")})
+    values = sorted({float(r.tau) for r in taus.select("tau").distinct().collect() if r.tau is not None})  # a table of methods and targets
+    # Each pair's place among the sorted thresholds, by halving; counts per place, and sums of them from above.
+    by_place = scored.groupBy(_place(F.col("p"), values).alias("place")).agg(F.count("*").alias("n"), F.count_if("y").alias("pos")).collect()  # a row per threshold
+    n, pos = [0] * (len(values) + 1), [0] * (len(values) + 1)
+    for r in by_place:
+        n[r.place], pos[r.place] = r.n, r.pos
+    rows = [(t, sum(n), sum(pos), sum(n[k + 1 :]), sum(pos[k + 1 :])) for k, t in enumerate(values)]
+    counts = scored.sparkSession.createDataFrame(rows, "_tau double, candidates long, relevant long, reviewed long, hits long")
+    joined = taus.join(F.broadcast(counts), F.col("tau") == F.col("_tau")).drop("_tau")  # a row per threshold
+    return joined.withColumns({"recall": F.try_divide("hits", "relevant"), "cost_fraction": F.try_divide("reviewed", "candidates")})
+
+
+def _place(p: Column, values: list[float], lo: int = 0, hi: int | None = None) -> Column:
+    """How many of the sorted ``values`` are at most ``p``."""
+    hi = len(values) if hi is None else hi
+    if lo == hi:
+        return F.lit(lo)
+    mid = (lo + hi) // 2
+    return F.when(p >= F.lit(values[mid]), _place(p, values, mid + 1, hi)).otherwise(_place(p, values, lo, mid))
 
 
 def recall_error(runs: DataFrame) -> DataFrame:

@@ -48,10 +48,12 @@ def quotas(n: dict[int, int], k: int, quota: str = "equal", refill: bool = False
 
 
 def _by_stratum(values: dict[int, float], d: Column, other: float) -> Column:
-    out = F.lit(other)
-    for h, v in values.items():
-        out = F.when(d == h, F.lit(v)).otherwise(out)
-    return out
+    """The value of stratum ``d``, looked up in an array, so ``d`` is computed once."""
+    if not values:
+        return F.lit(other)
+    least = min(values)
+    table = F.array(*[F.lit(float(values.get(h, other))) for h in range(least, max(values) + 1)])
+    return F.coalesce(F.get(table, d - least), F.lit(float(other)))
 
 
 def cutoff(quota: int, n: int) -> float:
@@ -112,6 +114,6 @@ def subsamples(df: DataFrame, count: int, k: int, seed: int, mode: str = "reseed
     return chosen.withColumns({"n_h": size_of.cast("long"), "quota_h": quota_of.cast("long"), "w": size_of / quota_of})
 
 
-def random(df: DataFrame, k: int, seed: int) -> DataFrame:
+def random(df: DataFrame, k: int, seed: int, family: str = "xxhash64") -> DataFrame:
     """Baseline: a simple random sample under a seed of its own, stable under any partitioning."""
-    return pool(df, k, seed ^ 0x5DEECE66D).withColumns({"w": F.lit(1.0)})
+    return pool(df, k, seed ^ 0x5DEECE66D, family).withColumns({"w": F.lit(1.0)})

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 BINS = 1024
@@ -11,22 +11,24 @@ BINS = 1024
 def cut_score(scored: DataFrame, budget: int) -> tuple[float, int]:
     """The score at which the ``budget`` best pairs end, and how many of that score's pairs are among them.
 
-    A histogram of fixed size narrows the cut to one bin; only that bin's scores are counted exactly.
+    A histogram of fixed size narrows the cut to one bin, another to one bin of that, until the bin has one score: a few
+    passes of fixed-size results, however the scores are spread.
     """
-    bin_ = F.least(F.lit(BINS - 1), F.floor(F.col("p") * BINS)).cast("int")
-    counts = {r["b"]: r["n"] for r in scored.groupBy(bin_.alias("b")).agg(F.count("*").alias("n")).collect()}  # BINS rows
-    above = 0
-    for b in sorted(counts, reverse=True):
-        if above + counts[b] >= budget:
-            break
-        above += counts[b]
-    else:
-        return 0.0, budget
-    inside = scored.where(bin_ == b).groupBy("p").agg(F.count("*").alias("n"))
-    # Prefix sums over the distinct scores of one bin; ties keep them fewer than the bin's pairs.
-    upto = inside.withColumn("upto", F.sum("n").over(Window.orderBy(F.desc("p"))) + above)
-    hit = upto.where(F.col("upto") >= budget).orderBy(F.desc("p")).select("p", "n", "upto").first()
-    return float(hit["p"]), int(budget - (hit["upto"] - hit["n"]))
+    above, inside = 0, scored
+    lo, hi = 0.0, 1.0
+    while True:
+        place = F.least(F.lit(BINS - 1), F.greatest(F.lit(0), F.floor((F.col("p") - F.lit(lo)) * F.lit(BINS / (hi - lo))))).cast("int")
+        rows = inside.where(F.col("p").isNotNull()).groupBy(place.alias("b")).agg(F.count("*").alias("n"), F.min("p").alias("lo"), F.max("p").alias("hi")).collect()  # BINS rows
+        for r in sorted(rows, key=lambda r: -r["b"]):
+            if above + r["n"] >= budget:
+                break
+            above += r["n"]
+        else:
+            return 0.0, budget
+        lo, hi = float(r["lo"]), float(r["hi"])
+        if lo == hi:
+            return lo, budget - above
+        inside = scored.where((F.col("p") >= F.lit(lo)) & (F.col("p") <= F.lit(hi)))
 
 
 def review(scored: DataFrame, tau: float, budget: int | None = None, ties: str = "include", key: str = "hash_key") -> DataFrame:

@@ -101,21 +101,22 @@ def replicates(positives: DataFrame, target_mille: int, n_boot: int = 200, seed:
     return positives.select("subsample", "d", "p", "w").groupBy("subsample").applyInPandas(run, SCHEMA)
 
 
-def hashed_replicates(positives: DataFrame, target_mille: int, n_boot: int, seed: int = 7, alpha: float = 0.10, rule_names: tuple[str, ...] = ("exact_beta", "jeffreys", "wilson", "quantile"), sizes: dict[int, int] | None = None) -> DataFrame:
-    """The same with draws from a hash of (seed, subsample, replicate, draw), in DataFrame operations only: any engine gets the same replicates."""
+def hashed_replicates(positives: DataFrame, target_mille: int | tuple[int, ...], n_boot: int, seed: int = 7, alpha: float = 0.10, rule_names: tuple[str, ...] = ("exact_beta", "jeffreys", "wilson", "quantile"), sizes: dict[int, int] | None = None) -> DataFrame:
+    """The same with draws from a hash of (seed, subsample, replicate, draw), in DataFrame operations only: any engine gets the same
+    replicates. Several targets read the same draws, and add the column target_mille."""
     order = Window.partitionBy("subsample").orderBy(F.desc("p"), "pair_id")
     ranked = positives.select("subsample", "pair_id", "p").withColumn("place", F.row_number().over(order))
     sizes = sizes or {r["subsample"]: r["count"] for r in positives.groupBy("subsample").count().collect()}  # one row per subsample
     spark = positives.sparkSession
     per = spark.createDataFrame([(s, n) for s, n in sizes.items()], "subsample int, n int")
-    draws = per.select("subsample", "n", F.explode(F.sequence(F.lit(0), F.lit(n_boot - 1))).alias("replicate")).select("subsample", "n", "replicate", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("i"))
+    draws = per.select("subsample", "n", F.explode(F.sequence(F.lit(0), F.lit(n_boot - 1))).alias("replicate")).repartition("subsample", "replicate").select("subsample", "n", "replicate", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("i"))
     hashed = F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(str(seed)), *[F.col(c).cast("string") for c in ("subsample", "replicate", "i")])), 1, 8), 16, 10).cast("long")
     drawn = draws.withColumn("place", (hashed % F.col("n") + 1).cast("int"))
     within = Window.partitionBy("subsample", "replicate").orderBy("place", "i")
     drawn = drawn.withColumn("rank", F.row_number().over(within).cast("long"))
-    wanted = [(s, r, k) for s, n in sizes.items() for r in rule_names if (k := rules.rank(r, n, target_mille, alpha)) is not None]
-    picks = spark.createDataFrame(wanted or [(-1, "", -1)], "_s int, rule string, _rank long")
-    hit = drawn.join(F.broadcast(picks), (F.col("subsample") == F.col("_s")) & (F.col("rank") == F.col("_rank")))  # subsamples times rules rows
-    return hit.join(ranked, ["subsample", "place"]).select("subsample", "rule", "replicate", "rank", F.col("p").alias("tau"), F.lit(True).alias("feasible"))
-
-
+    targets = (target_mille,) if isinstance(target_mille, int) else target_mille
+    wanted = [(s, t, r, k) for s, n in sizes.items() for t in targets for r in rule_names if (k := rules.rank(r, n, t, alpha)) is not None]
+    picks = spark.createDataFrame(wanted or [(-1, -1, "", -1)], "_s int, target_mille int, rule string, _rank long")
+    hit = drawn.join(F.broadcast(picks), (F.col("subsample") == F.col("_s")) & (F.col("rank") == F.col("_rank")))  # subsamples times targets times rules rows
+    more = [] if isinstance(target_mille, int) else ["target_mille"]
+    return hit.join(ranked, ["subsample", "place"]).select(*more, "subsample", "rule", "replicate", "rank", F.col("p").alias("tau"), F.lit(True).alias("feasible"))

@@ -42,7 +42,7 @@ def draw(scored: DataFrame, method: str, params: Params, quota: str, mode: str =
     """The calibration sample that a method needs, with column ``subsample``."""
     seed = params.base_seed + 1 + 1000 * trial
     if method in ("ht_lower", "wilson_random", "exact_beta", "jeffreys", "wilson", "quantile"):
-        return sampler.random(scored, params.k, seed).withColumn("subsample", F.lit(0))
+        return sampler.random(scored, params.k, seed, family).withColumn("subsample", F.lit(0))
     if method in ("wilson_hash", "ivw_single"):
         return sampler.sample(scored, params.k, seed, quota, family, n=n).withColumn("subsample", F.lit(0))
     return sampler.subsamples(scored, params.subsamples, params.k, seed, mode, quota, family, n)
@@ -66,9 +66,12 @@ def from_positives(groups: dict[int, dict[str, np.ndarray]], cost: int, target_m
     if not total:
         return made(None)
     first = groups[min(groups)]
+    if engine not in ("numpy", "analytic"):
+        raise ValueError(f"calibrate has the engines numpy and analytic, not {engine}")
+
     # Equal weights need no weighting: then the integer ranks are exact.
     def weight_of(g: dict[str, np.ndarray]) -> np.ndarray | None:
-        return g["w"] if weighting == "design" and len(g["w"]) and np.ptp(g["w"]) > 1e-3 * g["w"].mean() else None
+        return g["w"] if weighting == "design" and len(g["w"]) and np.ptp(g["w"]) > 1e-12 * g["w"].mean() else None
 
     if method == "ht_lower":
         return made(inverse_prob.threshold(first["p"], first["w"], target_mille, params.alpha))
@@ -79,7 +82,9 @@ def from_positives(groups: dict[int, dict[str, np.ndarray]], cost: int, target_m
     taus, per_rule = [], {}
     for s, g in sorted(groups.items()):
         w = weight_of(g)
-        if engine == "analytic" and w is None:
+        if engine == "analytic":
+            if w is not None:
+                raise ValueError("the closed form holds for equal weights; use weighting='none' or the engine numpy")
             m = bootstrap.analytic(g["p"], rules, target_mille, params.alpha, form)
         else:
             got = bootstrap.resample(g["p"], w, g["d"], params.n_boot, boot_seed + s, rules, target_mille, params.alpha, form, by_stratum)

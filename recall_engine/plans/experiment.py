@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..keep import kept
 from ..operators import measures, sampler
 from ..params import METHODS, TARGETS, Params
 from . import calibrate
@@ -41,8 +42,8 @@ def runs(spark: SparkSession, scored: DataFrame, rows: list[tuple]) -> DataFrame
 
 def run_methods(spark: SparkSession, scored: DataFrame, workload: str, params: Params, **options) -> DataFrame:
     """Scored pairs are kept once (columns p, y and what samples need); every step after reads them."""
-    kept = scored.select("pair_id", "p", "d", "y").cache()
-    return runs(spark, kept, thresholds(kept, workload, params, **options))
+    pairs = kept(scored.select("pair_id", "p", "d", "y"))
+    return runs(spark, pairs, thresholds(pairs, workload, params, **options))
 
 
 def recall_table(spark: SparkSession, per_workload: dict[str, DataFrame], params: Params, trials: int = 4, **options) -> DataFrame:

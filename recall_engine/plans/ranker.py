@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -134,27 +134,52 @@ def fit(x: np.ndarray, y: np.ndarray, seed: int = 42, epochs: int = 30, patience
     return best
 
 
-def score(df: DataFrame, net: Network, keep: tuple[str, ...] = ("pair_id",), dtype: str = "float32", batch: int = 8_192) -> DataFrame:
-    """``keep`` and p. The scaled features f01..f16 of ``df`` go through the folded network in batches of at most ``batch`` rows."""
+def _rounded(x: np.ndarray, dtype: str) -> np.ndarray:
+    """``x`` as the nearest brain floats of 16 bits, kept in 32, if ``dtype`` asks for them; else as ``dtype``."""
+    if dtype != "bfloat16":
+        return x.astype(dtype)
+    bits = np.ascontiguousarray(x, np.float32).view(np.uint32)
+    return ((bits + 0x7FFF + ((bits >> 16) & 1)) & 0xFFFF0000).astype(np.uint32).view(np.float32)
+
+
+def _applied(net: Network, dtype: str) -> Callable[[np.ndarray], np.ndarray]:
+    """Features in [0, 1] to scores, through the folded network."""
     w, b = net.folded()
-    w, b = [m.astype(dtype) for m in w], [m.astype(dtype) for m in b]
+    w, b = [_rounded(m, dtype) for m in w], [_rounded(m, dtype) for m in b]
+
+    def run(x: np.ndarray) -> np.ndarray:
+        h = _rounded(x, dtype)
+        for k in range(len(w) - 1):
+            h = _rounded(np.maximum(h @ w[k] + b[k], 0), dtype)
+        return 1 / (1 + np.exp(-np.clip((h @ w[-1] + b[-1])[:, 0].astype(np.float64), -60, 60)))
+
+    return run
+
+
+def score_all(df: DataFrame, nets: list[Network], keep: tuple[str, ...] = ("pair_id",), dtype: str = "float32", batch: int = 8_192) -> DataFrame:
+    """``keep`` and ps, the score of each network. The scaled features f01..f16 of ``df`` are read once, in batches of at most ``batch`` rows."""
+    each = [_applied(net, dtype) for net in nets]
     n = len(keep)
     source = df.select(*keep, *features.NAMES)
-    schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in source.schema.fields[:n]] + ["p double"])
+    schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in source.schema.fields[:n]] + ["ps array<double>"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for lo in range(0, whole.num_rows, batch):
                 r = whole.slice(lo, batch)
-                h = np.stack([r.column(k).to_numpy(zero_copy_only=False) for k in range(n, r.num_columns)], axis=1).astype(dtype) / np.asarray(features.TOP, dtype)
-                for k in range(len(w) - 1):
-                    h = np.maximum(h @ w[k] + b[k], 0)
-                p = 1 / (1 + np.exp(-np.clip((h @ w[-1] + b[-1])[:, 0].astype(np.float64), -60, 60)))
-                yield pa.RecordBatch.from_arrays([*r.columns[:n], pa.array(p)], names=[*keep, "p"])
+                x = np.stack([r.column(k).to_numpy(zero_copy_only=False) for k in range(n, r.num_columns)], axis=1) / features.TOP
+                p = np.stack([f(x) for f in each], axis=1)
+                ends = pa.array(np.arange(0, p.size + 1, len(each), dtype=np.int32))
+                yield pa.RecordBatch.from_arrays([*r.columns[:n], pa.ListArray.from_arrays(ends, pa.array(p.ravel()))], names=[*keep, "ps"])
 
     return source.mapInArrow(run, schema)
 
 
+def score(df: DataFrame, net: Network, keep: tuple[str, ...] = ("pair_id",), dtype: str = "float32", batch: int = 8_192) -> DataFrame:
+    """``keep`` and p. ``dtype`` float64, float32 or bfloat16 is the precision of weights and activations."""
+    return score_all(df, [net], keep, dtype, batch).select(*keep, F.col("ps")[0].alias("p"))
+
+
 def balanced(scaled: DataFrame, relevant: Column, pool: int, n_pos: int, n_neg: int, seed: int) -> tuple[np.ndarray, np.ndarray, int]:
     """Features in [0, 1], labels, and how many labels were asked for.
 

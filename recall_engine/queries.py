@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from .functions import hashing, rules, strata
 from .functions.kdop import PREDICATES, relate
+from .keep import kept
 from .operators import csr, features, grid, measures, sampler, verify
 from .params import PUBLISHED, RULES, TARGETS, Params
 from .plans import bootstrap, calibrate, ensemble, experiment, inverse_prob, objective
@@ -122,7 +123,7 @@ def scored_pairs(spark: SparkSession, sf_dir: str, w: str, kind: str = "blend")
 
 
 def md5_sample(spark: SparkSession, sf_dir: str, quota: str, k: int = K) -> DataFrame:
-    return sampler.sample(scored_pairs(spark, sf_dir, "w4"), k, SEED, quota, "md5")
+    return sampler.sample(kept(scored_pairs(spark, sf_dir, "w4")), k, SEED, quota, "md5")
 
 
 def positives_of(sample: DataFrame) -> dict[str, np.ndarray]:
@@ -221,7 +222,7 @@ def _cells(axis: str) -> str:
 _FEATURE_SQL = [
     _rat(_AREA["s"], _AREA["t"]), _rat(_PERI["s"], _PERI["t"]), f"{_cells('x')} * {_cells('y')}", _HIT, f"{_HIT} / ({_BOX['s']} + {_BOX['t']} - {_HIT})", f"{_HIT} / {_BOX['s']}", f"{_HIT} / {_BOX['t']}",
     f"sqrt({_GX} * {_GX} + {_GY} * {_GY}) / 2", f"{_GX} / 2", f"{_GY} / 2", _rat("(s_x1 - s_x0)", "(t_x1 - t_x0)"), _rat("(s_y1 - s_y0)", "(t_y1 - t_y0)"),
-    "count(*) OVER (PARTITION BY s_id)", "count(*) OVER (PARTITION BY t_id)", "least(t_x0 - s_x0, s_x1 - t_x1, t_y0 - s_y0, s_y1 - t_y1)", "1.0",
+    "count(*) OVER (PARTITION BY s_id)", "count(*) OVER (PARTITION BY t_id)", "least(t_x0 - s_x0, s_x1 - t_x1, t_y0 - s_y0, s_y1 - t_y1)", _rat("CASE WHEN s_c = 0 THEN 4 ELSE 8 END", "CASE WHEN t_c = 0 THEN 4 ELSE 8 END"),
 ]
 _RAW_SQL = f"""{candidates_sql("w4")}, z AS (SELECT greatest(1, avg(x1 - x0)) AS tx, greatest(1, avg(y1 - y0)) AS ty FROM s),
 f AS (SELECT pair_id, {", ".join(f"CAST({e} AS DOUBLE) AS {n}" for n, e in zip(features.NAMES, _FEATURE_SQL, strict=True))} FROM c, z)"""
@@ -229,7 +230,7 @@ _RANGE = f"rg AS (SELECT {', '.join(f'min({n}) AS {n}_lo, max({n}) AS {n}_hi' fo
 
 
 def raw_features(spark: SparkSession, sf_dir: str, w: str = "w4") -> DataFrame:
-    return features.raw(candidate_pairs(spark, sf_dir, w)).select("pair_id", *features.NAMES)
+    return features.raw(kept(candidate_pairs(spark, sf_dir, w))).select("pair_id", *features.NAMES)
 
 
 register("features_raw_w4", f"WITH {_RAW_SQL} SELECT pair_id, {', '.join(f'floor({n} * 1e6::DOUBLE + 0.5::DOUBLE) / 1e6::DOUBLE AS {n}' for n in features.NAMES)} FROM f")(
@@ -245,7 +246,7 @@ def features_minmax_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register("features_scaled_w4", f"WITH {_RAW_SQL}, {_RANGE} SELECT pair_id, " + ", ".join(f"round(CASE WHEN {n}_hi <= {n}_lo THEN 0 ELSE least(10000.0::DOUBLE, greatest(0.0::DOUBLE, ({n} - {n}_lo) / ({n}_hi - {n}_lo) * 10000.0::DOUBLE)) END, 4) AS {n}" for n in features.NAMES) + " FROM f, rg")
 def features_scaled_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
-    x = raw_features(spark, sf_dir)
+    x = kept(raw_features(spark, sf_dir))
     return features.scale(x, features.fit_minmax(x)).select("pair_id", *[F.round(n, 4).alias(n) for n in features.NAMES])
 
 
@@ -262,7 +263,7 @@ def edges_hist_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register("equidepth_w4")
 def equidepth_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
-    x = scored_pairs(spark, sf_dir, "w4")
+    x = kept(scored_pairs(spark, sf_dir, "w4"))
     return x.withColumn("d", strata.edges(F.col("p"), strata.equi_depth_edges(x))).groupBy("d").agg(F.count("*").alias("n"), F.min("p").alias("lo"), F.max("p").alias("hi"))
 
 
@@ -297,7 +298,7 @@ sp AS (SELECT *, CAST((row_number() OVER (PARTITION BY d ORDER BY hash_key) - 1)
 
 
 def split_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return sampler.subsamples(scored_pairs(spark, sf_dir, "w4"), BOOT_S, BOOT_K, SEED, "split", "proportional", "md5")
+    return sampler.subsamples(kept(scored_pairs(spark, sf_dir, "w4")), BOOT_S, BOOT_K, SEED, "split", "proportional", "md5")
 
 
 register("sample_split", f"WITH {_SPLIT} SELECT subsample, pair_id, d, y FROM sp")(lambda spark, sf_dir: split_sample(spark, sf_dir).select("subsample", "pair_id", "d", "y"))
@@ -311,17 +312,17 @@ register("sample_split", f"WITH {_SPLIT} SELECT subsample, pair_id, d, y FROM sp
     + " UNION ALL ".join(f"SELECT {j} AS subsample, pair_id, d FROM (SELECT ky{j}.*, quota_h, row_number() OVER (PARTITION BY ky{j}.d ORDER BY hash_key) AS r FROM ky{j} JOIN q USING (d)) WHERE r <= quota_h" for j in range(3)),
 )
 def sample_reseed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return sampler.subsamples(scored_pairs(spark, sf_dir, "w4"), 3, K, SEED, "reseed", "proportional", "md5").select("subsample", "pair_id", "d")
+    return sampler.subsamples(kept(scored_pairs(spark, sf_dir, "w4")), 3, K, SEED, "reseed", "proportional", "md5").select("subsample", "pair_id", "d")
 
 
 @register("sample_pool", f"WITH {scored_sql('w4')}, {keyed_sql(SEED, '0')} SELECT pair_id FROM ky ORDER BY hash_key LIMIT {K}")
 def sample_pool(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return sampler.pool(candidate_pairs(spark, sf_dir, "w4").select("pair_id"), K, SEED, "md5").select("pair_id")
+    return sampler.pool(kept(candidate_pairs(spark, sf_dir, "w4").select("pair_id")), K, SEED, "md5").select("pair_id")
 
 
 @register("sample_xxhash")
 def sample_xxhash(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _shown(sampler.sample(scored_pairs(spark, sf_dir, "w4"), K, SEED, "equal"))
+    return _shown(sampler.sample(kept(scored_pairs(spark, sf_dir, "w4")), K, SEED, "equal"))
 
 
 # --- Rules, bootstrap, fusion --------------------------------------------------------------------------------------
@@ -409,7 +410,7 @@ _POOL = f"{scored_sql('w4')}, {keyed_sql(SEED, '0')}, ch AS (SELECT * FROM ky OR
 
 
 def pool_positives(spark: SparkSession, sf_dir: str) -> np.ndarray:
-    return positives_of(sampler.pool(scored_pairs(spark, sf_dir, "w4"), K, SEED, "md5").withColumn("w", F.lit(1.0)))["p"]
+    return positives_of(sampler.pool(kept(scored_pairs(spark, sf_dir, "w4")), K, SEED, "md5").withColumn("w", F.lit(1.0)))["p"]
 
 
 @register(
@@ -454,13 +455,13 @@ register("review_cost", f"WITH {scored_sql('w4')}, e AS ({_EVAL}) SELECT tau, ca
 
 @register("budget_cut", f"WITH {scored_sql('w4')}, {keyed_sql(SEED)} SELECT pair_id FROM ky WHERE p >= 0.5 ORDER BY p DESC, hash_key LIMIT 500")
 def budget_cut(spark: SparkSession, sf_dir: str) -> DataFrame:
-    keyed = scored_pairs(spark, sf_dir, "w4").withColumn("hash_key", hashing.key(F.col("pair_id"), F.col("d"), SEED, "md5"))
+    keyed = kept(scored_pairs(spark, sf_dir, "w4").withColumn("hash_key", hashing.key(F.col("pair_id"), F.col("d"), SEED, "md5")))
     return verify.review(keyed, 0.5, 500, "split").select("pair_id")
 
 
 @register("missed_matches", f"WITH {scored_sql('w4')} SELECT pair_id FROM sc WHERE y AND p < 0.8")
 def missed_matches(spark: SparkSession, sf_dir: str) -> DataFrame:
-    x = scored_pairs(spark, sf_dir, "w4")
+    x = kept(scored_pairs(spark, sf_dir, "w4"))
     return verify.missed(x, verify.review(x, 0.8), F.col("y")).select("pair_id")
 
 
@@ -488,7 +489,7 @@ def f_beta_best(spark: SparkSession, sf_dir: str) -> DataFrame:
 ta AS (SELECT CAST(v AS INTEGER) AS target_mille, p AS tau FROM ps, (VALUES (700), (800), (900)) x(v) WHERE k = (n * v + 999) // 1000)
 SELECT target_mille, round(tau, 6) AS tau, (SELECT count(*) FROM sc WHERE p >= tau) AS reviewed FROM ta""")
 def ideal_threshold_w4(spark: SparkSession, sf_dir: str) -> DataFrame:
-    x = scored_pairs(spark, sf_dir, "w4").cache()  # read several times per target
+    x = kept(scored_pairs(spark, sf_dir, "w4"))  # read several times per target
     found = [(t, measures.ideal_threshold(x, t)) for t in TARGETS]
     return spark.createDataFrame([(t, round(r["tau"], 6), r["reviewed"]) for t, r in found], "target_mille int, tau double, reviewed long")
 
@@ -579,10 +580,11 @@ def flagship(spark: SparkSession, sf_dir: str, w: str = "w4", params: Params | N
 
 
 def queries() -> dict[str, Query]:
-    from . import more_queries  # noqa: F401  registers the queries without an SQL form
+    from . import more_queries, oracle_queries  # noqa: F401  they register their queries
 
     return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
+    queries()
     return dict(ORACLE)
