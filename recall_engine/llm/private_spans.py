@@ -244,11 +244,13 @@ def voted(docs: DataFrame) -> DataFrame:
         t = t.withColumn(name, raw_matches(F.col("t"), pattern, needs)[0])
     some = {n: F.size(n) > 0 for n in names}
     t = t.withColumns({f"g_{n}": F.when(some[n], F.split("t", p, -1)).otherwise(F.array().cast("array<string>")) for n, _, p, _ in patterns}).drop("t")
-    t = t.select("doc_id", *[placed(F.col(n), F.col(f"g_{n}")).alias(n) for n in names])
+    # One expression places the matches of all patterns; an expression each would only take long to plan.
+    each = F.array(*[F.struct(F.col(n).alias("found"), F.col(f"g_{n}").alias("gaps")) for n in names])
+    t = t.select("doc_id", F.transform(each, lambda x: placed(x["found"], x["gaps"])).alias("placed"))
 
     def described(name: str, kind: str) -> Column:
         known = (lambda s: F.when(valid(kind, s["m"]), 1).otherwise(0)) if name.startswith("b_") else (lambda s: F.when(luhn(s["m"]), -1).otherwise(0) if kind == "card" else F.lit(-1))
-        return F.transform(F.col(name), lambda s: F.struct(F.lit(kind).alias("kind"), F.lit(KINDS.index(kind)).alias("at"), s["start"].alias("start"), s["end"].alias("end"), votes(kind, s).alias("votes"), known(s).alias("known")))
+        return F.transform(F.col("placed")[names.index(name)], lambda s: F.struct(F.lit(kind).alias("kind"), F.lit(KINDS.index(kind)).alias("at"), s["start"].alias("start"), s["end"].alias("end"), votes(kind, s).alias("votes"), known(s).alias("known")))
 
     every = t.select("doc_id", F.flatten(F.array(*[described(n, k) for n, k, *_ in patterns])).alias("spans"))
     # A candidate that touches a base span is part of it.
