@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 
 from pyspark.sql import DataFrame
@@ -10,7 +12,7 @@ from pyspark.sql import DataFrame
 def kept(df: DataFrame) -> DataFrame:
     """``df`` computed now and read from the folder in ``spark.checkpoint.dir`` after: its plan starts there, and a lost executor
     costs no recomputation. Spark removes the files when the table is out of use and the session asks for that
-    (``spark.cleaner.referenceTracking.cleanCheckpoints``). Only a local session without the setting gets a folder of its own."""
+    (``spark.cleaner.referenceTracking.cleanCheckpoints``). Only a local session without the setting gets a folder of its own, until its end."""
     spark = df.sparkSession
     sc = spark.sparkContext
     if not sc._jsc.sc().getCheckpointDir().isDefined():
@@ -18,6 +20,8 @@ def kept(df: DataFrame) -> DataFrame:
         if root is None:
             if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
                 raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
-            root = "file://" + tempfile.mkdtemp(prefix="recall_engine_")
+            own = tempfile.mkdtemp(prefix="recall_engine_")
+            atexit.register(shutil.rmtree, own, True)
+            root = f"file://{own}"
         sc.setCheckpointDir(root)
     return df.checkpoint(eager=True)
