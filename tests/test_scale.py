@@ -36,3 +36,55 @@ def test_counted_pairs(spark):
     pairs = spark.createDataFrame([("a", "x"), ("a", "y"), ("b", "y")], "s_id string, t_id string")
     got = features.counted(features.counted(pairs, "s"), "t")
     assert sorted((r.s_id, r.t_id, r._ns, r._nt) for r in got.collect()) == [("a", "x", 2, 1), ("a", "y", 2, 2), ("b", "y", 1, 2)]
+
+
+def test_targets_and_variants_share_resamples():
+    from recall_engine.params import RULES, TARGETS
+    from recall_engine.plans import bootstrap
+
+    rng = np.random.default_rng(4)
+    g = {"p": rng.random(300), "w": rng.random(300) + 0.5, "d": rng.integers(0, 3, 300)}
+    shared = bootstrap.Resamples(TARGETS)
+    for w in (None, g["w"]):
+        for by_stratum in (False, True):
+            for t in TARGETS:
+                for names in (RULES, ("quantile",), ("wilson", "jeffreys")):
+                    one = bootstrap.resample(g["p"], w, g["d"], 20, 5, names, t, 0.1, "standard", by_stratum)
+                    got = shared.of(g, w, 20, 5, names, t, 0.1, "standard", by_stratum)
+                    assert one.keys() == got.keys() and all(np.array_equal(one[r], got[r]) for r in one)
+    assert len(shared.found) == 4
+
+
+def test_binomial_tails_at_once():
+    from recall_engine.functions import special
+
+    for n, k in ((5, 0), (5, 6), (40, 13), (3000, 2400)):
+        p = np.concatenate([[0.0, 1.0], np.linspace(0.01, 0.99, 30)])
+        assert np.allclose(special.binomial_tails(n, p, k), [special.binomial_tail(n, x, k) for x in p], rtol=1e-12, atol=1e-15)
+
+
+def test_sums_of_networks_are_their_scores(spark):
+    from recall_engine.plans import ranker
+
+    rng = np.random.default_rng(1)
+    x = spark.createDataFrame([(str(k), *map(float, rng.random(16) * 10_000)) for k in range(50)], "pair_id string, " + ", ".join(f"f{k:02d} double" for k in range(1, 17)))
+    nets = [ranker.Network.init(seed) for seed in (1, 2)]
+    every = {r.pair_id: r.ps for r in ranker.score_all(x, nets, batch=7).collect()}
+    sums = ranker.sums_all(x, nets, batch=7)
+    assert dict(sums.dtypes)["z1"] == "float"
+    for r in sums.select("pair_id", *[ranker.sigmoid(F.col(f"z{k}")).alias(f"p{k}") for k in (0, 1)]).collect():
+        assert np.allclose([r.p0, r.p1], every[r.pair_id], rtol=1e-14)
+
+
+def test_a_trial_draws_each_sample_once(spark, monkeypatch):
+    from recall_engine.params import Params
+    from recall_engine.plans import calibrate, experiment
+
+    rows = [(str(k), k / 400, int(k / 40), k % 3 == 0) for k in range(400)]
+    x = spark.createDataFrame(rows, "pair_id string, p double, d int, y boolean")
+    params, drawn, draw = Params(k=100, subsamples=2, n_boot=5), [], calibrate.draw
+    monkeypatch.setattr(calibrate, "draw", lambda *a, **b: drawn.append(a[1]) or draw(*a, **b))
+    shared = {}
+    got = [experiment.thresholds(x, "x", params, methods=("ivw_min",), shared=shared, fuse=f) for f in ("min", "median")]
+    alone = [experiment.thresholds(x, "x", params, methods=("ivw_min",), fuse=f) for f in ("min", "median")]
+    assert got == alone and len(drawn) == 3
