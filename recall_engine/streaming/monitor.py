@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -10,13 +11,20 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions import hashing, strata
+from ..keep import checkpoint_folder, kept
+
+#: Where a replay's time ends.
+END = "9000-01-01 00:00:00"
 
 EVENT_SCHEMA = T.StructType([T.StructField("event_id", T.LongType()), T.StructField("ts", T.TimestampType()), T.StructField("user_id", T.LongType()), T.StructField("event_type", T.StringType()), T.StructField("value", T.DoubleType()), T.StructField("props", T.StringType())])
 
 
 def replay(spark: SparkSession, folder: str, pattern: str = "events.parquet", files_per_trigger: int = 1) -> DataFrame:
     """Event files of a folder as a stream of scored pairs: score value / 500, positive if a purchase."""
-    raw = spark.readStream.schema(EVENT_SCHEMA).option("pathGlobFilter", pattern).option("maxFilesPerTrigger", files_per_trigger).parquet(folder)
+    return scored(spark.readStream.schema(EVENT_SCHEMA).option("pathGlobFilter", pattern).option("maxFilesPerTrigger", files_per_trigger).parquet(folder))
+
+
+def scored(raw: DataFrame) -> DataFrame:
     p = F.greatest(F.lit(0.0), F.least(F.lit(1.0), F.col("value") / 500.0))
     return raw.select("event_id", "ts", "user_id", p.alias("p"), (F.col("event_type") == "purchase").alias("y"))
 
@@ -72,6 +80,23 @@ def run_to_end(stream: DataFrame, name: str, mode: str = "append", checkpoint: s
     return stream.sparkSession.table(name)
 
 
+def all_sessions(spark: SparkSession, folder: str, pattern: str = "events.parquet") -> DataFrame:
+    """Every session of a replay, the last ones included. Sessions go to files when they close, so none passes through the driver.
+
+    All events are read in one batch, so none is late, and with them a mark long after them, which closes all sessions but its own.
+    """
+    root = f"{checkpoint_folder(spark)}/sessions-{uuid.uuid4().hex}"
+    mark = spark.range(1).select(*[(F.lit(END).cast("timestamp") if f.name == "ts" else F.lit(None).cast(f.dataType)).alias(f.name) for f in EVENT_SCHEMA])
+    mark.write.parquet(f"{root}/mark")
+    marked = scored(spark.readStream.schema(EVENT_SCHEMA).parquet(f"{root}/mark"))
+    stream = sessions(replay(spark, folder, pattern, 1 << 30).unionByName(marked))
+    stream.writeStream.format("parquet").outputMode("append").option("path", f"{root}/sessions").option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start().awaitTermination()
+    found = kept(spark.read.schema(stream.schema).parquet(f"{root}/sessions"))
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(root)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    return found
+
+
 def to_table(stream: DataFrame, path: str, checkpoint: str):
     """Each micro-batch as files; a batch that runs again replaces its own folder."""
     def save(batch: DataFrame, number: int) -> None:

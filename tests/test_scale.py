@@ -88,3 +88,15 @@ def test_a_trial_draws_each_sample_once(spark, monkeypatch):
     got = [experiment.thresholds(x, "x", params, methods=("ivw_min",), shared=shared, fuse=f) for f in ("min", "median")]
     alone = [experiment.thresholds(x, "x", params, methods=("ivw_min",), fuse=f) for f in ("min", "median")]
     assert got == alone and len(drawn) == 3
+
+
+def test_sessions_reach_no_driver_table(spark, sf, monkeypatch):
+    import __spark_entry__ as entry
+    from recall_engine.streaming import monitor
+
+    monkeypatch.setattr(monitor, "run_to_end", lambda *a, **b: pytest.fail("a memory table"))
+    got = entry.queries()["stream_sessions"](spark, sf).collect()
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    w = F.session_window("ts", "30 minutes").alias("w")
+    plain = events.groupBy("user_id", w).agg(F.count("*").alias("n")).select(F.date_format("w.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "user_id", "n")
+    assert sorted(got) == sorted(plain.collect()) and sum(r.n for r in got) == events.count()
