@@ -100,3 +100,11 @@ def test_sessions_reach_no_driver_table(spark, sf, monkeypatch):
     w = F.session_window("ts", "30 minutes").alias("w")
     plain = events.groupBy("user_id", w).agg(F.count("*").alias("n")).select(F.date_format("w.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "user_id", "n")
     assert sorted(got) == sorted(plain.collect()) and sum(r.n for r in got) == events.count()
+
+
+def test_nested_loop_in_tiles(spark, sf):
+    s, t = workload(spark, sf, "w1")
+    whole = {(r.s_id, r.t_id) for r in grid.nested_loop(s, t).select("s_id", "t_id").collect()}
+    for tiles in (1, 3.5, 16):
+        got = [(r.s_id, r.t_id) for r in grid.nested_loop(s, t, tiles).select("s_id", "t_id").collect()]
+        assert len(got) == len(whole) and set(got) == whole
