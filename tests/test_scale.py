@@ -108,3 +108,15 @@ def test_nested_loop_in_tiles(spark, sf):
     for tiles in (1, 3.5, 16):
         got = [(r.s_id, r.t_id) for r in grid.nested_loop(s, t, tiles).select("s_id", "t_id").collect()]
         assert len(got) == len(whole) and set(got) == whole
+
+
+def test_ranks_read_their_sizes_from_a_table(spark, sf):
+    import __spark_entry__ as entry
+    from recall_engine.functions import rules
+
+    lines = spark.read.parquet(f"{sf}/lineitem.parquet")
+    sizes = {r["count"] for k in ("l_orderkey", "l_partkey", "l_suppkey") for r in lines.groupBy(k).count().collect()}
+    for rule in ("wilson", "quantile"):
+        df = entry.queries()[f"rank_{rule}"](spark, sf)
+        assert any("lineitem" in f for f in df.inputFiles())
+        assert sorted(map(tuple, df.collect())) == sorted((n, t, r) for n in sizes for t in (700, 800, 900) if (r := rules.rank(rule, n, t)) is not None)
