@@ -120,3 +120,28 @@ def test_ranks_read_their_sizes_from_a_table(spark, sf):
         df = entry.queries()[f"rank_{rule}"](spark, sf)
         assert any("lineitem" in f for f in df.inputFiles())
         assert sorted(map(tuple, df.collect())) == sorted((n, t, r) for n in sizes for t in (700, 800, 900) if (r := rules.rank(rule, n, t)) is not None)
+
+
+@pytest.mark.parametrize("block", [7, 40, 1000])
+def test_vector_pairs_in_blocks(spark, monkeypatch, block):
+    from recall_engine.operators import vector_pairs
+
+    for name in ("COUNT_BLOCK", "ROW_BLOCK"):
+        monkeypatch.setattr(vector_pairs, name, block)
+    monkeypatch.setattr(vector_pairs, "TILE", 5)
+    rng = np.random.default_rng(2)
+    x = rng.integers(-2, 3, (60, 3)).astype(np.float32)  # scores on the edges of strata, vectors of length zero and copies
+    rows = [(int(3 * k), x[k].tolist(), int(k % 4)) for k in range(60)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int")
+    score, hist = {}, {}
+    for a in rows:
+        for b in rows:
+            if a[0] < b[0]:
+                dot, na, nb = sum(u * v for u, v in zip(a[1], b[1])), sum(u * u for u in a[1]) ** 0.5, sum(v * v for v in b[1]) ** 0.5
+                p = max(0.0, min(1.0, (1 + (dot / (na * nb) if na * nb else 0.0)) / 2))
+                score[f"{a[0]}|{b[0]}"] = (p, a[2] == b[2])
+                h = hist.setdefault(min(9, int(p * 10)), [0, 0])
+                h[0], h[1] = h[0] + 1, h[1] + (a[2] == b[2])
+    got = vector_pairs.scored_pairs(df).collect()
+    assert len(got) == len(score) and all(abs(score[r.pair_id][0] - r.p) < 1e-12 and score[r.pair_id][1] == r.y for r in got)
+    assert {r.d: [r.n, r.pos] for r in vector_pairs.score_histogram(df).collect()} == hist
