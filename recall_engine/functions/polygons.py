@@ -11,6 +11,8 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -110,18 +112,111 @@ def holds(m: str | None, pred: str) -> bool:
     return any(matches(m, k) for k in MASKS[pred])
 
 
+def _place_all(x: np.ndarray, y: np.ndarray, ring: np.ndarray, tol: float = TOLERANCE) -> np.ndarray:
+    """``locate`` for many rings at once: points (n, k) by rings (n, m, 2)."""
+    x, y = x[:, :, None], y[:, :, None]
+    a, b = ring[:, None], np.roll(ring, -1, axis=1)[:, None]
+    dx, dy, wx, wy = b[..., 0] - a[..., 0], b[..., 1] - a[..., 1], x - a[..., 0], y - a[..., 1]
+    length = np.hypot(dx, dy)
+    along = wx * dx + wy * dy
+    scale = (tol * (1 + np.abs(ring).max(axis=(1, 2))))[:, None, None]
+    on = (np.abs(dx * wy - dy * wx) <= scale * length) & (along >= -scale * length) & (along <= length**2 + scale * length)
+    span = (a[..., 1] > y) != (b[..., 1] > y)
+    at = dx * wy / np.where(dy == 0, 1.0, dy) + a[..., 0]  # no span where dy is 0
+    inside = (span & (x < at)).sum(axis=2) % 2 == 1
+    return np.where(on.any(axis=2), 0, np.where(inside, 1, -1))
+
+
+def _pieces_all(ring: np.ndarray, other: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """``pieces`` for many rings at once: x and y (n, k) of the midpoints, and which of them are any."""
+    p, c = ring[:, :, None], other[:, None]
+    r, s, w = np.roll(ring, -1, axis=1)[:, :, None] - p, np.roll(other, -1, axis=1)[:, None] - c, c - p
+    den = r[..., 0] * s[..., 1] - r[..., 1] * s[..., 0]
+    cross = w[..., 0] * r[..., 1] - w[..., 1] * r[..., 0]
+    some = np.where(den == 0, 1.0, den)
+    t, u = (w[..., 0] * s[..., 1] - w[..., 1] * s[..., 0]) / some, cross / some
+    hit = (den != 0) & (t > 0) & (t < 1) & (u >= -1e-12) & (u <= 1 + 1e-12)
+    line = np.abs(cross) <= (TOLERANCE * (1 + np.abs(other).max(axis=(1, 2))))[:, None, None] * np.hypot(r[..., 0], r[..., 1])
+    shadow = (w * r).sum(axis=-1) / (r * r).sum(axis=-1)
+    on = line & (shadow > 0) & (shadow < 1)
+    ends = np.zeros((*t.shape[:2], 1))
+    cuts = np.sort(np.concatenate([ends, ends + 1, np.where(hit, t, 1.0), np.where(on, shadow, 1.0)], axis=2), axis=2)
+    middle = (cuts[..., :-1] + cuts[..., 1:]) / 2
+    n = len(ring)
+    return tuple((p[..., k] + middle * r[..., k]).reshape(n, -1) for k in (0, 1)) + ((cuts[..., 1:] > cuts[..., :-1]).reshape(n, -1),)
+
+
+def _interior_all(ring: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """``interior_point`` of many rings at once."""
+    low = ring[:, :, 1].min(axis=1)
+    above = np.where(ring[:, :, 1] > low[:, None], ring[:, :, 1], np.inf).min(axis=1)
+    y = np.where(np.isinf(above), low, (low + above) / 2)
+    a, b = ring, np.roll(ring, -1, axis=1)
+    span = (a[..., 1] > y[:, None]) != (b[..., 1] > y[:, None])
+    dy = b[..., 1] - a[..., 1]
+    xs = np.sort(np.where(span, a[..., 0] + (y[:, None] - a[..., 1]) * (b[..., 0] - a[..., 0]) / np.where(dy == 0, 1.0, dy), np.inf), axis=1)
+    m = xs.shape[1] // 2 * 2
+    lo, hi = xs[:, :m:2], xs[:, 1:m:2]
+    k = np.argmax(np.where(np.isinf(hi), -np.inf, hi - np.where(np.isinf(lo), 0.0, lo)), axis=1)
+    row = np.arange(len(ring))
+    return (lo[row, k] + hi[row, k]) / 2, y
+
+
+def matrices(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """``matrix`` of many pairs at once, for clean rings (n, m, 2) and (n, k, 2) of three corners and more."""
+    (ax, ay, a_any), (bx, by, b_any) = _pieces_all(a, b), _pieces_all(b, a)
+    ab, ba = _place_all(ax, ay, b), _place_all(bx, by, a)
+    is_ab, is_ba = ({k: ((at == k) & some).any(axis=1) for k in (-1, 0, 1)} for at, some in ((ab, a_any), (ba, b_any)))
+    inner = []
+    for one, two in ((a, b), (b, a)):
+        x, y = _interior_all(one)
+        inner.append(_place_all(x[:, None], y[:, None], two)[:, 0] == 1)
+    equal = ~(is_ab[1] | is_ab[-1] | is_ba[1] | is_ba[-1])
+    ii = is_ab[1] | is_ba[1] | inner[0] | inner[1] | equal
+    corner = (_place_all(a[..., 0], a[..., 1], b) == 0).any(axis=1) | (_place_all(b[..., 0], b[..., 1], a) == 0).any(axis=1)
+    crossing = (is_ab[1] & is_ab[-1]) | (is_ba[1] & is_ba[-1])
+    bb = np.where(is_ab[0] | is_ba[0], "1", np.where(corner | crossing, "0", "F"))
+    cells = [np.where(on, dim, "F") for on, dim in ((ii, "2"), (is_ba[1], "1"), (is_ab[-1] | is_ba[1] | ~ii, "2"), (is_ab[1], "1"))]
+    cells += [bb, *[np.where(on, dim, "F") for on, dim in ((is_ab[-1], "1"), (is_ba[-1] | is_ab[1] | ~ii, "2"), (is_ba[-1], "1"))], np.full(len(a), "2")]
+    return np.array(["".join(c) for c in zip(*cells, strict=True)], object)
+
+
+def _clean_all(rings: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Corners of all rings, as ``clean`` leaves them, and each ring's first one (n + 1); a null ring has none."""
+    size = pc.fill_null(pc.list_value_length(rings), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    flat = rings.flatten()
+    xy = np.stack([pc.struct_field(flat, k).to_numpy(zero_copy_only=False) for k in ("x", "y")], axis=1).astype(float)
+    start = np.concatenate([[0], np.cumsum(size)])
+    before = np.arange(len(xy)) - 1
+    some = size > 0
+    before[start[:-1][some]] = start[1:][some] - 1
+    keep = np.any(xy != xy[before], axis=1) if len(xy) else np.zeros(0, bool)
+    return xy[keep], np.concatenate([[0], np.cumsum(keep)])[start]
+
+
+#: Pairs of rings that are placed at a time.
+AT_ONCE = 512
+
+
 def related(pairs: DataFrame, a: str = "s_ring", b: str = "t_ring") -> DataFrame:
-    """``pairs`` with their matrix; rings reach Python in Arrow batches."""
+    """``pairs`` with their matrix; rings reach Python in Arrow batches, and those of equal numbers of corners are placed together."""
     rest = [c for c in pairs.columns if c not in (a, b)]
     schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in pairs.schema if f.name in rest] + ["matrix string"])
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for f in frames:
-            out = f[rest].copy()
-            out["matrix"] = [matrix(x, y) for x, y in zip(f[a], f[b], strict=True)]
-            yield out
-
-    return pairs.select(*rest, a, b).mapInPandas(run, schema)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            (p, p_at), (q, q_at) = _clean_all(batch.column(len(rest))), _clean_all(batch.column(len(rest) + 1))
+            m, k = np.diff(p_at), np.diff(q_at)
+            out = np.full(batch.num_rows, None, object)
+            for sizes in {(i, j) for i, j in zip(m.tolist(), k.tolist(), strict=True) if i >= 3 and j >= 3}:
+                rows = np.flatnonzero((m == sizes[0]) & (k == sizes[1]))
+                step = max(1, AT_ONCE * 64 // (sizes[0] * sizes[1]))
+                for lo in range(0, len(rows), step):
+                    at = rows[lo : lo + step]
+                    out[at] = matrices(p[p_at[at][:, None] + np.arange(sizes[0])], q[q_at[at][:, None] + np.arange(sizes[1])])
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(rest)], pa.array(out, pa.string())], names=[*rest, "matrix"])
+
+    return pairs.select(*rest, a, b).mapInArrow(run, schema)
 
 
 def simplify(ring: np.ndarray, eps: float = 0.1) -> np.ndarray:

@@ -145,3 +145,17 @@ def test_vector_pairs_in_blocks(spark, monkeypatch, block):
     got = vector_pairs.scored_pairs(df).collect()
     assert len(got) == len(score) and all(abs(score[r.pair_id][0] - r.p) < 1e-12 and score[r.pair_id][1] == r.y for r in got)
     assert {r.d: [r.n, r.pos] for r in vector_pairs.score_histogram(df).collect()} == hist
+
+
+def test_matrices_at_once_equal_one_by_one(spark):
+    from recall_engine.functions import polygons
+
+    rng = np.random.default_rng(6)
+    shapes = [[(0, 0), (4, 0), (4, 4), (0, 4)], [(0, 0), (6, 0), (6, 6), (3, 2), (0, 6)], [(0, 0), (2, 0), (2, 0), (2, 2), (0, 2), (0, 0)], [(0, 0), (4, 0), (2, 3)], [(1, 0), (3, 0), (4, 1), (4, 3), (3, 4), (1, 4), (0, 3), (0, 1)], [(0, 0), (1, 1)], []]
+    rings = [[(x * f + dx, y * f + dy) for x, y in s] for s in shapes for f in (1, 2) for dx, dy in [(0, 0), (2, 0), (4, 4), (0.5, 0.25), *rng.integers(-4, 5, (3, 2)).tolist()]]
+    pairs = [(i, j) for i in range(len(rings)) for j in range(len(rings)) if (i + j) % 3 == 0]
+    as_rows = lambda r: [(float(x), float(y)) for x, y in r]
+    kind = "array<struct<x: double, y: double>>"
+    df = spark.createDataFrame([(f"{i}|{j}", as_rows(rings[i]), as_rows(rings[j])) for i, j in pairs], f"pair_id string, s_ring {kind}, t_ring {kind}")
+    got = {r.pair_id: r.matrix for r in polygons.related(df).collect()}
+    assert got == {f"{i}|{j}": polygons.matrix(rings[i], rings[j]) for i, j in pairs} and len(set(got.values())) > 8
