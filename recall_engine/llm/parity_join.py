@@ -41,10 +41,10 @@ SIMILARITY = (75, 100)
 BAND_RATIO = 8
 FREQUENT_LIST = 1 << 17
 #: Text that a worker handles at a time, and keys that it gathers before it sends them: both bound its memory.
-SLICE_BYTES = 2_000_000
-SEND_KEYS = 1_000_000
+SLICE_BYTES = 1_000_000
+SEND_KEYS = 500_000
 #: Keys that meet in one group, on average, and the number of one batch's nodes from which on a key's nodes don't go there.
-MEET_KEYS = 1_000_000
+MEET_KEYS = 500_000
 HOT_KEY = 64
 ROUNDS = 2
 #: Nodes of a bucket that a round compares with each other, and bits of a sketch for a shingle.
