@@ -159,3 +159,34 @@ def test_matrices_at_once_equal_one_by_one(spark):
     df = spark.createDataFrame([(f"{i}|{j}", as_rows(rings[i]), as_rows(rings[j])) for i, j in pairs], f"pair_id string, s_ring {kind}, t_ring {kind}")
     got = {r.pair_id: r.matrix for r in polygons.related(df).collect()}
     assert got == {f"{i}|{j}": polygons.matrix(rings[i], rings[j]) for i, j in pairs} and len(set(got.values())) > 8
+
+
+def test_trials_are_drawn_together(spark, sf):
+    """All samples of all trials come from two passes, equal to those drawn one by one; each drawn sample was a table before."""
+    from recall_engine.operators import sampler
+    from recall_engine.params import Params
+    from recall_engine.plans import experiment
+    from recall_engine.queries import scored_pairs
+
+    x = kept(scored_pairs(spark, sf, "w1", tiles=3).select("pair_id", "p", "d", "y"))
+    params = Params(k=150, subsamples=3, n_boot=10)
+    for options in ({}, {"quota": "equal"}, {"methods": ("exact_beta", "ht_lower")}, {"fuse": "median", "weighting": "none"}):
+        alone = [r for t in range(2) for r in experiment.thresholds(x, "x", params, trials=1, first_trial=t, shared={}, **options)]
+        got = experiment.thresholds(x, "x", params, trials=2, **options)
+        assert sorted(got) == sorted(alone) and len(got) == len(alone)
+    n = sampler.sizes(x)
+    q = sampler.quotas(n, 150, "proportional")
+    draw = sampler.Draw(5, False, n, q)
+    chosen = sampler.sample(x, 150, 5, "proportional").where("y").collect()
+    packed = sampler.taken(x, [draw], [[0]]).collect()
+    rows = np.frombuffer(b"".join(r.packed for r in packed if r.draw == 0), sampler.PACKED)
+    assert sorted(rows["hash_key"].tolist()) == sorted(r.hash_key for r in chosen)
+    assert sum(r.pairs for r in packed if r.draw == -1) == sum(q.values()) == 150
+
+
+def test_tiles_make_the_same_pairs(spark, sf):
+    from recall_engine.queries import scored_pairs
+
+    for w in ("w1", "w2"):
+        one, three = (scored_pairs(spark, sf, w, tiles=k) for k in (1, 3))
+        assert three.count() == one.count() and one.exceptAll(three).isEmpty()
