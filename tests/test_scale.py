@@ -190,3 +190,16 @@ def test_tiles_make_the_same_pairs(spark, sf):
     for w in ("w1", "w2"):
         one, three = (scored_pairs(spark, sf, w, tiles=k) for k in (1, 3))
         assert three.count() == one.count() and one.exceptAll(three).isEmpty()
+
+
+def test_counts_come_with_the_pairs(spark, sf, monkeypatch):
+    """Features of pairs made in slices, counts with them, equal those of the whole."""
+    from recall_engine import keep, more_queries
+    from recall_engine.functions.kdop import relate
+    from recall_engine.queries import candidate_pairs
+
+    monkeypatch.setattr(keep, "SLICE_ROWS", 2000)
+    plain = features.raw(candidate_pairs(spark, sf, "w4")).select("pair_id", relate("covers").alias("y"), *features.NAMES)
+    plain = features.scale(plain, features.fit_minmax(plain))
+    got = more_queries.scaled_pairs(spark, sf, "w4")
+    assert got.count() == plain.count() and plain.exceptAll(got).isEmpty()
