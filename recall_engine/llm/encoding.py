@@ -19,7 +19,7 @@ WIDE_SPACE = r"[\x{85}\x{A0}\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{
 #: Of each byte: 1 for an ASCII letter, 2 for other printable ASCII but digits and the space, 3 for the first byte of any wide space, else 0.
 _KIND = np.array([1 if chr(b).isalpha() and b < 128 else 2 if 32 < b < 127 and not chr(b).isdigit() else 3 if b in (0xC2, 0xE1, 0xE2, 0xE3) else 0 for b in range(256)], np.uint8)
 #: Distinct pieces kept per worker; then the memory starts anew.
-REMEMBERED = 3_000_000
+REMEMBERED = 1_000_000
 
 
 def default_tokenizer(name: str) -> str:
@@ -142,7 +142,7 @@ def ended(flat: np.ndarray, bounds: np.ndarray, end_id: int) -> tuple[np.ndarray
 def encoded(batches: Iterator[pa.RecordBatch], path: str, end_id: int) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
     """Each batch, whose last column is the text, with its ended ids and bounds."""
     encoder = Encoder.shared(path)
-    for b in textkit.slices(batches, "_text"):
+    for b in textkit.slices(batches, "_text", textkit.SMALL_SLICE):
         yield b, *ended(*encoder.encode(b.column(b.num_columns - 1)), end_id)
 
 

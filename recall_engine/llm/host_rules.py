@@ -111,8 +111,9 @@ def counted(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ()) ->
     picked = docs.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text}`").alias(_TEXT))
     schema = T.StructType(picked.schema.fields[:-1] + [T.StructField(c, T.LongType()) for c in COUNTS])
 
+    @textkit.giving_back
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in textkit.slices(batches, _TEXT):
+        for b in textkit.slices(batches, _TEXT, textkit.SMALL_SLICE):
             got = rule_counts(b.column(b.num_columns - 1))
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], *[pa.array(got[c].astype(np.int64)) for c in COUNTS]], names=[*b.schema.names[:-1], *COUNTS])
 
@@ -125,11 +126,12 @@ def counted_rows(docs: DataFrame, text: str, host: str) -> DataFrame:
     at_text, at_host = docs.columns.index(text), docs.columns.index(host)
     schema = T.StructType([*rows.schema.fields, T.StructField("host", docs.schema[host].dataType), *[T.StructField(c, T.LongType()) for c in COUNTS]])
 
+    @textkit.giving_back
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             column = whole.column(0)
             flat = pa.RecordBatch.from_arrays([column, column.field(at_host), column.field(at_text)], names=["row", "host", _TEXT])
-            for b in textkit.slices(iter([flat]), _TEXT, 3_000_000):
+            for b in textkit.slices(iter([flat]), _TEXT, textkit.SMALL_SLICE):
                 got = rule_counts(b.column(2))
                 yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *[pa.array(got[c].astype(np.int64)) for c in COUNTS]], names=["row", "host", *COUNTS])
 

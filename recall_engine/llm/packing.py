@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from . import encoding
+from . import encoding, textkit
 from .scratch import cut
 
 CAPACITY = 2048
@@ -177,6 +177,7 @@ def pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, text: st
     picked = docs.select(F.col(f"`{doc_id}`").alias("doc_id"), F.col(f"`{text}`").alias("_text"))
     schema = T.StructType([picked.schema["doc_id"], *[T.StructField(n, t) for n, t in (("piece", T.IntegerType()), ("start", T.LongType()), ("length", T.LongType()), ("ids_crc32", T.LongType()))]])
 
+    @textkit.giving_back
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b, flat, bounds in encoding.encoded(batches, tokenizer, end_id):
             size = np.diff(bounds)
@@ -212,6 +213,7 @@ def packed(docs: DataFrame, tokenizer: str, end_id: int = 0, capacity: int = CAP
     names = parts.columns
     schema = T.StructType([*parts.schema.fields, T.StructField("sequence_id", T.LongType()), T.StructField("offset", T.LongType())])
 
+    @textkit.giving_back
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shift = 1 << 44
         key = plan["length"] * shift + plan["rank"]

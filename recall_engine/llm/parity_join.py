@@ -220,6 +220,7 @@ def described(docs: DataFrame, width: int, most: int = FREQUENT_LIST) -> DataFra
     """(doc_id, _text) to rows of two kinds, in one reading. ``doc``: doc_id, n_shingles, node, half of its name as ``short``, a
     small and a wide sketch and two hashes of the text that find it again. ``shingle``: a shingle's hash in ``t1`` and in ``n_shingles`` how many different sets of this slice hold it."""
 
+    @textkit.giving_back
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = ["kind", "doc_id", "n_shingles", "node", "short", "small", "sketch", "t1", "t2"]
         for b in textkit.slices(batches, "_text", SLICE_BYTES):
@@ -309,6 +310,7 @@ def buckets(docs: DataFrame, width: int, similarity: tuple[int, int], frequent:
                     col.append(x if isinstance(x, int) else x.tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), *[pa.array(c, pa.binary()) for c in cols[1:]]], names=_SENT)
 
+    @textkit.giving_back
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         waiting: tuple[list, ...] = ([], [], [], [])
         for batch in textkit.slices(batches, "_text", SLICE_BYTES):
@@ -383,6 +385,7 @@ def shingle_sets(docs: DataFrame, known: DataFrame, wanted: DataFrame, width: in
     place = F.broadcast(place) if place.count() <= BROADCAST_ROWS else place
     texts = docs.select("_text", *_text_hashes("_text")).join(place, (F.col("t1") == F.col("_1")) & (F.col("t2") == F.col("_2")), "left_semi").select("_text")
 
+    @textkit.giving_back
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for r in textkit.slices(batches, "_text", SLICE_BYTES):
             h, bounds = shingles(r.column(0), width)
@@ -399,6 +402,7 @@ def verified(pairs: DataFrame, sets: DataFrame, similarity: tuple[int, int]) ->
     one, two = (sets.select(F.col("node").alias(f"_{k}"), F.col("shingles").alias(f"s{k}")) for k in "ab")
     both = pairs.join(one, F.col("a") == F.col("_a")).join(two, F.col("b") == F.col("_b")).select("a", "b", "sa", "sb")
 
+    @textkit.giving_back
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for r in batches:
             ok = np.zeros(r.num_rows, bool)
@@ -416,6 +420,7 @@ def components(links: DataFrame) -> DataFrame:
     the links are few; beyond, rounds do, which alternate between joining a node's larger and smaller neighbours to its
     smallest, so they grow with the logarithm of the nodes."""
 
+    @textkit.giving_back
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ends = [np.stack([column_names(r.column(0)), column_names(r.column(1))], axis=1) for r in batches if r.num_rows]
         if not ends:
@@ -563,6 +568,7 @@ def nearest(members: DataFrame, comp: DataFrame | None, nodes: DataFrame, large:
         a = t["a"].combine_chunks()
         return pa.RecordBatch.from_arrays([a.take(some), pa.array(score[some.to_numpy()]), a.take(pa.array(partner[some.to_numpy()]))], names=["a", "far", "b"])
 
+    @textkit.giving_back
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from _streamed(batches, ["bucket", "part"], best)
 
@@ -598,6 +604,7 @@ def across(members: DataFrame, comp: DataFrame | None, nodes: DataFrame, similar
     in_ = m.where(~one).withColumn("i", F.pmod(h, F.col("mb"))).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("ob") - 1))).withColumn("role", F.lit(1))
     cols = ["bucket", F.col("o").cast("long").alias("o"), F.col("i").cast("long").alias("i"), "role", "a", "comp", "n_shingles", "sketch", "named"]
 
+    @textkit.giving_back
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from _streamed(batches, ["bucket", "o", "i"], lambda t: _across_pairs(t, similarity))
 

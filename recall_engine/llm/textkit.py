@@ -6,11 +6,38 @@ UTF-8 bytes; no other code point contains one of those bytes.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+import functools
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 
+#: Text that rules and encoders take at a time: their arrays are up to a hundred bytes for each of text.
+SMALL_SLICE = 1_000_000
+
+
+def give_back() -> None:
+    """Returns memory that this process has freed to the system. Allocators keep it otherwise, and a worker outlives its
+    task by many: what its largest task took would stay on the executor beside all later ones."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # not every C library has it
+    if trim is not None:
+        trim(0)
+
+
+def giving_back(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """``run``, a function for mapInArrow, which gives back its memory at the end of each task."""
+
+    @functools.wraps(run)
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return task
+
 
 def slices(batches: Iterator[pa.RecordBatch], text: str, max_bytes: int = 3_000_000) -> Iterator[pa.RecordBatch]:
     """The batches cut so that each holds about ``max_bytes`` of the column ``text`` (a longer text stands alone)."""

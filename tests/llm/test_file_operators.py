@@ -1,5 +1,6 @@
 """Token files, packing, archives, page text, personal data, the pipeline."""
 
+import ctypes
 import hashlib
 import io
 import re
@@ -11,7 +12,7 @@ import pandas as pd
 import pyarrow as pa
 import pytest
 
-from recall_engine.llm import encoding, packing, page_text, private_spans, token_files, warc
+from recall_engine.llm import encoding, host_rules, packing, page_text, parity_join, private_spans, textkit, token_files, warc
 
 from . import fixtures
 
@@ -434,3 +435,43 @@ def test_pipeline(spark, sf):
     empty = fixtures.empty(spark)
     for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, empty, sf).count() == 0
+
+
+def own_mb():
+    from pathlib import Path
+
+    return sum(map(int, re.findall(r"\nPss_(?:Anon|Shmem):\s+(\d+)", Path("/proc/self/smaps_rollup").read_text()))) / 1024
+
+
+@pytest.mark.skipif(not hasattr(ctypes.CDLL(None), "malloc_trim"), reason="the C library gives nothing back on request")
+def test_tasks_give_back_their_memory():
+    pins = []
+
+    def run(batches):
+        for b in batches:
+            blocks = [np.ones(7_500) for _ in range(2_000)]  # 120 MB in blocks that the C library takes from its heap
+            pins.append(np.ones(7_500))  # and above them one that stays
+            del blocks
+            yield b
+
+    before = own_mb()
+    batch = pa.record_batch({"x": [1]})
+    got = textkit.giving_back(run)(iter([batch]))
+    assert next(got) is batch and own_mb() - before > 60  # in the middle of a task the memory is there still
+    assert list(got) == [] and own_mb() - before < 20
+
+
+def test_every_stage_with_python_gives_back(spark, monkeypatch):
+    df, _ = fixtures.documents(spark)
+    text = df.select("doc_id", df.text.alias("_text"))
+    made, given = [], []
+    monkeypatch.setattr(type(df), "mapInArrow", lambda self, run, *a, **b: made.append(run) or self)
+    host_rules.counted(df)
+    host_rules.counted_rows(df, "text", "source")
+    packing.pieces(df, encoding.default_tokenizer("word_bpe_49k.json"), 0, 2048)
+    parity_join.described(text, 5)
+    parity_join.verified(text.selectExpr("_text as a", "_text as b"), text.selectExpr("_text as node", "_text as shingles"), (3, 4))
+    monkeypatch.setattr(textkit, "give_back", lambda: given.append(1))
+    for run in made:
+        assert list(run(iter([]))) == []
+    assert len(made) == len(given) == 5
