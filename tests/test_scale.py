@@ -203,3 +203,51 @@ def test_counts_come_with_the_pairs(spark, sf, monkeypatch):
     plain = features.scale(plain, features.fit_minmax(plain))
     got = more_queries.scaled_pairs(spark, sf, "w4")
     assert got.count() == plain.count() and plain.exceptAll(got).isEmpty()
+
+
+def test_vector_pairs_are_not_kept(spark, monkeypatch, tmp_path):
+    """Samples and recall of pairs made anew in each pass equal those of pairs that are all kept; only what samples can hold is kept."""
+    import __spark_entry__ as entry
+    from recall_engine import more_queries
+    from recall_engine.functions import strata
+    from recall_engine.operators import sampler, vector_pairs
+    from recall_engine.params import Params
+    from recall_engine.plans import experiment
+
+    rng = np.random.default_rng(8)
+    rows = [(k, x.tolist(), k % 4) for k, x in enumerate(rng.normal(size=(300, 8)).astype(np.float32))]
+    params, sizes = Params(k=200, subsamples=3, n_boot=10), []
+    for module in (experiment, more_queries):
+        monkeypatch.setattr(module, "PUBLISHED", params, raising=False)
+    monkeypatch.setattr(experiment, "kept", lambda df: (out := kept(df), sizes.append(out.count()))[0])
+
+    def query(vectors):
+        spark.createDataFrame(vectors, "vec_id long, embedding array<float>, label int").write.mode("overwrite").parquet(f"{tmp_path}/embeddings.parquet")
+        return {r[1:3]: r for r in entry.queries()["stress_no_signal_w5"](spark, str(tmp_path)).collect()}
+
+    got = query(rows)
+    assert len(got) == 15 and len(sizes) == 1 and sizes[0] < 44_850 / 8
+    x = vector_pairs.scored_pairs(spark.read.parquet(f"{tmp_path}/embeddings.parquet")).withColumn("d", strata.equal_width(F.col("p")))
+    want = {r[1:3]: r for r in experiment.run_methods(spark, x, "w5", params).collect()}
+    assert got.keys() == want.keys() and all(np.allclose([float(v) for v in got[k][3:]], [float(v) for v in want[k][3:]], rtol=1e-12) for k in want)
+    monkeypatch.setattr(sampler, "near", lambda df, draws: df.limit(0))  # a margin that was too small: all pairs are read
+    assert {k: r[4] for k, r in query(rows).items()} == {k: r[4] for k, r in got.items()}
+    monkeypatch.undo()
+    assert {r.candidates for r in query(rows[:2]).values()} == {1} and not any(r.feasible for r in query(rows[:1]).values())
+
+
+def test_places_of_vector_pairs(spark, monkeypatch):
+    from recall_engine.operators import vector_pairs
+
+    monkeypatch.setattr(vector_pairs, "TILE", 7)
+    rng = np.random.default_rng(9)
+    x = spark.createDataFrame([(k, v.tolist(), k % 3) for k, v in enumerate(rng.integers(-2, 3, (50, 3)).astype(np.float32))], "vec_id long, embedding array<float>, label int")
+    pairs = vector_pairs.scored_pairs(x).collect()
+    values = sorted({r.p for r in pairs[::40]} | {0.0, 0.25, 0.3, 0.3 + 1e-12, 1.0})
+    for some in (values, [], [0.5]):
+        want = {}
+        for r in pairs:
+            at = want.setdefault(sum(v <= r.p for v in some), [0, 0])
+            at[0], at[1] = at[0] + 1, at[1] + r.y
+        assert {r.place: [r.n, r.pos] for r in vector_pairs.counts_by_place(x, some).collect()} == want
+    assert {r.p: r.d for r in pairs} == {r.p: min(9, int(r.p * 10)) for r in pairs}
