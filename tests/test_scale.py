@@ -251,3 +251,30 @@ def test_places_of_vector_pairs(spark, monkeypatch):
             at[0], at[1] = at[0] + 1, at[1] + r.y
         assert {r.place: [r.n, r.pos] for r in vector_pairs.counts_by_place(x, some).collect()} == want
     assert {r.p: r.d for r in pairs} == {r.p: min(9, int(r.p * 10)) for r in pairs}
+
+
+@pytest.mark.parametrize("name, workloads, methods", [("recall_table", 4, 5), ("plain_rules_w4", 1, 4)])
+def test_tables_hold_all_trials(spark, sf, monkeypatch, name, workloads, methods):
+    import __spark_entry__ as entry
+    from recall_engine import more_queries
+    from recall_engine.params import Params
+
+    monkeypatch.setattr(more_queries, "PUBLISHED", Params(k=100, subsamples=2, n_boot=5))
+    got = entry.queries()[name](spark, sf).where("workload IS NOT NULL AND method IS NOT NULL AND target_mille IS NOT NULL").collect()
+    assert len(got) == workloads * methods * 3 and {r.runs for r in got} == {10}
+    assert any(r.sd_recall > 0 for r in got)
+
+
+def test_cuts_of_many_draws_in_small_batches(spark, sf):
+    """The keys around the cuts of all draws travel together; the cuts are those of each draw by itself."""
+    from recall_engine.operators import sampler
+
+    x = spark.createDataFrame([(str(k), k % 3) for k in range(3000)], "pair_id string, d int").repartition(3)
+    n = sampler.sizes(x)
+    draws = [sampler.Draw(s, False, n, sampler.quotas(n, 90, "proportional")) for s in range(12)] + [sampler.Draw(5, True, {0: 3000}, {0: 50})]
+    want = [{h: None for h in w.n} for w in draws]
+    for i, w in enumerate(draws):
+        for h in w.n:
+            keys = sorted(r.k0 for r in sampler._keyed(x if w.plain else x.where(F.col("d") == h), [w]).collect())
+            want[i][h] = keys[w.q[h] - 1]
+    assert sampler.cuts(x, draws) == want
